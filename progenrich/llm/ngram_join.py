@@ -40,7 +40,7 @@ _MIX = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x16
 class Shingler:
     """Sorted distinct hashes of word n-grams; the words' hashes are kept in a bounded dictionary."""
 
-    def __init__(self, n: int, entries: int = 500_000):
+    def __init__(self, n: int, entries: int = 300_000):
         self.n, self.entries, self.known = n, entries, {}
 
     def of(self, text: str) -> np.ndarray:
@@ -138,7 +138,7 @@ def _prefixes(spark: SparkSession, texts: DataFrame, n: int, percent: int, sketc
     def run(batches):
         sh, count, seen = Shingler(n), shared.value, set()
         for b in slices(batches):
-            cols: list[list] = [[], [], [], [], []]
+            cols: list[list] = [[], [], [], []]
             for t in b["text"].to_pylist():
                 g = sh.of(t)
                 if not len(g):
@@ -156,13 +156,12 @@ def _prefixes(spark: SparkSession, texts: DataFrame, n: int, percent: int, sketc
                     few = np.argsort(c, kind="stable")[:p]
                 cols[0].append(g[few].view(np.int64))
                 cols[1].append(np.full(p, d[0], np.int64))
-                cols[2].append(np.full(p, d[1], np.int64))
-                cols[3].append(np.full(p, len(g), np.int32))
-                cols[4].append(np.arange(p, dtype=np.int32))
+                cols[2].append(np.full(p, len(g), np.int32))
+                cols[3].append(np.arange(p, dtype=np.int32))
             if cols[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["gram", "s1", "s2", "n", "pos"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["gram", "s1", "n", "pos"])
 
-    return texts.mapInArrow(run, "gram long, s1 long, s2 long, n int, pos int")
+    return texts.mapInArrow(run, "gram long, s1 long, n int, pos int")
 
 
 def _sets(texts: DataFrame, n: int) -> DataFrame:
@@ -216,7 +215,7 @@ def _restricted(texts: DataFrame, ids: DataFrame, small: int) -> DataFrame:
     return texts.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
 
 
-def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 3, key: str = "doc_id", text: str = "text", small: int = SMALL) -> DataFrame:
+def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 2, key: str = "doc_id", text: str = "text", small: int = SMALL) -> DataFrame:
     """One row per document: ``doc_id, n_shingles, component_id, links``.
 
     ``component_id`` is the least id reachable over pairs with a Jaccard similarity of at least
@@ -237,7 +236,8 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
     live = prefixes.groupBy("gram").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi").select("gram")
     shared = work.write(prefixes.join(live, "gram"), "shared")
     work.drop("prefixes")
-    postings = work.write(shared.join(classes, ["s1", "s2"]).groupBy("gram", "rep").agg(F.max("n").alias("n"), F.max("pos").alias("pos")), "postings")
+    # half of the digest names the set here: where two sets share it, both get the posting, and verification tells
+    postings = work.write(shared.join(classes, "s1").groupBy("gram", "rep").agg(F.max("n").alias("n"), F.max("pos").alias("pos")), "postings")
     work.drop("shared")
     sets, links, comp, tried = None, None, None, None
 
@@ -258,12 +258,12 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
     for r in range(rounds):
         rows = weighed if comp is None else weighed.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
         rows = rows.withColumn("c", F.col("rep") if comp is None else F.coalesce("component", "rep")).select("gram", "rep", "n", "pos", "w", "c")
-        if comp is not None:
-            mixed = rows.groupBy("gram").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("gram")
-            rows = rows.join(mixed, "gram")
         # one partner for each n-gram: the set with most shared n-grams in its prefix (it has least of its own), later any
         order = F.col("w") if r == 0 else F.xxhash64(F.col("rep"), F.lit(r))
-        centre = rows.groupBy("gram").agg(F.max(F.struct(order.cast("long").alias("o"), F.col("rep").alias("o_rep"), F.col("n").alias("o_n"), F.col("pos").alias("o_pos"), F.col("c").alias("o_c"))).alias("m")).select("gram", "m.*")
+        centre = rows.groupBy("gram").agg(
+            F.max(F.struct(order.cast("long").alias("o"), F.col("rep").alias("o_rep"), F.col("n").alias("o_n"), F.col("pos").alias("o_pos"), F.col("c").alias("o_c"))).alias("m"),
+            F.min("c").alias("lo"), F.max("c").alias("hi"),
+        ).where("lo < hi").select("gram", "m.*")
         near = rows.join(centre, "gram").where(F.col("c") != F.col("o_c")).where(_can_match(percent))
         best = near.groupBy("rep", "o_rep").agg(F.count("*").alias("k")).groupBy("rep").agg(F.max(F.struct("k", "o_rep")).alias("m"))
         pairs = best.select(F.least("rep", "m.o_rep").alias("a"), F.greatest("rep", "m.o_rep").alias("b")).distinct()
