@@ -4,16 +4,14 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from progenrich.llm import fingerprint_dedup, ngram_join, nnls_packing, pairwise_quality, secret_scan
-from progenrich.llm.common import Workspace, table
+from progenrich.llm.common import Workspace, counted, table
 
 
 def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
     """Rows whose id is not in ``gone``; the ids are broadcast only when counted and few."""
-    few = gone.count() <= ngram_join.SMALL
-    return docs.join(F.broadcast(gone) if few else gone, "doc_id", "left_anti").select(*docs.columns)
+    return docs.join(counted(gone), "doc_id", "left_anti").select(*docs.columns)
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -71,3 +71,12 @@ def map_slices(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], sc
             yield fn(part)
 
     return df.mapInArrow(run, schema)
+
+
+#: Most rows of few numbers that are broadcast, once they have been counted.
+BROADCAST_ROWS = 500_000
+
+
+def counted(rows: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+    """``rows`` with a hint to broadcast them if there are at most ``most``; beyond that Spark shuffles."""
+    return F.broadcast(rows) if rows.limit(most + 1).count() <= most else rows

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, map_slices, texts_of
+from .common import Workspace, counted, map_slices, texts_of
 
 #: Primes below 2**31 (fixed values of the fingerprint), each with a base.
 PRIMES = (2147483647, 2147483629, 2147483587, 2147483579)
@@ -117,7 +117,8 @@ def duplicate_classes(spark: SparkSession, docs: DataFrame, key: str = "doc_id",
         wanted = members.where("doc_id <> keep_id").withColumn("share", share)
         copies = wanted.select(F.col("keep_id").alias("doc_id"), "keep_id", "share", F.lit(True).alias("stays")).distinct()
         # one join brings the texts that have a partner; they alone are stored and cut
-        bodies = work.write(texts.join(wanted.select("doc_id", "keep_id", "share", F.lit(False).alias("stays")).unionByName(copies), "doc_id"), f"bodies{round_}")
+        partners = wanted.select("doc_id", "keep_id", "share", F.lit(False).alias("stays")).unionByName(copies)
+        bodies = work.write(texts.join(counted(partners), "doc_id"), f"bodies{round_}")
         left = _chunks(bodies.where("not stays").drop("stays"), chunk)
         right = _chunks(bodies.where("stays").drop("stays", "doc_id"), chunk).withColumnRenamed("bytes", "other").dropDuplicates(["keep_id", "share", "part"])
         same = left.join(right, ["keep_id", "share", "part"], "left").groupBy("doc_id", "keep_id").agg(F.min(F.coalesce(F.col("bytes") == F.col("other"), F.lit(False))).alias("same"))

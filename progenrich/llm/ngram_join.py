@@ -25,15 +25,13 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, slices, texts_of
+from .common import BROADCAST_ROWS, Workspace, counted, slices, texts_of
 from .components import components
 
 SKETCH_BITS = 20
 SEGMENT = 4096
 #: Bins of the hash range whose counts bound an overlap (the suffix filter).
 BINS = 16
-#: Most ids that are broadcast; beyond them the join is left to Spark.
-SMALL = 1_000_000
 _MIX = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xFF51AFD7ED558CCD))
 
 
@@ -211,11 +209,10 @@ def _can_match(percent: int, a: str = "", b: str = "o_") -> F.Column:
 
 def _restricted(texts: DataFrame, ids: DataFrame, small: int) -> DataFrame:
     """Texts of the ids; they are broadcast only when counted and few, else joined by shuffle."""
-    few = ids.count() <= small
-    return texts.join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
+    return texts.join(counted(ids, small), "doc_id", "left_semi")
 
 
-def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 2, key: str = "doc_id", text: str = "text", small: int = SMALL) -> DataFrame:
+def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 2, key: str = "doc_id", text: str = "text", small: int = BROADCAST_ROWS) -> DataFrame:
     """One row per document: ``doc_id, n_shingles, component_id, links``.
 
     ``component_id`` is the least id reachable over pairs with a Jaccard similarity of at least
