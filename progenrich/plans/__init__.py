@@ -4,7 +4,8 @@ from __future__ import annotations
 
 
 def queries():
-    from . import methods  # noqa: F401
+    from ..streaming import queries as _streams  # noqa: F401
+    from . import kit, methods, real  # noqa: F401
     from .registry import QUERIES
 
     return QUERIES
