@@ -52,8 +52,21 @@ class Workspace:
             p.getFileSystem(conf).delete(p, True)
 
 
+#: Most rows and bytes of an Arrow batch that goes to a Python worker: texts can be long.
+BATCH = {"spark.sql.execution.arrow.maxRecordsPerBatch": 1000, "spark.sql.execution.arrow.maxBytesPerBatch": 16 << 20}
+
+
+def bound_batches(spark: SparkSession) -> None:
+    """Lower the session's limits on Arrow batches to ``BATCH``; both are settings of a running session."""
+    for key, most in BATCH.items():
+        now = spark.conf.get(key).rstrip("b")
+        if not now.isdigit() or not 0 < int(now) <= most:
+            spark.conf.set(key, str(most))
+
+
 def texts_of(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """The key and text alone; a null text counts as empty."""
+    bound_batches(docs.sparkSession)
     return docs.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
 
 
@@ -66,6 +79,8 @@ def slices(batches: Iterator[pa.RecordBatch], rows: int = SLICE) -> Iterator[pa.
 def map_slices(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str, rows: int = SLICE) -> DataFrame:
     """Map record batches of few rows; ``fn`` may build its state lazily, once in each worker."""
 
+    bound_batches(df.sparkSession)
+
     def run(batches):
         for part in slices(batches, rows):
             yield fn(part)
@@ -80,3 +95,25 @@ BROADCAST_ROWS = 500_000
 def counted(rows: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
     """``rows`` with a hint to broadcast them if there are at most ``most``; beyond that Spark shuffles."""
     return F.broadcast(rows) if rows.limit(most + 1).count() <= most else rows
+
+
+class Generations(dict):
+    """A bounded dictionary that computes what it lacks: when full, all but the entries met since then go.
+
+    Two generations of ``entries`` each: a new one starts when the present one is full, and entries of the
+    old one move over when they are met again, so frequent entries are never computed twice.
+    """
+
+    def __init__(self, make: Callable, entries: int):
+        super().__init__()
+        self.make, self.entries, self.old = make, entries, {}
+
+    def __missing__(self, key):
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
+        if len(self) >= self.entries:
+            self.old = dict(self)
+            self.clear()
+        self[key] = value
+        return value

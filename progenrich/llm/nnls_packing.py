@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import bisect
 import os
+import unicodedata
 import zlib
 from array import array
 from dataclasses import dataclass
@@ -24,34 +25,63 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import Workspace, map_slices, texts_of
+from .common import Generations, Workspace, map_slices, texts_of
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 PLACED = PIECES + ", sequence_id long, offset long"
 
 
-class WordIds:
-    """Ids of texts under a word-level BPE file that drops white space; a bounded dictionary by space-cut word."""
+#: Marks that may end a word and are pre-tokens of their own there (no apostrophe: contractions are not).
+TAIL = ",.;:!?*&%#$"
+
+
+class WordIds(dict):
+    """Ids of texts under a word-level BPE file that drops white space and lower-cases.
+
+    White space parts pre-tokens, so a text's ids join those of its space-cut words; a run of letters and the
+    marks after it are pre-tokens too. The dictionary itself maps words, ``runs`` maps runs; both have two
+    generations of bounded size, and what is met again moves to the present one.
+    """
 
     def __init__(self, path: str, entries: int):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.tok, self.entries, self.known = Tokenizer.from_file(path), entries, {"": b""}
+        super().__init__()
+        self.entries, self.old, self.tok = entries, {}, Tokenizer.from_file(path)
+        #: Ids are kept in two bytes each where the vocabulary allows.
+        self.kind = "H" if self.tok.get_vocab_size() <= 1 << 16 else "I"
+        self.runs = Generations(self._run, entries // 2)
+
+    def _run(self, run: str) -> bytes:
+        return array(self.kind, self.tok.encode(run, add_special_tokens=False).ids).tobytes()
+
+    def __missing__(self, word: str) -> bytes:
+        ids = self.old.get(word)
+        if ids is None:
+            letters = word.rstrip(TAIL)
+            if letters.isascii():
+                plain = letters.isalpha()
+                run = letters.lower() if plain else word
+            else:  # no mark may come off the letters and join the tail
+                plain = unicodedata.normalize("NFC", letters).lower().isalpha()
+                run = letters if plain else word
+            if not word:
+                ids = b""
+            elif plain and len(letters) != len(word):
+                ids = self.runs[run] + self.runs[word[len(letters) :]]
+            else:
+                ids = self.runs[run]
+        if len(self) >= self.entries:
+            self.old = dict(self)
+            self.clear()
+        self[word] = ids
+        return ids
 
-    def encode(self, texts: list[str]) -> list[bytes]:
-        split = [t.replace("\n", " ").split(" ") for t in texts]
-        missing = {w for ws in split for w in ws if w not in self.known}
-        if missing:
-            if len(self.known) + len(missing) > self.entries:
-                self.known = {"": b""}
-                missing = {w for ws in split for w in ws if w}
-            todo = list(missing)
-            for at in range(0, len(todo), 4096):
-                part = todo[at : at + 4096]
-                for w, e in zip(part, self.tok.encode_batch(part, add_special_tokens=False)):
-                    self.known[w] = array("I", e.ids).tobytes()
-        return [b"".join(map(self.known.__getitem__, ws)) for ws in split]
+    def encode(self, text: str) -> bytes:
+        """Ids as little-endian 32-bit integers."""
+        got = b"".join(map(self.__getitem__, text.replace("\n", " ").split(" ")))
+        return np.frombuffer(got, "<u2").astype("<u4").tobytes() if self.kind == "H" else got
 
 
 _WORDS: dict[tuple[str, int], WordIds] = {}
@@ -63,13 +93,13 @@ def _word_ids(path: str, entries: int) -> WordIds:
     return _WORDS[path, entries]
 
 
-def cut_documents(docs: DataFrame, tokenizer: str, window: int, end_id: int, entries: int = 600_000, key: str = "doc_id", text: str = "text") -> DataFrame:
+def cut_documents(docs: DataFrame, tokenizer: str, window: int, end_id: int, entries: int = 400_000, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Pieces of at most ``window`` ids; the last id of each document is ``end_id``. Null texts count as empty."""
     end = array("I", [end_id]).tobytes()
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         rows = []
-        for doc, ids in zip(batch["doc_id"].to_pylist(), _word_ids(tokenizer, entries).encode(batch["text"].to_pylist())):
+        for doc, ids in zip(batch["doc_id"].to_pylist(), map(_word_ids(tokenizer, entries).encode, batch["text"].to_pylist())):
             ids += end
             n = len(ids) // 4
             for at in range(0, n, window):

@@ -87,7 +87,7 @@ def _counter(path: str, entries: int) -> PretokenCounter:
     return _COUNTERS[path, entries]
 
 
-def count_tokens(docs: DataFrame, tokenizer: str, limit: int = 512, entries: int = 600_000, key: str = "doc_id", text: str = "text") -> DataFrame:
+def count_tokens(docs: DataFrame, tokenizer: str, limit: int = 512, entries: int = 300_000, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Tokens of every whole text: ``doc_id, n_bytes, n_tokens, over_limit``.
 
     Null texts count as empty (0 bytes, 0 tokens); repeated rows and null keys pass through, an empty
