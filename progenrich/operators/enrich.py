@@ -36,6 +36,8 @@ class Settings:
     seed: int = 1
     pool: str = "remaining"
     clock: str = "virtual"
+    refresh_every: int = 0  # epochs after which the next-scorer table is learned again from the run's own objects
+    refresh_percent: int = 5  # share of objects that each refresh adds to the sample
 
 
 @dataclass
@@ -104,6 +106,10 @@ class EnrichmentRun:
         for number in range(1, most + 1):
             began = time.time()
             self.drained = False
+            if s.refresh_every and number % s.refresh_every == 0:
+                from .learning import learn_online
+
+                self.table, _ = learn_online(self.objects, self.query, min(100, s.refresh_percent * number), self.table.bins)
             plan = cut(planning.select_plan(self.items(state, answer, number), self.budget))
             n, cost = plan.agg(F.count("*"), F.sum("cost")).first()
             if not n and s.approach == "progressive" and s.rule != "all" and s.on_exhausted == "drain":

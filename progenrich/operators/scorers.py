@@ -50,6 +50,22 @@ def from_pandas(tag_type: str, number: int, cost: float, quality: float, fn, col
     return Scorer(tag_type, number, cost, quality, apply=apply)
 
 
+def from_service(tag_type: str, number: int, cost: float, quality: float, connect, columns: list[str]) -> Scorer:
+    """``connect()`` opens a client once in each partition; ``client(tag, frame)`` gives the probabilities of a batch."""
+
+    def apply(payload: DataFrame, tag) -> DataFrame:
+        def run(batches):
+            import pandas as pd
+
+            client = connect()
+            for b in batches:
+                yield pd.DataFrame({"object_id": b["object_id"], "prob": client(tag, b[columns])})
+
+        return payload.select("object_id", *columns).mapInPandas(run, "object_id long, prob double")
+
+    return Scorer(tag_type, number, cost, quality, apply=apply)
+
+
 def from_model(tag_type: str, number: int, cost: float, quality: float, model, tags: list) -> Scorer:
     """A fitted pyspark.ml classifier whose probability vector follows ``tags``."""
     from pyspark.ml.functions import vector_to_array

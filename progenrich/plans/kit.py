@@ -321,3 +321,25 @@ def _(spark, sf):
 _sql("sql_subquery", "SELECT c_custkey, (SELECT max(o_totalprice) FROM orders WHERE o_custkey = c_custkey) AS top FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_orderstatus = 'P') AND c_acctbal > (SELECT avg(c_acctbal) FROM customer)", "customer", "orders", doubles="top")
 _sql("sql_cte", "WITH t AS (SELECT o_custkey, sum(o_totalprice) AS s FROM orders GROUP BY o_custkey), u AS (SELECT avg(s) AS m FROM t) SELECT count(*) AS n FROM t, u WHERE s > m", "orders")
 _sql("sql_recursive", "WITH RECURSIVE r(n, f) AS (SELECT 1, CAST(1 AS BIGINT) UNION ALL SELECT n + 1, f * (n + 1) FROM r WHERE n < 10) SELECT n, f FROM r")
+
+
+@query("join_bucketed", "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY c_mktsegment")
+def _(spark, sf):
+    """Both sides bucketed on the key: the join itself needs no shuffle."""
+    a = sinks.write_bucketed(table(spark, sf, "orders", F.col("o_custkey").alias("k")), "bucketed_orders", "k", 8)
+    b = sinks.write_bucketed(table(spark, sf, "customer", F.col("c_custkey").alias("k"), "c_mktsegment"), "bucketed_customer", "k", 8)
+    return a.join(b.hint("merge"), "k").groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+
+
+@query("explain_costs")
+def _(spark, sf):
+    """Costly operators in the physical plan of one planning step and of one cutoff round."""
+    from ..operators import cutoff, metrics, planning
+    from . import workloads as w
+
+    chosen, q, t = w.prepared(spark, sf, w.SMALL_100)
+    from ..operators.state import seed_state
+
+    st = seed_state(chosen, q)
+    plans = {"items": planning.benefit_relative(planning.make_items(st, q, t)), "cutoff": st.agg(F.sum("match_p")), "answer": st.where(F.col("match_p") > cutoff.choose_answer(st).ratio)}
+    return spark.createDataFrame([(name, k, n) for name, df in plans.items() for k, n in metrics.plan_report(df).items()], "step string, operator string, n int")

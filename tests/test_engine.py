@@ -173,3 +173,33 @@ def test_blocks_respect_capacity(spark):
     assert resident_after(q, 1, 2) == [6, 1]
     assert resident_after(q, 2, 2) == [1, 2]
     assert resident_after(q, 2, 4) == [5, 6, 1, 2]  # free room: nothing is written back
+
+
+def test_table_is_refreshed_online(made):
+    chosen, q, t, _ = made
+    run = EnrichmentRun(chosen, q, 300, NextScorer({}), Settings(refresh_every=1, refresh_percent=50))
+    rows = list(run.epochs(1))
+    assert run.table.cells and rows[-1].items > 0
+
+
+def test_other_kinds_of_scorers(spark):
+    """A column, a pandas function and a service score the objects of a plan; outputs land in the state."""
+    from progenrich.functions.tagexpr import Pred
+    from progenrich.model import Catalog, TagType
+    from progenrich.operators import scorers as sc
+    from progenrich.operators.execution import execute_plan
+    from progenrich.operators.state import Query, apply_outputs, empty_state
+
+    objects = spark.createDataFrame([(1, 0.2, "a"), (2, 0.9, "b")], "object_id long, x double, t_kind string")
+    made = (
+        sc.from_column("Kind", 0, 1.0, 0.6, lambda tag: F.col("x")),
+        sc.from_pandas("Kind", 1, 2.0, 0.7, lambda tag, x: 1 - x, ["x"]),
+        sc.from_service("Kind", 2, 3.0, 0.8, lambda: lambda tag, frame: [0.5] * len(frame), ["x"]),
+    )
+    q = Query(Pred("Kind", "a"), Catalog((TagType("Kind", ("a", "b"), "t_kind"),), made))
+    state = empty_state(objects, q).withColumn("match_p", F.lit(0.0))
+    out = execute_plan(baselines.every_item(state, q), objects, q)
+    got = {(r["object_id"], r["scorer"]): r["prob"] for r in out.collect()}
+    assert got == {(1, 0): 0.2, (2, 0): 0.9, (1, 1): 0.8, (2, 1): pytest.approx(0.1), (1, 2): 0.5, (2, 2): 0.5}
+    final = {r["object_id"]: (r["m0"], r["p0"]) for r in apply_outputs(empty_state(objects, q), out, q).collect()}
+    assert final[1] == (7, pytest.approx((0.6 * 0.2 + 0.7 * 0.8 + 0.8 * 0.5) / 2.1))
