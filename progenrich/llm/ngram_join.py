@@ -7,8 +7,8 @@
    prefix with their positions.
 3. N-grams that lie in one set only are dropped, the rest are postings. Links join components, and pairs in
    one component need no more work; so representatives are first compared with one promising partner
-   each, in a few rounds, and every pair over different components that passes the filters is verified
-   after that, exactly once. Postings of an n-gram that lie in one component make no pairs at all.
+   each (in one round, or more), and every pair over different components that passes the filters is
+   verified after that, exactly once. Postings of an n-gram that lie in one component make no pairs at all.
 4. Verified links give the components.
 
 N-grams are 64-bit hashes from here on.
@@ -25,36 +25,27 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, Workspace, counted, slices, texts_of
+from .common import BROADCAST_ROWS, Generations, Workspace, counted, slices, texts_of
 from .components import components
 
 SKETCH_BITS = 20
 SEGMENT = 4096
-#: Bins of the hash range whose counts bound an overlap (the suffix filter).
-BINS = 16
+#: Bits of a set's bitmap: sets differ in at least as many n-grams as their bitmaps in bits (the suffix filter).
+BITMAP = 1024
 _MIX = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xFF51AFD7ED558CCD))
 
 
 class Shingler:
-    """Sorted distinct hashes of word n-grams; the words' hashes are kept in a bounded dictionary."""
+    """Sorted distinct hashes of word n-grams; the words' hashes are kept in a dictionary of bounded size."""
 
-    def __init__(self, n: int, entries: int = 300_000):
-        self.n, self.entries, self.known = n, entries, {}
+    def __init__(self, n: int, entries: int = 100_000):
+        self.n, self.known = n, Generations(xxhash.xxh64_intdigest, entries)
 
     def of(self, text: str) -> np.ndarray:
         words = text.encode("utf-8", "surrogatepass").lower().split()
         if not words:
             return np.zeros(0, np.uint64)
-        known = self.known
-        try:
-            h = np.array([*map(known.__getitem__, words)], np.uint64)
-        except KeyError:
-            if len(known) > self.entries:
-                known.clear()
-            for w in words:
-                if w not in known:
-                    known[w] = xxhash.xxh64_intdigest(w)
-            h = np.array([*map(known.__getitem__, words)], np.uint64)
+        h = np.fromiter(map(self.known.__getitem__, words), np.uint64, len(words))
         size = min(self.n, len(h))
         out = np.full(len(h) - size + 1, np.uint64(size), np.uint64)
         with np.errstate(over="ignore"):
@@ -77,39 +68,42 @@ def _digest(grams: np.ndarray) -> tuple[int, int]:
     return struct.unpack("<qq", xxhash.xxh3_128_digest(grams.tobytes()))
 
 
-def _signature(grams: np.ndarray) -> bytes:
-    return np.bincount((grams >> np.uint64(60)).astype(np.int64), minlength=BINS).astype("<i4").tobytes()
+def _bitmap(grams: np.ndarray) -> list[int]:
+    bits = np.zeros(BITMAP, np.uint8)
+    bits[(grams >> np.uint64(64 - BITMAP.bit_length() + 1)).astype(np.int64)] = 1
+    return np.packbits(bits).view("<i8").tolist()
 
 
 def _profiles(texts: DataFrame, n: int) -> DataFrame:
-    """Rows (doc_id, n, s1, s2) of documents and rows (segment, counts) of the partition's sketch."""
+    """Rows (doc_id, n, s1, s2, bits) of documents and rows (segment, counts) of the partition's sketch."""
 
     def run(batches):
         sh, sketch = Shingler(n), np.zeros(1 << SKETCH_BITS, np.uint32)
         for b in slices(batches):
-            size, s1, s2, pending = [], [], [], []
+            size, s1, s2, bits, pending = [], [], [], [], []
             for t in b["text"].to_pylist():
                 g = sh.of(t)
                 d = _digest(g)
                 size.append(len(g))
                 s1.append(d[0])
                 s2.append(d[1])
+                bits.append(_bitmap(g))
                 pending.append(g)
             each = np.concatenate(pending) >> np.uint64(64 - SKETCH_BITS)
             sketch += np.bincount(each.astype(np.int64), minlength=len(sketch)).astype(np.uint32) if len(each) > len(sketch) // 64 else 0
             if len(each) <= len(sketch) // 64:
                 np.add.at(sketch, each.astype(np.int64), 1)
             m = b.num_rows
-            yield pa.RecordBatch.from_arrays([b["doc_id"], pa.array(size, pa.int64()), pa.array(s1, pa.int64()), pa.array(s2, pa.int64()), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([b["doc_id"], pa.array(size, pa.int64()), pa.array(s1, pa.int64()), pa.array(s2, pa.int64()), pa.array(bits, pa.list_(pa.int64())), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names=names)
         live = [(i, sketch[at : at + SEGMENT]) for i, at in enumerate(range(0, len(sketch), SEGMENT))]
         live = [(i, zlib.compress(c.tobytes(), 1)) for i, c in live if c.any()]
         m = len(live)
         if m:
             none = pa.nulls(m, pa.int64())
-            yield pa.RecordBatch.from_arrays([none, none, none, none, pa.array([i for i, _ in live], pa.int32()), pa.array([c for _, c in live], pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([none, none, none, none, pa.nulls(m, pa.list_(pa.int64())), pa.array([i for i, _ in live], pa.int32()), pa.array([c for _, c in live], pa.binary())], names=names)
 
-    names = ["doc_id", "n", "s1", "s2", "segment", "counts"]
-    return texts.mapInArrow(run, "doc_id long, n long, s1 long, s2 long, segment int, counts binary")
+    names = ["doc_id", "n", "s1", "s2", "bits", "segment", "counts"]
+    return texts.mapInArrow(run, "doc_id long, n long, s1 long, s2 long, bits array<long>, segment int, counts binary")
 
 
 def _merged_sketch(parts: DataFrame) -> np.ndarray:
@@ -163,40 +157,32 @@ def _prefixes(spark: SparkSession, texts: DataFrame, n: int, percent: int, sketc
 
 
 def _sets(texts: DataFrame, n: int) -> DataFrame:
-    """``doc_id, grams, sig``: the sorted hashes as bytes and their counts by bin."""
+    """``doc_id, grams``: the sorted hashes as bytes."""
 
     def run(batches):
         sh = Shingler(n)
         for b in slices(batches):
-            each = [sh.of(t) for t in b["text"].to_pylist()]
-            yield pa.RecordBatch.from_arrays([b["doc_id"], pa.array([g.tobytes() for g in each], pa.binary()), pa.array([_signature(g) for g in each], pa.binary())], names=["doc_id", "grams", "sig"])
+            yield pa.RecordBatch.from_arrays([b["doc_id"], pa.array([sh.of(t).tobytes() for t in b["text"].to_pylist()], pa.binary())], names=["doc_id", "grams"])
 
-    return texts.mapInArrow(run, "doc_id long, grams binary, sig binary")
+    return texts.mapInArrow(run, "doc_id long, grams binary")
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """``a, b, linked`` of each pair: suffix filter on the bins, then the exact overlap."""
-    left = sets.select(F.col("doc_id").alias("a"), F.col("grams").alias("ga"), F.col("sig").alias("sa"))
-    right = sets.select(F.col("doc_id").alias("b"), F.col("grams").alias("gb"), F.col("sig").alias("sb"))
+    """``a, b, linked`` of each pair by its exact overlap."""
+    left = sets.select(F.col("doc_id").alias("a"), F.col("grams").alias("ga"))
+    right = sets.select(F.col("doc_id").alias("b"), F.col("grams").alias("gb"))
 
     def run(batches):
         for b in slices(batches, 64):
             out = []
-            for x, y, sx, sy in zip(*(b[c].to_pylist() for c in ("ga", "gb", "sa", "sb"))):
+            for x, y in zip(b["ga"].to_pylist(), b["gb"].to_pylist()):
                 u, v = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                most = int(np.minimum(np.frombuffer(sx, "<i4"), np.frombuffer(sy, "<i4")).sum())
-                both = len(u) + len(v)
-                if 100 * most < percent * (both - most):
-                    out.append(False)
-                    continue
                 small, large = (u, v) if len(u) <= len(v) else (v, u)
-                at = np.searchsorted(large, small)
-                hit = int((large[np.minimum(at, len(large) - 1)] == small).sum())
-                out.append(100 * hit >= percent * (both - hit))
+                hit = int((large[np.minimum(np.searchsorted(large, small), len(large) - 1)] == small).sum())
+                out.append(100 * hit >= percent * (len(u) + len(v) - hit))
             yield pa.RecordBatch.from_arrays([b["a"], b["b"], pa.array(out, pa.bool_())], names=["a", "b", "linked"])
 
-    both = pairs.join(left, "a").join(right, "b").select("a", "b", "ga", "gb", "sa", "sb")
-    return both.mapInArrow(run, "a long, b long, linked boolean")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "ga", "gb").mapInArrow(run, "a long, b long, linked boolean")
 
 
 def _can_match(percent: int, a: str = "", b: str = "o_") -> F.Column:
@@ -207,12 +193,19 @@ def _can_match(percent: int, a: str = "", b: str = "o_") -> F.Column:
     return size & ((100 + percent) * room.cast("long") >= percent * (na + nb).cast("long"))
 
 
+def _can_overlap(percent: int, a: str = "bits", b: str = "o_bits") -> F.Column:
+    """Suffix filter: the bits in which two bitmaps differ leave room for the overlap that is needed."""
+    differ = sum((F.bit_count(F.col(a)[i].bitwiseXOR(F.col(b)[i])) for i in range(BITMAP // 64)), F.lit(0))
+    both = (F.col("n") + F.col("o_n")).cast("long")
+    return (100 + percent) * (both - differ) >= 2 * percent * both
+
+
 def _restricted(texts: DataFrame, ids: DataFrame, small: int) -> DataFrame:
     """Texts of the ids; they are broadcast only when counted and few, else joined by shuffle."""
     return texts.join(counted(ids, small), "doc_id", "left_semi")
 
 
-def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 2, key: str = "doc_id", text: str = "text", small: int = BROADCAST_ROWS) -> DataFrame:
+def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 1, key: str = "doc_id", text: str = "text", small: int = BROADCAST_ROWS) -> DataFrame:
     """One row per document: ``doc_id, n_shingles, component_id, links``.
 
     ``component_id`` is the least id reachable over pairs with a Jaccard similarity of at least
@@ -225,22 +218,25 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
     work = Workspace(spark, "ngram-join")
     texts = texts_of(docs, key, text).where("doc_id is not null")
     profiles = work.write(_profiles(texts, n), "profiles")
-    prints = profiles.where("segment is null").select("doc_id", "n", "s1", "s2")
+    prints = profiles.where("segment is null").select("doc_id", "n", "s1", "s2", "bits")
     sketch = _merged_sketch(profiles.where("segment is not null").select("segment", "counts"))
     classes = prints.where("n > 0").groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"))
     prefixes = work.write(_prefixes(spark, texts, n, percent, sketch), "prefixes")
     # an n-gram matters if two different sets have it in their prefixes
     live = prefixes.groupBy("gram").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi").select("gram")
-    shared = work.write(prefixes.join(live, "gram"), "shared")
+    # partitions by n-gram serve the join and this aggregate alike
+    shared = work.write(prefixes.join(live, "gram").groupBy("gram", "s1").agg(F.max("n").alias("n"), F.max("pos").alias("pos")), "shared")
     work.drop("prefixes")
-    # half of the digest names the set here: where two sets share it, both get the posting, and verification tells
-    postings = work.write(shared.join(classes, "s1").groupBy("gram", "rep").agg(F.max("n").alias("n"), F.max("pos").alias("pos")), "postings")
+    # half of the digest names the set here: where two sets share it, both get the posting, and verification tells;
+    # w: how many n-grams of its prefix a set shares
+    named_sets = shared.groupBy("s1").agg(F.count("*").alias("w")).join(classes, "s1").select("s1", "rep", "w")
+    postings = work.write(shared.join(named_sets, "s1").select("gram", "rep", "n", "pos", "w"), "postings")
     work.drop("shared")
     sets, links, comp, tried = None, None, None, None
 
     def verify(pairs: DataFrame, label: str) -> DataFrame:
         nonlocal sets
-        ids = pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).distinct()
+        ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
         if sets is not None:
             ids = ids.join(sets.select("doc_id"), "doc_id", "left_anti")
         more = work.write(_sets(_restricted(texts, ids, small).dropDuplicates(["doc_id"]), n), f"sets-{label}")
@@ -250,18 +246,19 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
     def joined(label: str) -> DataFrame:
         return work.write(components(links, work, f"cc-{label}"), f"comp-{label}")
 
-    weight = postings.groupBy("rep").agg(F.count("*").alias("w"))
-    weighed = work.write(postings.join(weight, "rep"), "weighed")
     for r in range(rounds):
-        rows = weighed if comp is None else weighed.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
+        rows = postings if comp is None else postings.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
         rows = rows.withColumn("c", F.col("rep") if comp is None else F.coalesce("component", "rep")).select("gram", "rep", "n", "pos", "w", "c")
-        # one partner for each n-gram: the set with most shared n-grams in its prefix (it has least of its own), later any
-        order = F.col("w") if r == 0 else F.xxhash64(F.col("rep"), F.lit(r))
-        centre = rows.groupBy("gram").agg(
+        # one partner for each n-gram and class of size (within which sizes can match): the set with most shared
+        # n-grams in its prefix, as it has least of its own; with classes shifted in the next round, then any set
+        step = F.floor(F.log(F.col("n").cast("double")) / float(np.log(100 / percent)) + 0.5 * (r % 2)).cast("int") if percent < 100 else F.col("n")
+        rows = rows.withColumn("size", step)
+        order = F.col("w") if r < 2 else F.xxhash64(F.col("rep"), F.lit(r))
+        centre = rows.groupBy("gram", "size").agg(
             F.max(F.struct(order.cast("long").alias("o"), F.col("rep").alias("o_rep"), F.col("n").alias("o_n"), F.col("pos").alias("o_pos"), F.col("c").alias("o_c"))).alias("m"),
             F.min("c").alias("lo"), F.max("c").alias("hi"),
-        ).where("lo < hi").select("gram", "m.*")
-        near = rows.join(centre, "gram").where(F.col("c") != F.col("o_c")).where(_can_match(percent))
+        ).where("lo < hi").select("gram", "size", "m.*")
+        near = rows.join(centre, ["gram", "size"]).where(F.col("c") != F.col("o_c")).where(_can_match(percent))
         best = near.groupBy("rep", "o_rep").agg(F.count("*").alias("k")).groupBy("rep").agg(F.max(F.struct("k", "o_rep")).alias("m"))
         pairs = best.select(F.least("rep", "m.o_rep").alias("a"), F.greatest("rep", "m.o_rep").alias("b")).distinct()
         pairs = work.write(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), f"pairs-{r}")
@@ -276,9 +273,10 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
     rows = postings if comp is None else postings.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
     rows = rows.withColumn("c", F.col("rep") if comp is None else F.coalesce("component", "rep")).select("gram", "rep", "n", "pos", "c")
     mixed = rows.groupBy("gram", "c").agg(F.count("*").alias("k")).groupBy("gram").agg(F.max(F.struct("k", "c")).alias("m"), F.count("*").alias("parts")).where("parts > 1").select("gram", F.col("m.c").alias("main"))
-    rows = work.write(rows.join(mixed, "gram"), "mixed")
-    minor = rows.where("c <> main").select("gram", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "c")])
-    cross = rows.join(minor, "gram").where((F.col("c") != F.col("o_c")) & ((F.col("c") == F.col("main")) | (F.col("rep") < F.col("o_rep")))).where(_can_match(percent))
+    bits = prints.join(classes, ["s1", "s2"]).groupBy("rep").agg(F.first("bits").alias("bits"))
+    rows = work.write(rows.join(mixed, "gram").join(bits, "rep"), "mixed")
+    minor = rows.where("c <> main").select("gram", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "c", "bits")])
+    cross = rows.join(minor, "gram").where((F.col("c") != F.col("o_c")) & ((F.col("c") == F.col("main")) | (F.col("rep") < F.col("o_rep"))) & _can_match(percent) & _can_overlap(percent))
     pairs = cross.select(F.least("rep", "o_rep").alias("a"), F.greatest("rep", "o_rep").alias("b")).distinct()
     pairs = work.write(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "pairs-rest")
     if not pairs.isEmpty():
@@ -288,7 +286,7 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
     named = prints.where("n > 0").join(classes, ["s1", "s2"]).select("doc_id", "n", "rep").unionByName(prints.where("n = 0").select("doc_id", "n", F.col("doc_id").alias("rep")))
     if comp is None:
         return named.select("doc_id", F.col("n").alias("n_shingles"), F.col("rep").alias("component_id"), F.lit(0).cast("long").alias("links"))
-    degree = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("links"))
+    degree = links.select(F.col("a").alias("rep")).union(links.select("b")).groupBy("rep").agg(F.count("*").alias("links"))
     info = comp.withColumnRenamed("node", "rep").join(degree, "rep", "left")
     out = named.join(info, "rep", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep").alias("component_id"), F.coalesce("links", F.lit(0)).cast("long").alias("links"))
