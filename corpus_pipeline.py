@@ -38,7 +38,7 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pieces of all documents with their place in sequences of 4096 tokens."""
-    return nnls_packing.pack(spark, docs, public_tokenizers.path("word_bpe_49k.json"), window=4096, end_id=2)
+    return nnls_packing.pack(spark, docs, public_tokenizers.path("word_bpe_49k.json"), window=4096, end_id=2, entries=100_000)
 
 
 STAGES = [

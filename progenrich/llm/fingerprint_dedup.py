@@ -99,15 +99,16 @@ def duplicate_classes(spark: SparkSession, docs: DataFrame, key: str = "doc_id",
 
     Of equal normalised texts the one with most code points in the original, then the smallest id,
     stays. Null texts count as empty, and so equal each other and texts of white space alone. Keys are
-    expected to be unique and not null: of repeated rows all have the same ``keep_id`` and count as
-    kept. An empty table gives no rows; other columns are not read.
+    expected to be unique: repeated rows have the same ``keep_id``, and those of the row that stays all
+    count as kept. Rows with a null key stay, each on its own. An empty table gives no rows; other columns
+    are not read.
     """
     work = Workspace(spark, "exact-dedup")
     texts = texts_of(docs, key, text)
     prints = work.write(fingerprints(texts, primes, bases), "prints")
     # of a group: its size and the row that would stay
     best = F.max(F.struct(F.col("points"), (-F.col("doc_id")).alias("low")))
-    open_, settled, round_ = prints.withColumn("turn", F.lit(0)), [], 0
+    open_, settled, round_ = prints.where("doc_id is not null"), [], 0
     while True:
         by = ["f1", "f2", "size"]
         groups = open_.groupBy(by).agg(F.count("*").alias("n"), best.alias("best")).where("n > 1").select(*by, "n", (-F.col("best.low")).alias("keep_id"))

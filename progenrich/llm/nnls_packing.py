@@ -302,13 +302,14 @@ def histogram(pieces: DataFrame, window: int) -> np.ndarray:
     return hist
 
 
-def pack(spark: SparkSession, docs: DataFrame, tokenizer: str, window: int = 4096, end_id: int = 2, key: str = "doc_id", text: str = "text") -> DataFrame:
+def pack(spark: SparkSession, docs: DataFrame, tokenizer: str, window: int = 4096, end_id: int = 2, entries: int = 400_000, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Pack all documents: a row per piece with ``sequence_id`` (from 0, gapless) and ``offset``.
 
     Null texts count as empty: a document of the end id alone. Repeated rows are packed each; an empty
     table gives no rows; other columns are not read. Sequences pad to ``window``. The plan that goes to
-    every executor is bounded by the window (lengths times combinations), not by the documents.
+    every executor is bounded by the window (lengths times combinations), not by the documents. ``entries``
+    bounds a worker's dictionary of words and changes no result.
     """
     work = Workspace(spark, "packing")
-    pieces = work.write(cut_documents(docs, tokenizer, window, end_id, key=key, text=text), "pieces")
+    pieces = work.write(cut_documents(docs, tokenizer, window, end_id, entries, key, text), "pieces")
     return place(pieces, make_plan(histogram(pieces, window), window))

@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_slices, texts_of
+from .common import bound_batches, map_slices, texts_of
 
 FEATURES = ("letters", "upper", "digits", "space", "stops", "marks", "high", "words_marked", "repeats", "distinct", "word_size", "words_upper", "lines")
 #: Bytes at which a text's own shares weigh as much as those of a typical good text.
@@ -169,4 +169,5 @@ def filter_documents(docs: DataFrame, model: PairwiseModel) -> DataFrame:
                 s = model.score(features([t or "" for t in part["text"].to_pylist()]))
                 yield part.filter(pa.array(s >= model.decision))
 
+    bound_batches(docs.sparkSession)
     return docs.mapInArrow(keep, docs.schema)

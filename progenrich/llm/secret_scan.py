@@ -17,7 +17,7 @@ from collections import Counter
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import map_slices, texts_of
+from .common import bound_batches, map_slices, texts_of
 
 # Fixed forms of the base layer and their least lengths.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -181,4 +181,5 @@ def redact_documents(docs: DataFrame, least: float = 0.5, mark: str = "[SECRET]"
                     part = pa.RecordBatch.from_arrays([cols[c] for c in names], schema=part.schema)
                 yield part
 
+    bound_batches(docs.sparkSession)
     return docs.mapInArrow(run, docs.schema)
