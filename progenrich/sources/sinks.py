@@ -34,6 +34,11 @@ def write_log(log: DataFrame, path: str | None = None, overwrite_partitions: boo
 
 
 def write_bucketed(df: DataFrame, name: str, key: str, buckets: int) -> DataFrame:
-    """A bucketed and sorted table, so that later joins on the key need no shuffle."""
-    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(name)
-    return df.sparkSession.table(name)
+    """A bucketed and sorted table, so that later joins on the key need no shuffle.
+
+    The rows lie in the shared folder, under a fresh name that begins with ``name``.
+    """
+    path = work_path(df.sparkSession, name)
+    fresh = path.rsplit("/", 1)[1].replace("-", "_")
+    df.write.option("path", path).bucketBy(buckets, key).sortBy(key).saveAsTable(fresh)
+    return df.sparkSession.table(fresh)
