@@ -218,8 +218,9 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
     work = Workspace(spark, "ngram-join")
     texts = texts_of(docs, key, text).where("doc_id is not null")
     profiles = work.write(_profiles(texts, n), "profiles")
-    prints = profiles.where("segment is null").select("doc_id", "n", "s1", "s2", "bits")
     sketch = _merged_sketch(profiles.where("segment is not null").select("segment", "counts"))
+    prints = work.write(profiles.where("segment is null").select("doc_id", "n", "s1", "s2", "bits"), "prints")
+    work.drop("profiles")  # with it go the sketches of all partitions
     classes = prints.where("n > 0").groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"))
     prefixes = work.write(_prefixes(spark, texts, n, percent, sketch), "prefixes")
     # an n-gram matters if two different sets have it in their prefixes
