@@ -13,6 +13,7 @@ import hashlib
 import math
 import re
 from collections import Counter
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -30,8 +31,10 @@ _NAME = r"[A-Za-z_][A-Za-z0-9_.\-]{0,127}"
 _QUOTED = r"\"(?:[^\"\\\n]|\\.)*\"|'(?:[^'\\\n]|\\.)*'"
 #: name, operator, first operand; further operands follow by "+".
 _START = re.compile(rf"""["']?({_NAME})["']?[ \t]*(:=|=(?!=)|:(?!:))[ \t]*(?=["'A-Za-z0-9_/+])""", re.ASCII)
-_OPERAND = re.compile(rf"({_QUOTED})|({_NAME})|([A-Za-z0-9+/_.=\-]+)", re.ASCII)
+_OPERAND = re.compile(rf"({_QUOTED})|([A-Za-z0-9+/_.=\-]+)", re.ASCII)
 _PLUS = re.compile(r"[ \t]*\+[ \t]*(?=[\"'A-Za-z_])")
+#: Most characters of a name.
+NAME_SIZE = 128
 _PARTS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|[0-9]+")
 
 # Sensitive parts of names and their weights (fixed values).
@@ -77,39 +80,68 @@ def literal_weight(value: str) -> float:
     return min(1.0, bits / 3.5) * min(1.0, 0.4 + 0.2 * kinds) * min(1.0, 0.6 + n / 40)
 
 
-def pairs(text: str) -> list[tuple[str, str, int, int]]:
-    """(name, literal, start, end) with constants propagated: a literal appears under every name it reaches."""
-    known: dict[str, list[tuple[str, int, int]]] = {}
-    out = []
+def _unquoted(text: str, a: int, b: int, known: dict[str, list[tuple[int, int]]]) -> tuple[list[tuple[int, int]], int]:
+    """Spans that an unquoted token reaches, and where it ends.
+
+    A token is a name only as a whole, or as names chained by "+"; any other token is one literal, whatever
+    its length. A "+" at its end chains when a string follows, or when the rest is known names.
+    """
+    if b - a <= NAME_SIZE and (whole := known.get(text[a:b])) is not None:
+        return whole, b
+    plus = text.find("+", a, b)
+    if plus < 0:
+        return [(a, b)], b
+    last = b - 1 if text[b - 1] == "+" else b
+    names = [known.get(x) for x in text[a:last].split("+")] if text[a:plus] in known else [None]
+    chained = all(x is not None for x in names)
+    if last < b and last > a and (chained or text[b : b + 1] in ('"', "'")):
+        b = last
+    # names within a token that is no chain count beside the literal, as either reading may hold
+    return [s for x in names if x is not None for s in x] + ([] if chained else [(a, b)]), b
+
+
+def _reaches(text: str) -> Iterator[tuple[str, list[tuple[int, int]]]]:
+    """Names in text order with the spans of the literals they reach."""
+    known: dict[str, list[tuple[int, int]]] = {}
+    run = (0, 0)  # the last unquoted token: assignments inside of it end with it
     for m in _START.finditer(text):
         name, at, reach = m[1], m.end(), []
         while True:
-            o = _OPERAND.match(text, at)
-            if not o:
-                break
-            if o[1] is not None:
-                reach.append((o[1][1:-1], o.start() + 1, o.end() - 1))
-            elif o[2] is not None and o[2] in known:
-                reach.extend(known[o[2]])
-            elif o[0]:
-                reach.append((o[0], o.start(), o.end()))
-            plus = _PLUS.match(text, o.end())
+            if run[0] <= at < run[1]:
+                end, quoted = run[1], False
+            else:
+                o = _OPERAND.match(text, at)
+                if not o:
+                    break
+                end, quoted = o.end(), o[1] is not None
+            if quoted:
+                reach.append((at + 1, end - 1))
+            else:
+                run = (at, end) if end > run[1] else run
+                found, end = _unquoted(text, at, end, known)
+                reach.extend(found)
+            plus = _PLUS.match(text, end)
             if not plus:
                 break
             at = plus.end()
         known[name] = reach
-        out += [(name, *r) for r in reach]
-    return out
+        yield name, reach
+
+
+def pairs(text: str) -> list[tuple[str, str, int, int]]:
+    """(name, literal, start, end) with constants propagated: a literal appears under every name it reaches."""
+    return [(name, text[a:b], a, b) for name, reach in _reaches(text) for a, b in reach]
 
 
 def literal_spans(text: str, least: float = 0.5) -> list[tuple[int, int, int]]:
     if "=" not in text and ":" not in text:
         return []
     best: dict[tuple[int, int], float] = {}
-    for name, value, a, b in pairs(text):
-        w = name_weight(name)
-        if w and b > a:
-            best[a, b] = max(best.get((a, b), 0.0), w * literal_weight(value))
+    for name, reach in _reaches(text):
+        w = name_weight(name) if reach else 0.0
+        for a, b in reach if w else ():
+            if b > a:
+                best[a, b] = max(best.get((a, b), 0.0), w * literal_weight(text[a:b]))
     return [(a, 3, b) for (a, b), w in best.items() if w >= least]
 
 

@@ -116,6 +116,25 @@ def test_constants_are_propagated():
     assert secret_scan.name_weight("publicKeyName") < 0.5 < secret_scan.name_weight("userPassword")
 
 
+def test_unquoted_literals_are_whole(spark, docs):
+    """A value with '/', '+' or '=', or beyond 128 characters, is one literal, and redaction leaves nothing of it."""
+    key = "wJalrXUtnFEMI/K7MDENG/bPxRfiCY+zq=k9"
+    long = "".join(random.Random(4).choices("abcdefghijkLMNOPQ0123456789/+", k=300))
+    rows = [(i, f"{name} = {value}\nnext") for i, (name, value) in enumerate([("aws_secret_access_key", key), ("pwd", "wJa/rXUtn9zK"), ("pwd", "a" + long), ("passphrase", key + "=="), ("credential", "Ab1+" + key)])]
+    values = [t.split(" = ")[1].split("\n")[0] for _, t in rows]
+    for (_, t), v in zip(rows, values):
+        assert v in {t[a:b] for a, k, b in secret_scan.literal_spans(t) if k == 3}, t
+    out = {r["doc_id"]: r["text"] for r in secret_scan.redact_documents(docs(rows)).collect()}
+    assert all(out[i] == f"{t.split(' = ')[0]} = [SECRET]\nnext" for i, t in rows)
+
+
+def test_names_are_whole_tokens():
+    part = 'part = "k9Xz82LmQp"\nmore = "Zx81kQ0pLw92"\n'
+    for end, found in (("pwd = part+more", {"k9Xz82LmQp", "Zx81kQ0pLw92"}), ('pwd = part+"77TtyyZZ9"', {"k9Xz82LmQp", "77TtyyZZ9"}), ("pwd = part/9Tz+kk", {"part/9Tz+kk"}), ("pwd = part + more", {"k9Xz82LmQp", "Zx81kQ0pLw92"})):
+        text = part + end
+        assert {text[a:b] for a, _, b in secret_scan.literal_spans(text)} == found, end
+
+
 def test_redaction(spark, docs):
     df = docs([(1, 'a token="abcdefgh1" b'), (2, None), (3, "plain"), (4, "")])
     out = {r["doc_id"]: r for r in secret_scan.redact_documents(df).collect()}
