@@ -106,5 +106,14 @@ def curves(spark: SparkSession, sf_dir: str, specs: list[tuple[str, RunSpec]]) -
     return spark.createDataFrame([(a, e, s, int(i), int(n), float(x), float(f)) for a, e, s, i, n, x, f in rows], CURVE)
 
 
+#: More epochs than any run has: it ends when no item is left.
+UNTIL_DONE = 10_000
+
+
+def whole(spec: RunSpec) -> RunSpec:
+    """The run until nothing is left, in epochs of 10 % of the cost of everything."""
+    return replace(spec, share=0.1, epochs=UNTIL_DONE)
+
+
 def all_approaches(spec: RunSpec) -> list[tuple[str, RunSpec]]:
     return [(a, spec.as_(a)) for a in APPROACHES]
