@@ -5,11 +5,12 @@
 2. Documents of equal sets form a class with one representative. The sketch orders n-grams rare first
    (ties by hash: any total order is right, a rare-first one is cheap). Each set gives the n-grams of its
    prefix with their positions.
-3. N-grams that lie in one set only are dropped, the rest are postings. Links join components, and pairs in
-   one component need no more work; so representatives are first compared with one promising partner
+3. N-grams that lie in one set only are dropped, the rest are postings. For the join, every pair of
+   representatives that passes the filters is verified. Components alone need less: links join components, and
+   pairs in one component need no more work; so representatives are first compared with one promising partner
    each (in one round, or more), and every pair over different components that passes the filters is
    verified after that, exactly once. Postings of an n-gram that lie in one component make no pairs at all.
-4. Verified links give the components.
+4. Verified links give the components and, in the join, the number of links.
 
 N-grams are 64-bit hashes from here on.
 """
@@ -206,15 +207,24 @@ def _restricted(texts: DataFrame, ids: DataFrame, small: int) -> DataFrame:
 
 
 def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 1, key: str = "doc_id", text: str = "text", small: int = BROADCAST_ROWS) -> DataFrame:
-    """One row per document: ``doc_id, n_shingles, component_id, links``.
+    """One row per document: ``doc_id, n_shingles, component_id``; links within a component are not looked for.
 
     ``component_id`` is the least id reachable over pairs with a Jaccard similarity of at least
     ``percent`` / 100 on sets of distinct ``n``-word shingles (words by ASCII white space, A-Z lowered).
     Fewer words than ``n`` make one shingle of the whole; without words (null or empty text) a document
-    has size 0, its own component and no links. ``links`` counts verified links of the document's class
-    (documents of equal sets) with other classes. Null ids are left out; repeated ids share a
-    component; an empty table gives no rows; other columns are not read.
+    has size 0 and its own component. Null ids are left out; repeated ids share a component; an empty table
+    gives no rows; other columns are not read.
     """
+    return _joined(spark, docs, n, percent, rounds, key, text, small, False)
+
+
+def near_duplicate_links(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text", small: int = BROADCAST_ROWS) -> DataFrame:
+    """``near_duplicate_components`` with ``links``: in how many other classes (documents of equal sets) the
+    document has partners. All pairs of classes count, so the work grows with the number of links."""
+    return _joined(spark, docs, n, percent, 0, key, text, small, True)
+
+
+def _joined(spark: SparkSession, docs: DataFrame, n: int, percent: int, rounds: int, key: str, text: str, small: int, every: bool) -> DataFrame:
     work = Workspace(spark, "ngram-join")
     texts = texts_of(docs, key, text).where("doc_id is not null")
     profiles = work.write(_profiles(texts, n), "profiles")
@@ -270,14 +280,19 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
         links = good if links is None else links.unionByName(good)
         tried = done.select("a", "b") if tried is None else tried.unionByName(done.select("a", "b"))
         comp = joined(str(r))
-    # every pair over different components that the filters let through
+    # every pair, or every pair over different components, that the filters let through
     rows = postings if comp is None else postings.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
     rows = rows.withColumn("c", F.col("rep") if comp is None else F.coalesce("component", "rep")).select("gram", "rep", "n", "pos", "c")
-    mixed = rows.groupBy("gram", "c").agg(F.count("*").alias("k")).groupBy("gram").agg(F.max(F.struct("k", "c")).alias("m"), F.count("*").alias("parts")).where("parts > 1").select("gram", F.col("m.c").alias("main"))
     bits = prints.join(classes, ["s1", "s2"]).groupBy("rep").agg(F.first("bits").alias("bits"))
-    rows = work.write(rows.join(mixed, "gram").join(bits, "rep"), "mixed")
-    minor = rows.where("c <> main").select("gram", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "c", "bits")])
-    cross = rows.join(minor, "gram").where((F.col("c") != F.col("o_c")) & ((F.col("c") == F.col("main")) | (F.col("rep") < F.col("o_rep"))) & _can_match(percent) & _can_overlap(percent))
+    if every:
+        rows = work.write(rows.join(bits, "rep"), "mixed")
+        other = rows.select("gram", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "bits")])
+        cross = rows.join(other, "gram").where((F.col("rep") < F.col("o_rep")) & _can_match(percent) & _can_overlap(percent))
+    else:
+        mixed = rows.groupBy("gram", "c").agg(F.count("*").alias("k")).groupBy("gram").agg(F.max(F.struct("k", "c")).alias("m"), F.count("*").alias("parts")).where("parts > 1").select("gram", F.col("m.c").alias("main"))
+        rows = work.write(rows.join(mixed, "gram").join(bits, "rep"), "mixed")
+        minor = rows.where("c <> main").select("gram", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "c", "bits")])
+        cross = rows.join(minor, "gram").where((F.col("c") != F.col("o_c")) & ((F.col("c") == F.col("main")) | (F.col("rep") < F.col("o_rep"))) & _can_match(percent) & _can_overlap(percent))
     pairs = cross.select(F.least("rep", "o_rep").alias("a"), F.greatest("rep", "o_rep").alias("b")).distinct()
     pairs = work.write(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "pairs-rest")
     if not pairs.isEmpty():
@@ -285,9 +300,12 @@ def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5,
         links = good if links is None else links.unionByName(good)
         comp = joined("rest")
     named = prints.where("n > 0").join(classes, ["s1", "s2"]).select("doc_id", "n", "rep").unionByName(prints.where("n = 0").select("doc_id", "n", F.col("doc_id").alias("rep")))
+    size = F.col("n").alias("n_shingles")
     if comp is None:
-        return named.select("doc_id", F.col("n").alias("n_shingles"), F.col("rep").alias("component_id"), F.lit(0).cast("long").alias("links"))
+        return named.select("doc_id", size, F.col("rep").alias("component_id"), *([F.lit(0).cast("long").alias("links")] if every else []))
+    out = named.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
+    found = ["doc_id", size, F.coalesce("component", "rep").alias("component_id")]
+    if not every:
+        return out.select(*found)
     degree = links.select(F.col("a").alias("rep")).union(links.select("b")).groupBy("rep").agg(F.count("*").alias("links"))
-    info = comp.withColumnRenamed("node", "rep").join(degree, "rep", "left")
-    out = named.join(info, "rep", "left")
-    return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep").alias("component_id"), F.coalesce("links", F.lit(0)).cast("long").alias("links"))
+    return out.join(degree, "rep", "left").select(*found, F.coalesce("links", F.lit(0)).cast("long").alias("links"))

@@ -58,11 +58,14 @@ def op9_crf_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = ngram_join.near_duplicate_components(spark, table(spark, sf_dir, "documents"), n=4, percent=85)
-    return out.select("doc_id", "n_shingles", "component_id")
+    return ngram_join.near_duplicate_components(spark, table(spark, sf_dir, "documents"), n=4, percent=85)
 
 
-QUERIES = {f.__name__: f for f in (op1_int8_block_search, op2_pretoken_counts, op3_nnls_packing, op4_assignment_secrets, op5_piece_round_trip, op6_extendible_shards, small_shards, op7_pairwise_quality, op8_fingerprint_dedup, op9_crf_main_text, op10_ngram_jaccard_join)}
+def op10_ngram_jaccard_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.near_duplicate_links(spark, table(spark, sf_dir, "documents"), n=4, percent=85)
+
+
+QUERIES = {f.__name__: f for f in (op1_int8_block_search, op2_pretoken_counts, op3_nnls_packing, op4_assignment_secrets, op5_piece_round_trip, op6_extendible_shards, small_shards, op7_pairwise_quality, op8_fingerprint_dedup, op9_crf_main_text, op10_ngram_jaccard_join, op10_ngram_jaccard_links)}
 
 _WHITE = "[\\x20\\x09-\\x0D]"
 
@@ -113,3 +116,10 @@ ORACLES = {
     SELECT d.doc_id, CAST(coalesce(z.n, 0) AS BIGINT) AS n_shingles, c.component_id
     FROM documents d LEFT JOIN z ON z.doc_id = d.doc_id JOIN (SELECT x, min(y) AS component_id FROM reach GROUP BY x) c ON c.x = d.doc_id""",
 }
+
+_LINKED, _COMPONENTS = ORACLES["op10_ngram_jaccard_join"].split("    reach(x, y) AS")
+ORACLES["op10_ngram_jaccard_links"] = f"""{_LINKED}    reach(x, y) AS{_COMPONENTS.split("    SELECT d.doc_id")[0].rstrip()},
+    same AS (SELECT x, least(x, min(y)) AS c FROM p JOIN z u ON u.doc_id = x JOIN z v ON v.doc_id = y WHERE k = u.n AND k = v.n GROUP BY x),
+    cls AS (SELECT doc_id, coalesce(c, doc_id) AS c FROM documents LEFT JOIN same ON x = doc_id),
+    degree AS (SELECT x, count(DISTINCT b.c) AS links FROM link JOIN cls a ON a.doc_id = x JOIN cls b ON b.doc_id = y WHERE a.c <> b.c GROUP BY x)
+    SELECT q.*, coalesce(g.links, 0) AS links FROM (SELECT d.doc_id{_COMPONENTS.split("    SELECT d.doc_id")[1]}) q LEFT JOIN degree g ON g.x = q.doc_id"""

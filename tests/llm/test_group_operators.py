@@ -142,6 +142,26 @@ def test_ngram_join_without_broadcast(spark, docs):
     assert got == brute_join(rows, 4, 85)
 
 
+@pytest.mark.parametrize("seed, n, percent", [(1, 4, 85), (4, 2, 60)])
+def test_links_are_all_counted(spark, docs, seed, n, percent):
+    """Pairs within one component count too: a group of near copies links each with each."""
+    words = " ".join(f"w{i}" for i in range(200))
+    rows = [(i, f"{words} tail{i}") for i in range(6)] + [(20, f"{words} tail0")]
+    rng = random.Random(seed)
+    rows += [(100 + i, " ".join(rng.choices("abc", k=rng.randrange(1, 9)))) for i in range(60)]
+    sets = {}
+    for i, t in rows:
+        ws = t.split()
+        sets[i] = frozenset(tuple(ws[j : j + n]) for j in range(max(1, len(ws) - n + 1)))
+    each = set(sets.values())
+    want = {i: sum(a != b and 100 * len(a & b) >= percent * len(a | b) for b in each) for i, a in sets.items()}
+    out = ngram_join.near_duplicate_links(spark, docs(rows).repartition(3), n, percent).collect()
+    assert {r["doc_id"]: r["links"] for r in out} == want and [want[i] for i in (0, 3, 20)] == [5, 5, 5]
+    plain = ngram_join.near_duplicate_components(spark, docs(rows), n, percent)
+    assert plain.columns == ["doc_id", "n_shingles", "component_id"]
+    assert {r["doc_id"]: r["component_id"] for r in out} == {r["doc_id"]: r["component_id"] for r in plain.collect()}
+
+
 def test_ngram_join_edges(spark, docs):
     assert ngram_join.near_duplicate_components(spark, docs([])).count() == 0
     out = ngram_join.near_duplicate_components(spark, docs([(3, "a b"), (3, "a b"), (None, "a b"), (4, None), (5, "")])).collect()
