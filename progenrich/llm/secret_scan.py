@@ -28,11 +28,14 @@ KEYWORDS = re.compile(r"(?:passw(?:or)?d|secret|token|api_?key)[\"' :=]", re.IGN
 KINDS = ("assign", "access", "hex", "literal")
 
 _NAME = r"[A-Za-z_][A-Za-z0-9_.\-]{0,127}"
-_QUOTED = r"\"(?:[^\"\\\n]|\\.)*\"|'(?:[^'\\\n]|\\.)*'"
+_QUOTED = r"\"\"\"(?:[^\\]|\\[\s\S])*?\"\"\"|'''(?:[^\\]|\\[\s\S])*?'''|\"(?:[^\"\\\n]|\\.)*\"|'(?:[^'\\\n]|\\.)*'|`(?:[^`\\]|\\[\s\S])*`"
 #: name, operator, first operand; further operands follow by "+".
-_START = re.compile(rf"""["']?({_NAME})["']?[ \t]*(:=|=(?!=)|:(?!:))[ \t]*(?=["'A-Za-z0-9_/+])""", re.ASCII)
+_START = re.compile(rf"""["']?({_NAME})["']?[ \t]*(:=|=>|=(?!=)|:(?!:))[ \t]*(?=["'`A-Za-z0-9_/+])""", re.ASCII)
+#: What follows the type's first name in a typed assignment.
+_TYPED = re.compile(r"""(?:[\[<][^\n=]{0,200}[\]>])?(?:[ \t]*\|[ \t]*[A-Za-z_][A-Za-z0-9_.]*){0,20}\??[ \t]*=(?![=>])[ \t]*(?=["'`A-Za-z0-9_/+])""", re.ASCII)
 _OPERAND = re.compile(rf"({_QUOTED})|([A-Za-z0-9+/_.=\-]+)", re.ASCII)
-_PLUS = re.compile(r"[ \t]*\+[ \t]*(?=[\"'A-Za-z_])")
+_PLUS = re.compile(r"[ \t]*\+[ \t]*(?=[\"'`A-Za-z_])")
+_QUOTES = ('"', "'", "`")
 #: Most characters of a name.
 NAME_SIZE = 128
 _PARTS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|[0-9]+")
@@ -94,12 +97,22 @@ def _unquoted(text: str, a: int, b: int, known: dict[str, list[tuple[int, int]]]
     last = b - 1 if text[b - 1] == "+" else b
     names = [known.get(x) for x in text[a:last].split("+")] if text[a:plus] in known else [None]
     chained = all(x is not None for x in names)
-    if last < b and last > a and (chained or text[b : b + 1] in ('"', "'")):
+    if last < b and last > a and (chained or text[b : b + 1] in _QUOTES):
         b = last
     # names within a token that is no chain count beside the literal, as either reading may hold
     return [s for x in names if x is not None for s in x] + ([] if chained else [(a, b)]), b
 
 
+def _inside(text: str, a: int, b: int) -> tuple[int, int]:
+    """The span within the quotes; space at the ends of strings of several lines is not part of it."""
+    size = 3 if b - a >= 6 and text[a : a + 3] in ('"""', "'''") else 1
+    a, b = a + size, b - size
+    if size == 3 or text[a - 1] == "`":
+        body = text[a:b]
+        a, b = a + len(body) - len(body.lstrip()), b - len(body) + len(body.rstrip())
+    return a, max(a, b)
+
+
 def _reaches(text: str) -> Iterator[tuple[str, list[tuple[int, int]]]]:
     """Names in text order with the spans of the literals they reach."""
     known: dict[str, list[tuple[int, int]]] = {}
@@ -115,11 +128,19 @@ def _reaches(text: str) -> Iterator[tuple[str, list[tuple[int, int]]]]:
                     break
                 end, quoted = o.end(), o[1] is not None
             if quoted:
-                reach.append((at + 1, end - 1))
+                reach.append(_inside(text, at, end))
             else:
                 run = (at, end) if end > run[1] else run
+                # the token may be a type, whose value follows; it counts as well, as it may be a value
+                typed = at == m.end() and m[2] == ":"
+                if typed and text[end - 1] == "=" and text[end : end + 1] in _QUOTES:
+                    at = end
+                    continue
                 found, end = _unquoted(text, at, end, known)
                 reach.extend(found)
+                if typed and (after := _TYPED.match(text, end)):
+                    at = after.end()
+                    continue
             plus = _PLUS.match(text, end)
             if not plus:
                 break

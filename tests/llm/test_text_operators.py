@@ -135,6 +135,18 @@ def test_names_are_whole_tokens():
         assert {text[a:b] for a, _, b in secret_scan.literal_spans(text)} == found, end
 
 
+SECRET = "k9Xz82LmQp/77Tt"
+
+
+@pytest.mark.parametrize("form", [
+    'password: str = "{}"', 'password: str="{}"', 'password: dict[str, str] | None = "{}"', "const pwd: string = '{}';", '"password" => "{}"', "pwd => '{}',", 'password = """{}"""', "password = '''{}'''", 'password = """\n  {}\n"""', "const pwd = `{}`", "pwd = '' + `{}`", "passphrase: {} ", 'password = "{}"',
+])
+def test_forms_of_assignment(form):
+    text = f"x\n{form.format(SECRET)}\ny = 1\n"
+    assert SECRET in {text[a:b] for a, k, b in secret_scan.spans_of(text) if k == 3}
+    assert SECRET not in secret_scan.redact(text, secret_scan.spans_of(text))
+
+
 def test_redaction(spark, docs):
     df = docs([(1, 'a token="abcdefgh1" b'), (2, None), (3, "plain"), (4, "")])
     out = {r["doc_id"]: r for r in secret_scan.redact_documents(df).collect()}
