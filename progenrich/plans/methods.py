@@ -589,7 +589,16 @@ def _(spark, sf):
     "p",
 )
 def _(spark, sf):
-    o = table(spark, sf, "orders", F.col("o_orderkey").alias("object_id"), "o_custkey", "o_orderpriority").where("o_custkey % 10 = 0")
+    return _priority_pairs(spark, sf, "o_custkey % 10 = 0")
+
+
+@query("tag_join_prob_whole")
+def _(spark, sf):
+    return _priority_pairs(spark, sf, "true")
+
+
+def _priority_pairs(spark, sf, where):
+    o = table(spark, sf, "orders", F.col("o_orderkey").alias("object_id"), "o_custkey", "o_orderpriority").where(where)
     tags = COLLECTIONS["orders"].types[1].domain
     mixed = lambda no: F.pmod(7919 * F.col("object_id") + 31337 * no + 104729 * 3 + 613 * 40 * F.floor(F.col("object_id") / 97), F.lit(10007)) / F.lit(10007.0)
     cells = F.array(*[F.struct(F.lit(t).alias("tag"), F.when(F.col("o_orderpriority") == t, 1 - 0.6 * mixed(i)).otherwise(0.6 * mixed(i)).alias("p")) for i, t in enumerate(tags)])

@@ -102,8 +102,17 @@ def _(spark, sf):
 
 @query("sql_table_function", "SELECT o_orderkey AS object_id, ((o_orderkey % 10) / 10.0::DOUBLE) / 2 AS benefit FROM orders WHERE o_orderkey < 500", "benefit")
 def _(spark, sf):
+    return _items(spark, sf, "o_orderkey < 500")
+
+
+@query("sql_table_function_whole", "SELECT o_orderkey AS object_id, ((o_orderkey % 10) / 10.0::DOUBLE) / 2 AS benefit FROM orders", "benefit")
+def _(spark, sf):
+    return _items(spark, sf, "true")
+
+
+def _items(spark, sf, where):
     sqlsurface.register_item_function(spark)
-    table(spark, sf, "orders", "o_orderkey").where("o_orderkey < 500").selectExpr("o_orderkey AS object_id", "o_orderkey % 10 / 10D AS p", "2D AS cost").createOrReplaceTempView("item_in")
+    table(spark, sf, "orders", "o_orderkey").where(where).selectExpr("o_orderkey AS object_id", "o_orderkey % 10 / 10D AS p", "2D AS cost").createOrReplaceTempView("item_in")
     return spark.sql("SELECT * FROM enrich_items(TABLE(item_in))")
 
 
