@@ -59,7 +59,11 @@ def search_tile(block: QueryBlock, ids: np.ndarray, x: np.ndarray, k: int, limit
     room = 2 * slack + 1e-9 * ((block.norm**2)[:, None] + norm**2)
     own = block.ids[:, None] == ids
     upper = np.where(own, np.inf, base + room)
-    if x.shape[0] >= k:
+    order = np.argsort(ids, kind="stable")
+    starts = np.flatnonzero(np.r_[True, np.diff(ids[order]) != 0])
+    if len(starts) < len(ids):  # k distinct ids make the bound: a repeated id counts once, by its nearest row
+        upper = np.minimum.reduceat(upper[:, order], starts, axis=1)
+    if len(starts) >= k:
         np.minimum(limit, np.partition(upper, k - 1, axis=1)[:, k - 1], out=limit)
     return np.nonzero(~own & (base - room <= limit[:, None]))
 
@@ -75,7 +79,7 @@ def distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
 
 def _search(block_of: dict[int, QueryBlock], batches, k: int):
     limits = {d: np.full(len(b.ids), np.inf) for d, b in block_of.items()}
-    heaps: dict[tuple[int, int], list] = {}
+    heaps: dict[tuple[int, int], tuple[list, dict[int, float]]] = {}  # the k nearest distinct ids, and their distances
     for batch in batches:
         col = batch["v"]
         sizes = np.asarray(col.value_lengths())
@@ -99,13 +103,22 @@ def _search(block_of: dict[int, QueryBlock], batches, k: int):
                         a, c = qi[s : s + 65_536], ci[s : s + 65_536]
                         dist = distances(sub.x[a], part[c])
                         for i, j, e in zip(a.tolist(), pid[c].tolist(), dist.tolist()):
-                            heap = heaps.setdefault((int(d), lo + i), [])
+                            heap, held = heaps.setdefault((int(d), lo + i), ([], {}))
                             item = (-e, -j)
-                            if len(heap) < k:
+                            if j in held:
+                                if e >= held[j]:
+                                    continue
+                                heap.remove((-held[j], -j))
+                                heap.append(item)
+                                heapq.heapify(heap)
+                            elif len(heap) < k:
                                 heapq.heappush(heap, item)
                             elif item > heap[0]:
-                                heapq.heapreplace(heap, item)
-    rows = [(int(block_of[d].ids[i]), -j, -e) for (d, i), heap in heaps.items() for e, j in heap]
+                                del held[-heapq.heapreplace(heap, item)[1]]
+                            else:
+                                continue
+                            held[j] = e
+    rows = [(int(block_of[d].ids[i]), -j, -e) for (d, i), (heap, _) in heaps.items() for e, j in heap]
     cols = list(zip(*rows)) or [(), (), ()]
     yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64())], names=["query_id", "vec_id", "score"])
 

@@ -299,6 +299,20 @@ def test_nearest(spark, dim, tile, monkeypatch):
     assert ann_block_join.nearest(spark, df.limit(0), df.limit(0)).count() == 0
 
 
+def test_repeated_rows_leave_k_neighbours(spark):
+    """Every row twice, and some ids with a second, nearer vector: still the k nearest distinct ids."""
+    rng = np.random.default_rng(5)
+    rows = [(i, [float(x) for x in rng.normal(size=4)]) for i in range(60)] * 2
+    rows += [(i, [x + 0.01 for x in rows[0][1]]) for i in range(40, 43)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").coalesce(1)
+    got = [r["vec_id"] for r in sorted(ann_block_join.nearest(spark, df, df.where("vec_id = 0").limit(1), 10).collect(), key=lambda r: r["rank"])]
+    best = {}
+    for i, v in rows:
+        if i:
+            best[i] = min(best.get(i, 1e9), float(np.linalg.norm(np.array(v) - np.array(rows[0][1]))))
+    assert got == sorted(best, key=lambda i: (round(best[i], 12), i))[:10]
+
+
 def test_quantised_bounds_hold():
     rng = np.random.default_rng(4)
     x, y = rng.normal(size=(20, 32)), rng.normal(size=(300, 32))
