@@ -14,18 +14,18 @@ from __future__ import annotations
 
 import bisect
 import os
-import unicodedata
 import zlib
 from array import array
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import Generations, Workspace, map_slices, texts_of
+from .common import Generations, Workspace, as_list, byte_level, distinct_words, gather, map_slices, salts, texts_of
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 PLACED = PIECES + ", sequence_id long, offset long"
@@ -33,55 +33,49 @@ PLACED = PIECES + ", sequence_id long, offset long"
 
 #: Marks that may end a word and are pre-tokens of their own there (no apostrophe: contractions are not).
 TAIL = ",.;:!?*&%#$"
+#: Letters of the first 256 code points: their bytes need no normaliser but lower case.
+_LETTERS = "[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+"
 
 
-class WordIds(dict):
+class WordIds:
     """Ids of texts under a word-level BPE file that drops white space and lower-cases.
 
     White space parts pre-tokens, so a text's ids join those of its space-cut words; a run of letters and the
-    marks after it are pre-tokens too. The dictionary itself maps words, ``runs`` maps runs; both have two
-    generations of bounded size, and what is met again moves to the present one.
+    marks after it are pre-tokens too. Texts go by slices: each distinct run of a slice is looked up once in a
+    dictionary of bounded size, and its ids are laid out wherever it stands.
     """
 
     def __init__(self, path: str, entries: int):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        super().__init__()
-        self.entries, self.old, self.tok = entries, {}, Tokenizer.from_file(path)
+        self.tok = Tokenizer.from_file(path)
         #: Ids are kept in two bytes each where the vocabulary allows.
         self.kind = "H" if self.tok.get_vocab_size() <= 1 << 16 else "I"
-        self.runs = Generations(self._run, entries // 2)
-
-    def _run(self, run: str) -> bytes:
-        return array(self.kind, self.tok.encode(run, add_special_tokens=False).ids).tobytes()
-
-    def __missing__(self, word: str) -> bytes:
-        ids = self.old.get(word)
-        if ids is None:
-            letters = word.rstrip(TAIL)
-            if letters.isascii():
-                plain = letters.isalpha()
-                run = letters.lower() if plain else word
-            else:  # no mark may come off the letters and join the tail
-                plain = unicodedata.normalize("NFC", letters).lower().isalpha()
-                run = letters if plain else word
-            if not word:
-                ids = b""
-            elif plain and len(letters) != len(word):
-                ids = self.runs[run] + self.runs[word[len(letters) :]]
-            else:
-                ids = self.runs[run]
-        if len(self) >= self.entries:
-            self.old = dict(self)
-            self.clear()
-        self[word] = ids
-        return ids
-
-    def encode(self, text: str) -> bytes:
-        """Ids as little-endian 32-bit integers."""
-        got = b"".join(map(self.__getitem__, text.replace("\n", " ").split(" ")))
-        return np.frombuffer(got, "<u2").astype("<u4").tobytes() if self.kind == "H" else got
+        self.runs = Generations(lambda r: self._runs([r])[0], entries, self._runs)
+
+    def _runs(self, runs: list[str]) -> list[bytes]:
+        """Ids of runs. The model alone sees lower-case letters of the first 256 code points."""
+        tokenize, kind, out = self.tok.model.tokenize, self.kind, []
+        for r in runs:
+            plain = r.isalpha() and r.islower() and (r.isascii() or max(r) < "\u0100")
+            out.append(array(kind, [t.id for t in tokenize(r if r.isascii() else byte_level(r))]).tobytes() if plain else None)
+        rest = [i for i, x in enumerate(out) if x is None]
+        for i, e in zip(rest, self.tok.encode_batch([runs[i] for i in rest], add_special_tokens=False) if rest else ()):
+            out[i] = array(kind, e.ids).tobytes()
+        return out
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts one after the other, and the bounds by text."""
+        bounds, codes, words = distinct_words(pc.replace_substring(texts, "\n", " "))
+        letters = pc.utf8_rtrim(words, TAIL)
+        plain = pc.match_substring_regex(letters, f"^{_LETTERS}$")
+        run = pc.if_else(plain, pc.utf8_lower(letters), words)
+        tail = pc.if_else(plain, pc.replace_substring_regex(words, f"^{_LETTERS}", "", max_replacements=1), "")
+        units = pa.concat_arrays([run, tail]).dictionary_encode()
+        unit = units.indices.to_numpy().reshape(2, -1)
+        ids, ends = gather(self.runs.all(as_list(units.dictionary)), unit[:, codes].T.reshape(-1), f"<u{array(self.kind).itemsize}")
+        return ids, ends[2 * bounds]
 
 
 _WORDS: dict[tuple[str, int], WordIds] = {}
@@ -95,20 +89,20 @@ def _word_ids(path: str, entries: int) -> WordIds:
 
 def cut_documents(docs: DataFrame, tokenizer: str, window: int, end_id: int, entries: int = 400_000, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Pieces of at most ``window`` ids; the last id of each document is ``end_id``. Null texts count as empty."""
-    end = array("I", [end_id]).tobytes()
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        ids, bounds = _word_ids(tokenizer, entries).encode(batch["text"])
+        raw = memoryview(np.insert(ids.astype("<u4"), bounds[1:], end_id).tobytes())
+        bounds = (bounds + np.arange(len(bounds))).tolist()
         rows = []
-        for doc, ids in zip(batch["doc_id"].to_pylist(), map(_word_ids(tokenizer, entries).encode, batch["text"].to_pylist())):
-            ids += end
-            n = len(ids) // 4
-            for at in range(0, n, window):
-                size = min(window, n - at)
-                rows.append((doc, at, size, zlib.crc32(ids[4 * at : 4 * (at + size)]), n))
+        for doc, lo, hi in zip(batch["doc_id"].to_pylist(), bounds, bounds[1:]):
+            for at in range(lo, hi, window):
+                to = min(at + window, hi)
+                rows.append((doc, at - lo, to - at, zlib.crc32(raw[4 * at : 4 * to]), hi - lo))
         cols = list(zip(*rows)) or [()] * 5
         return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
 
-    return map_slices(texts_of(docs, key, text), run, PIECES)
+    return map_slices(texts_of(docs, key, text), run, PIECES, rows=1000)
 
 
 def nnls(a: np.ndarray, b: np.ndarray, rounds: int = 400) -> np.ndarray:
@@ -141,21 +135,33 @@ def nnls(a: np.ndarray, b: np.ndarray, rounds: int = 400) -> np.ndarray:
     return x
 
 
-def combinations(total: int, least: int, depth: int) -> list[tuple[int, ...]]:
-    """Non-increasing tuples of at most ``depth`` coarse lengths of ``least`` or more that sum to ``total``."""
-    out = []
+def combinations(total: int, least: int, depth: int = 3) -> list[tuple[tuple[int, int], ...]]:
+    """Shallow ways to fill ``total`` with coarse lengths of ``least`` or more: tuples of (length, repeats), longest first.
+
+    Either at most ``depth`` long lengths (a quarter of the window or more), or two different lengths of any
+    size, each repeated: a way has few different lengths however many pieces it holds.
+    """
+    out: set[tuple[tuple[int, int], ...]] = set()
+    for a in range(least, total + 1):
+        for m in range(1, total // a + 1):
+            rest = total - m * a
+            if not rest:
+                out.add(((a, m),))
+            for b in range(least, min(a - 1, rest) + 1):
+                if rest % b == 0:
+                    out.add(((a, m), (b, rest // b)))
 
     def grow(part: tuple[int, ...], rest: int, most: int) -> None:
         if rest == 0:
-            out.append(part)
+            out.add(tuple((k, part.count(k)) for k in sorted(set(part), reverse=True)))
         elif len(part) < depth:
-            for k in range(min(most, rest), least - 1, -1):
+            for k in range(min(most, rest), max(least, total // 8) - 1, -1):
                 if (depth - len(part)) * k < rest:
                     break
                 grow((*part, k), rest - k, k)
 
     grow((), total, total)
-    return out
+    return sorted(out)
 
 
 @dataclass
@@ -186,49 +192,48 @@ class Plan:
         return cols[:, 0], cols[:, 1], cols[:, 2], cols[:, 3]
 
 
-def make_plan(hist: np.ndarray, window: int, grid: int = 32, least: int = 32, depth: int = 4) -> Plan:
-    """Plan from ``hist[length] = count``. Short lengths (under ``least`` grid steps) are kept to fill gaps."""
-    left = hist.astype(np.int64).copy()
-    groups: list[tuple[int, tuple[int, ...]]] = []
-    if left[window]:
-        groups.append((int(left[window]), (window,)))
-        left[window] = 0
+def solve(left: np.ndarray, window: int, grid: int = 16, least: int = 8, share: float = 0.9) -> dict[int, list[tuple[int, tuple[int, ...]]]]:
+    """Sequences by least squares: free space -> (how many alike, lengths). What they hold is taken off ``left``.
+
+    Repeat counts of shallow combinations are solved against the histogram of coarse lengths (``grid`` tokens a step;
+    lengths under ``least`` steps are left to fill gaps). ``share`` of the counts is taken, rounded down.
+    """
     if window % grid or window // grid < 4:
         grid = 1
     steps = window // grid
-    least = min(least, max(1, steps // 4))
+    least = min(least, max(1, steps // 8))
     coarse = -(-np.arange(window + 1) // grid)
     free: dict[int, list[tuple[int, tuple[int, ...]]]] = {}
-    ways = combinations(steps, least, depth)
-    if ways and left.sum():
+    ways = combinations(steps, least) if left.sum() and steps <= 256 else []
+    if ways:
         a = np.zeros((steps + 1, len(ways)))
         for j, way in enumerate(ways):
-            for k in way:
-                a[k, j] += 1
+            for k, m in way:
+                a[k, j] = m
         have = np.bincount(np.minimum(coarse, steps), weights=left, minlength=steps + 1)
         have[:least] = 0
-        repeats = nnls(a, have)
+        repeats = nnls(a, have) * share
         lists = {k: [[n, int(left[n])] for n in range(min(window, k * grid), (k - 1) * grid, -1) if left[n]] for k in range(least, steps + 1)}
         stock = have.astype(np.int64)
-        for j in np.argsort(-repeats):
-            way, need = ways[j], a[:, j].astype(np.int64)
-            r = min([int(repeats[j]), *(int(stock[k] // need[k]) for k in set(way))])
+        for j in np.argsort(-repeats, kind="stable"):
+            r = min([int(repeats[j]), *(int(stock[k] // m) for k, m in ways[j])])
             if r <= 0:
                 continue
-            stock -= r * need
             slots = []
-            for k in way:
-                runs, want = [], r
-                while want:
-                    head = lists[k][0]
-                    n = min(want, head[1])
-                    runs.append((head[0], n))
-                    head[1] -= n
-                    want -= n
-                    left[head[0]] -= n
-                    if not head[1]:
-                        lists[k].pop(0)
-                slots.append(runs)
+            for k, m in ways[j]:
+                stock[k] -= r * m
+                for _ in range(m):
+                    runs, want = [], r
+                    while want:
+                        head = lists[k][0]
+                        n = min(want, head[1])
+                        runs.append((head[0], n))
+                        head[1] -= n
+                        want -= n
+                        left[head[0]] -= n
+                        if not head[1]:
+                            lists[k].pop(0)
+                    slots.append(runs)
             ends = sorted({int(x) for runs in slots for x in np.cumsum([n for _, n in runs])})
             marks = [(np.cumsum([n for _, n in runs]), [size for size, _ in runs]) for runs in slots]
             was = 0
@@ -236,6 +241,18 @@ def make_plan(hist: np.ndarray, window: int, grid: int = 32, least: int = 32, de
                 lengths = tuple(sizes[int(np.searchsorted(cum, was, side="right"))] for cum, sizes in marks)
                 free.setdefault(window - sum(lengths), []).append((e - was, lengths))
                 was = e
+    return free
+
+
+def make_plan(hist: np.ndarray, window: int, grid: int = 16, least: int = 8, share: float = 0.9) -> Plan:
+    """Plan from ``hist[length] = count``: full windows, sequences by least squares, and what remains of every length
+    packed greedily, longest first, into the space that coarse lengths waste, then into windows of its own."""
+    left = hist.astype(np.int64).copy()
+    groups: list[tuple[int, tuple[int, ...]]] = []
+    if left[window]:
+        groups.append((int(left[window]), (window,)))
+        left[window] = 0
+    free = solve(left, window, grid, least, share)
     spaces = sorted(free)
     for size in range(window - 1, 0, -1):
         want = int(left[size])
@@ -275,8 +292,7 @@ def _open(free, spaces, space, group) -> None:
 def place(pieces: DataFrame, plan: Plan) -> DataFrame:
     """Give each piece its sequence and offset by its number among the pieces of its length."""
     spark = pieces.sparkSession
-    salts = max(32, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    salted = pieces.withColumn("salt", F.pmod(F.xxhash64("doc_id", "start"), F.lit(salts)).cast("int"))
+    salted = pieces.withColumn("salt", F.pmod(F.xxhash64("doc_id", "start"), F.lit(salts(spark))).cast("int"))
     runs = salted.groupBy("length", "salt").agg(F.count("*").alias("n"))
     before = runs.select("length", "salt", (F.sum("n").over(W.partitionBy("length").orderBy("salt")) - F.col("n")).alias("before"))
     within = F.row_number().over(W.partitionBy("length", "salt").orderBy("doc_id", "start", "ids_crc32", "doc_tokens"))
