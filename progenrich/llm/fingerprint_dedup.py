@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Workspace, counted, map_slices, texts_of
+from .common import Workspace, map_slices, may_hold, sieve, texts_of, with_totals
 
 #: Primes below 2**31 (fixed values of the fingerprint), each with a base.
 PRIMES = (2147483647, 2147483629, 2147483587, 2147483579)
@@ -106,23 +106,23 @@ def duplicate_classes(spark: SparkSession, docs: DataFrame, key: str = "doc_id",
     work = Workspace(spark, "exact-dedup")
     texts = texts_of(docs, key, text)
     prints = work.write(fingerprints(texts, primes, bases), "prints")
+    by, open_, settled, round_ = ["f1", "f2", "size"], prints.where("doc_id is not null").select("doc_id", "f1", "f2", "size", "points"), [], 0
     # of a group: its size and the row that would stay
-    best = F.max(F.struct(F.col("points"), (-F.col("doc_id")).alias("low")))
-    open_, settled, round_ = prints.where("doc_id is not null"), [], 0
+    first = [F.count("*").alias("n"), F.max(F.struct(F.col("points"), (-F.col("doc_id")).alias("low"))).alias("best")]
+    second = [F.sum("n").alias("n"), (-F.max("best")["low"]).alias("keep_id")]
     while True:
-        by = ["f1", "f2", "size"]
-        groups = open_.groupBy(by).agg(F.count("*").alias("n"), best.alias("best")).where("n > 1").select(*by, "n", (-F.col("best.low")).alias("keep_id"))
-        members = work.write(open_.join(groups, by).select("doc_id", "keep_id", "n"), f"members{round_}")
+        members = work.write(with_totals(open_, by, "doc_id", first, second, "n > 1").select("doc_id", "keep_id", "n"), f"members{round_}")
         # a member, and for each share of a group one copy of the row that stays
         share = F.pmod(F.xxhash64("doc_id"), F.ceil(F.col("n") / SHARE).cast("long"))
         wanted = members.where("doc_id <> keep_id").withColumn("share", share)
         copies = wanted.select(F.col("keep_id").alias("doc_id"), "keep_id", "share", F.lit(True).alias("stays")).distinct()
-        # one join brings the texts that have a partner; they alone are stored and cut
+        # a sieve lets through the texts that may have a partner; they alone are shuffled, stored and cut
         partners = wanted.select("doc_id", "keep_id", "share", F.lit(False).alias("stays")).unionByName(copies)
-        bodies = work.write(texts.join(counted(partners), "doc_id"), f"bodies{round_}")
+        near = may_hold(texts, sieve(members))
+        bodies = work.write(near.join(partners.hint("merge"), "doc_id"), f"bodies{round_}")
         left = _chunks(bodies.where("not stays").drop("stays"), chunk)
         right = _chunks(bodies.where("stays").drop("stays", "doc_id"), chunk).withColumnRenamed("bytes", "other").dropDuplicates(["keep_id", "share", "part"])
-        same = left.join(right, ["keep_id", "share", "part"], "left").groupBy("doc_id", "keep_id").agg(F.min(F.coalesce(F.col("bytes") == F.col("other"), F.lit(False))).alias("same"))
+        same = left.join(right.hint("merge"), ["keep_id", "share", "part"], "left").groupBy("doc_id", "keep_id").agg(F.min(F.coalesce(F.col("bytes") == F.col("other"), F.lit(False))).alias("same"))
         same = work.write(same, f"same{round_}")
         work.drop(f"bodies{round_}", f"members{round_}")
         settled.append(same.where("same").select("doc_id", "keep_id"))
@@ -136,6 +136,8 @@ def duplicate_classes(spark: SparkSession, docs: DataFrame, key: str = "doc_id",
         links = links.unionByName(more)
     links = links.groupBy("doc_id").agg(F.min("keep_id").alias("to"))
     named = prints.select("doc_id", "text_sha256").join(links, "doc_id", "left").withColumn("keep_id", F.coalesce("to", "doc_id"))
-    sizes = named.where("to is not null").groupBy("keep_id").agg(F.count("*").alias("others"))
-    out = named.join(sizes, "keep_id", "left")
-    return out.select("doc_id", "keep_id", (F.coalesce("others", F.lit(0)) + 1).alias("group_size"), F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
+    # sizes: rows of a group, dealt to many tasks as one group may hold a great share of all rows
+    sized = with_totals(named.where("keep_id is not null"), ["keep_id"], "doc_id", [F.count("to").alias("n")], [(F.sum("n") + 1).alias("group_size")])
+    lone = named.where("keep_id is null").withColumn("group_size", F.lit(1).cast("long"))
+    out = sized.unionByName(lone.select(*sized.columns))
+    return out.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256")
