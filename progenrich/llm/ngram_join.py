@@ -12,7 +12,8 @@
    verified after that, exactly once. Postings of an n-gram that lie in one component make no pairs at all.
 4. Verified links give the components and, in the join, the number of links.
 
-N-grams are 64-bit hashes from here on.
+N-grams are 64-bit hashes from here on. One plan serves all sizes: texts of a pair are found through a sieve of
+fixed size, and the rows of hot n-grams, as the sketch tells them, are dealt to several tasks.
 """
 
 from __future__ import annotations
@@ -22,38 +23,57 @@ import zlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_ROWS, Generations, Workspace, counted, slices, texts_of
+from .common import Workspace, as_list, distinct_words, may_hold, sieve, slices, texts_of, with_lookup, with_totals
 from .components import components
 
 SKETCH_BITS = 20
 SEGMENT = 4096
 #: Bits of a set's bitmap: sets differ in at least as many n-grams as their bitmaps in bits (the suffix filter).
 BITMAP = 1024
+#: An n-gram is hot, and its rows go to several tasks, from this many rows and this multiple of the mean on.
+HOT_ROWS = 2000
+HOT_SHARE = 8
 _MIX = tuple(np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xFF51AFD7ED558CCD))
 
 
 class Shingler:
-    """Sorted distinct hashes of word n-grams; the words' hashes are kept in a dictionary of bounded size."""
+    """Sorted distinct hashes of the word n-grams of texts; each distinct word of a slice is hashed once."""
 
-    def __init__(self, n: int, entries: int = 100_000):
-        self.n, self.known = n, Generations(xxhash.xxh64_intdigest, entries)
+    def __init__(self, n: int):
+        self.n = n
 
-    def of(self, text: str) -> np.ndarray:
-        words = text.encode("utf-8", "surrogatepass").lower().split()
-        if not words:
-            return np.zeros(0, np.uint64)
-        h = np.fromiter(map(self.known.__getitem__, words), np.uint64, len(words))
-        size = min(self.n, len(h))
+    def _mixed(self, h: np.ndarray, size: int) -> np.ndarray:
         out = np.full(len(h) - size + 1, np.uint64(size), np.uint64)
         with np.errstate(over="ignore"):
             for i in range(size):
                 out = (out * _MIX[0] + h[i : len(h) - size + 1 + i]) * _MIX[1]
                 out ^= out >> np.uint64(29)
-        return np.unique(out)
+        return out
+
+    def sets(self, texts: pa.Array) -> list[np.ndarray]:
+        bounds, codes, words = distinct_words(pc.ascii_lower(texts), white=True)
+        each = np.fromiter(map(xxhash.xxh64_intdigest, as_list(words)), np.uint64, len(words))
+        h, n = each[codes], self.n
+        every = self._mixed(h, n) if len(h) >= n else h[:0]
+        bounds, out = bounds.tolist(), []
+        for lo, hi in zip(bounds, bounds[1:]):
+            if hi - lo >= n:
+                grams = np.sort(every[lo : hi - n + 1])
+                new = np.empty(len(grams), bool)
+                new[0] = True
+                np.not_equal(grams[1:], grams[:-1], out=new[1:])
+                out.append(grams[new])
+            else:
+                out.append(self._mixed(h[lo:hi], hi - lo) if hi > lo else h[:0])
+        return out
+
+    def of(self, text: str) -> np.ndarray:
+        return self.sets(pa.array([text]))[0]
 
 
 def needed(size, percent: int):
@@ -80,10 +100,9 @@ def _profiles(texts: DataFrame, n: int) -> DataFrame:
 
     def run(batches):
         sh, sketch = Shingler(n), np.zeros(1 << SKETCH_BITS, np.uint32)
-        for b in slices(batches):
+        for b in slices(batches, 1000):
             size, s1, s2, bits, pending = [], [], [], [], []
-            for t in b["text"].to_pylist():
-                g = sh.of(t)
+            for g in sh.sets(b["text"]):
                 d = _digest(g)
                 size.append(len(g))
                 s1.append(d[0])
@@ -126,14 +145,18 @@ def _merged_sketch(parts: DataFrame) -> np.ndarray:
 
 
 def _prefixes(spark: SparkSession, texts: DataFrame, n: int, percent: int, sketch: np.ndarray) -> DataFrame:
+    """Rows (gram, s1, n, pos, parts) of the prefixes; ``parts`` is how many tasks share the rows of a hot n-gram.
+
+    A hot one has several times the mean count of a cell of the sketch, so few cells are hot at any size.
+    """
     shared = spark.sparkContext.broadcast(sketch)
+    hot = max(HOT_ROWS, HOT_SHARE * float(sketch.mean()))
 
     def run(batches):
         sh, count, seen = Shingler(n), shared.value, set()
-        for b in slices(batches):
-            cols: list[list] = [[], [], [], []]
-            for t in b["text"].to_pylist():
-                g = sh.of(t)
+        for b in slices(batches, 1000):
+            cols: list[list] = [[], [], [], [], []]
+            for g in sh.sets(b["text"]):
                 if not len(g):
                     continue
                 d = _digest(g)
@@ -151,10 +174,11 @@ def _prefixes(spark: SparkSession, texts: DataFrame, n: int, percent: int, sketc
                 cols[1].append(np.full(p, d[0], np.int64))
                 cols[2].append(np.full(p, len(g), np.int32))
                 cols[3].append(np.arange(p, dtype=np.int32))
+                cols[4].append(np.ceil(np.maximum(c[few] / hot, 1)).astype(np.int32))
             if cols[0]:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["gram", "s1", "n", "pos"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["gram", "s1", "n", "pos", "parts"])
 
-    return texts.mapInArrow(run, "gram long, s1 long, n int, pos int")
+    return texts.mapInArrow(run, "gram long, s1 long, n int, pos int, parts int")
 
 
 def _sets(texts: DataFrame, n: int) -> DataFrame:
@@ -162,8 +186,8 @@ def _sets(texts: DataFrame, n: int) -> DataFrame:
 
     def run(batches):
         sh = Shingler(n)
-        for b in slices(batches):
-            yield pa.RecordBatch.from_arrays([b["doc_id"], pa.array([sh.of(t).tobytes() for t in b["text"].to_pylist()], pa.binary())], names=["doc_id", "grams"])
+        for b in slices(batches, 1000):
+            yield pa.RecordBatch.from_arrays([b["doc_id"], pa.array([g.tobytes() for g in sh.sets(b["text"])], pa.binary())], names=["doc_id", "grams"])
 
     return texts.mapInArrow(run, "doc_id long, grams binary")
 
@@ -183,7 +207,9 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
                 out.append(100 * hit >= percent * (len(u) + len(v) - hit))
             yield pa.RecordBatch.from_arrays([b["a"], b["b"], pa.array(out, pa.bool_())], names=["a", "b", "linked"])
 
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "ga", "gb").mapInArrow(run, "a long, b long, linked boolean")
+    # sorted merges: AQE deals the pairs of an id that is in very many of them to several tasks
+    both = pairs.hint("merge").join(left, "a").hint("merge").join(right, "b")
+    return both.select("a", "b", "ga", "gb").mapInArrow(run, "a long, b long, linked boolean").groupBy("a", "b").agg(F.max("linked").alias("linked"))
 
 
 def _can_match(percent: int, a: str = "", b: str = "o_") -> F.Column:
@@ -201,75 +227,88 @@ def _can_overlap(percent: int, a: str = "bits", b: str = "o_bits") -> F.Column:
     return (100 + percent) * (both - differ) >= 2 * percent * both
 
 
-def _restricted(texts: DataFrame, ids: DataFrame, small: int) -> DataFrame:
-    """Texts of the ids; they are broadcast only when counted and few, else joined by shuffle."""
-    return texts.join(counted(ids, small), "doc_id", "left_semi")
+def _slots(rows: DataFrame) -> DataFrame:
+    """A copy of each row for every part of its n-gram."""
+    return rows.withColumn("slot", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
 
 
-def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 1, key: str = "doc_id", text: str = "text", small: int = BROADCAST_ROWS) -> DataFrame:
+def near_duplicate_components(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, rounds: int = 1, key: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per document: ``doc_id, n_shingles, component_id``; links within a component are not looked for.
 
     ``component_id`` is the least id reachable over pairs with a Jaccard similarity of at least
     ``percent`` / 100 on sets of distinct ``n``-word shingles (words by ASCII white space, A-Z lowered).
     Fewer words than ``n`` make one shingle of the whole; without words (null or empty text) a document
-    has size 0 and its own component. Null ids are left out; repeated ids share a component; an empty table
-    gives no rows; other columns are not read.
+    has size 0 and its own component. A null id has a row with its size and no component, and links nothing. A
+    repeated id with equal texts has equal rows; one with different texts has a row for each, and where it stands
+    for a class, any of its texts may link the class. Shingles are compared as 64-bit hashes: a similarity is exact
+    unless two different shingles of one pair share a hash. An empty table gives no rows; other columns are not read.
     """
-    return _joined(spark, docs, n, percent, rounds, key, text, small, False)
+    return _joined(spark, docs, n, percent, rounds, key, text, False)
 
 
-def near_duplicate_links(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text", small: int = BROADCAST_ROWS) -> DataFrame:
+def near_duplicate_links(spark: SparkSession, docs: DataFrame, n: int = 5, percent: int = 80, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``near_duplicate_components`` with ``links``: in how many other classes (documents of equal sets) the
     document has partners. All pairs of classes count, so the work grows with the number of links."""
-    return _joined(spark, docs, n, percent, 0, key, text, small, True)
+    return _joined(spark, docs, n, percent, 0, key, text, True)
 
 
-def _joined(spark: SparkSession, docs: DataFrame, n: int, percent: int, rounds: int, key: str, text: str, small: int, every: bool) -> DataFrame:
+def _joined(spark: SparkSession, docs: DataFrame, n: int, percent: int, rounds: int, key: str, text: str, every: bool) -> DataFrame:
     work = Workspace(spark, "ngram-join")
-    texts = texts_of(docs, key, text).where("doc_id is not null")
+    texts = texts_of(docs, key, text)
     profiles = work.write(_profiles(texts, n), "profiles")
     sketch = _merged_sketch(profiles.where("segment is not null").select("segment", "counts"))
-    prints = work.write(profiles.where("segment is null").select("doc_id", "n", "s1", "s2", "bits"), "prints")
+    prints = profiles.where("segment is null").select("doc_id", "n", "s1", "s2", "bits")
+    # classes of equal sets, each named by its least id, which alone keeps the bitmap
+    lo = F.min("rep").alias("rep")
+    named = with_totals(prints.where("n > 0 and doc_id is not null"), ["s1", "s2"], "doc_id", [F.min("doc_id").alias("rep")], [lo])
+    named = work.write(named.select("doc_id", "n", "s1", "rep", F.when(F.col("doc_id") == F.col("rep"), F.col("bits")).alias("bits")), "named")
+    lone = work.write(prints.where("n = 0 or doc_id is null").select("doc_id", "n"), "lone")
     work.drop("profiles")  # with it go the sketches of all partitions
-    classes = prints.where("n > 0").groupBy("s1", "s2").agg(F.min("doc_id").alias("rep"))
-    prefixes = work.write(_prefixes(spark, texts, n, percent, sketch), "prefixes")
-    # an n-gram matters if two different sets have it in their prefixes
-    live = prefixes.groupBy("gram").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi").select("gram")
+    classes = named.where("doc_id = rep").select("s1", "rep", "bits").dropDuplicates(["s1", "rep"])
+    prefixes = work.write(_prefixes(spark, texts.where("doc_id is not null"), n, percent, sketch), "prefixes")
+    # an n-gram matters if two different sets have it in their prefixes; a hot one is taken to
+    cold, warm = prefixes.where("parts = 1"), prefixes.where("parts > 1")
+    live = cold.groupBy("gram").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi").select("gram")
+    each = [F.max(c).alias(c) for c in ("n", "pos", "parts")]
     # partitions by n-gram serve the join and this aggregate alike
-    shared = work.write(prefixes.join(live, "gram").groupBy("gram", "s1").agg(F.max("n").alias("n"), F.max("pos").alias("pos")), "shared")
+    shared = cold.join(live.hint("merge"), "gram").groupBy("gram", "s1").agg(*each).unionByName(warm.groupBy("gram", "s1").agg(*each))
+    shared = work.write(shared, "shared")
     work.drop("prefixes")
     # half of the digest names the set here: where two sets share it, both get the posting, and verification tells;
     # w: how many n-grams of its prefix a set shares
-    named_sets = shared.groupBy("s1").agg(F.count("*").alias("w")).join(classes, "s1").select("s1", "rep", "w")
-    postings = work.write(shared.join(named_sets, "s1").select("gram", "rep", "n", "pos", "w"), "postings")
+    named_sets = shared.groupBy("s1").agg(F.count("*").alias("w")).join(classes.select("s1", "rep"), "s1").select("s1", "rep", "w")
+    slot = F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int").alias("slot")
+    postings = work.write(shared.join(named_sets, "s1").select("gram", "rep", "n", "pos", "w", "parts", slot), "postings")
     work.drop("shared")
     sets, links, comp, tried = None, None, None, None
 
     def verify(pairs: DataFrame, label: str) -> DataFrame:
         nonlocal sets
         ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-        if sets is not None:
-            ids = ids.join(sets.select("doc_id"), "doc_id", "left_anti")
-        more = work.write(_sets(_restricted(texts, ids, small).dropDuplicates(["doc_id"]), n), f"sets-{label}")
+        new = ids if sets is None else ids.join(sets.select("doc_id"), "doc_id", "left_anti")
+        # texts that pass the sieve give their sets where they are; the join of the pairs drops the few too many
+        more = work.write(_sets(may_hold(texts, sieve(new)), n), f"sets-{label}")
         sets = more if sets is None else sets.unionByName(more)
-        return work.write(_verified(pairs, sets, percent), f"verified-{label}")
+        return work.write(_verified(pairs, may_hold(sets, sieve(ids)), percent), f"verified-{label}")
 
     def joined(label: str) -> DataFrame:
         return work.write(components(links, work, f"cc-{label}"), f"comp-{label}")
 
-    for r in range(rounds):
+    def with_components() -> DataFrame:
         rows = postings if comp is None else postings.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
-        rows = rows.withColumn("c", F.col("rep") if comp is None else F.coalesce("component", "rep")).select("gram", "rep", "n", "pos", "w", "c")
+        return rows.withColumn("c", F.col("rep") if comp is None else F.coalesce("component", "rep")).select("gram", "rep", "n", "pos", "w", "c", "parts", "slot")
+
+    for r in range(rounds):
         # one partner for each n-gram and class of size (within which sizes can match): the set with most shared
         # n-grams in its prefix, as it has least of its own; with classes shifted in the next round, then any set
         step = F.floor(F.log(F.col("n").cast("double")) / float(np.log(100 / percent)) + 0.5 * (r % 2)).cast("int") if percent < 100 else F.col("n")
-        rows = rows.withColumn("size", step)
+        rows = with_components().withColumn("size", step)
         order = F.col("w") if r < 2 else F.xxhash64(F.col("rep"), F.lit(r))
         centre = rows.groupBy("gram", "size").agg(
             F.max(F.struct(order.cast("long").alias("o"), F.col("rep").alias("o_rep"), F.col("n").alias("o_n"), F.col("pos").alias("o_pos"), F.col("c").alias("o_c"))).alias("m"),
-            F.min("c").alias("lo"), F.max("c").alias("hi"),
-        ).where("lo < hi").select("gram", "size", "m.*")
-        near = rows.join(centre, ["gram", "size"]).where(F.col("c") != F.col("o_c")).where(_can_match(percent))
+            F.min("c").alias("lo"), F.max("c").alias("hi"), F.max("parts").alias("parts"),
+        ).where("lo < hi").select("gram", "size", "m.*", "parts")
+        near = rows.drop("parts").join(_slots(centre), ["gram", "size", "slot"]).where(F.col("c") != F.col("o_c")).where(_can_match(percent))
         best = near.groupBy("rep", "o_rep").agg(F.count("*").alias("k")).groupBy("rep").agg(F.max(F.struct("k", "o_rep")).alias("m"))
         pairs = best.select(F.least("rep", "m.o_rep").alias("a"), F.greatest("rep", "m.o_rep").alias("b")).distinct()
         pairs = work.write(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), f"pairs-{r}")
@@ -280,32 +319,35 @@ def _joined(spark: SparkSession, docs: DataFrame, n: int, percent: int, rounds:
         links = good if links is None else links.unionByName(good)
         tried = done.select("a", "b") if tried is None else tried.unionByName(done.select("a", "b"))
         comp = joined(str(r))
-    # every pair, or every pair over different components, that the filters let through
-    rows = postings if comp is None else postings.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
-    rows = rows.withColumn("c", F.col("rep") if comp is None else F.coalesce("component", "rep")).select("gram", "rep", "n", "pos", "c")
-    bits = prints.join(classes, ["s1", "s2"]).groupBy("rep").agg(F.first("bits").alias("bits"))
+    # every pair, or every pair over different components, that the filters let through; for a hot n-gram one side
+    # is copied to all parts, so its pairs are made in as many tasks
+    rows, bits = with_components().drop("w"), classes.select("rep", "bits").dropDuplicates(["rep"])
     if every:
         rows = work.write(rows.join(bits, "rep"), "mixed")
-        other = rows.select("gram", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "bits")])
-        cross = rows.join(other, "gram").where((F.col("rep") < F.col("o_rep")) & _can_match(percent) & _can_overlap(percent))
+        other = _slots(rows.select("gram", "parts", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "bits")])).drop("parts")
+        cross = rows.join(other, ["gram", "slot"]).where((F.col("rep") < F.col("o_rep")) & _can_match(percent) & _can_overlap(percent))
     else:
-        mixed = rows.groupBy("gram", "c").agg(F.count("*").alias("k")).groupBy("gram").agg(F.max(F.struct("k", "c")).alias("m"), F.count("*").alias("parts")).where("parts > 1").select("gram", F.col("m.c").alias("main"))
-        rows = work.write(rows.join(mixed, "gram").join(bits, "rep"), "mixed")
-        minor = rows.where("c <> main").select("gram", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "c", "bits")])
-        cross = rows.join(minor, "gram").where((F.col("c") != F.col("o_c")) & ((F.col("c") == F.col("main")) | (F.col("rep") < F.col("o_rep"))) & _can_match(percent) & _can_overlap(percent))
+        mixed = rows.groupBy("gram", "c").agg(F.count("*").alias("k"), F.max("parts").alias("parts")).groupBy("gram").agg(F.max(F.struct("k", "c")).alias("m"), F.count("*").alias("kinds"), F.max("parts").alias("parts"))
+        mixed = _slots(mixed.where("kinds > 1")).select("gram", "slot", F.col("m.c").alias("main"))
+        rows = work.write(rows.join(mixed, ["gram", "slot"]).join(bits, "rep"), "mixed")
+        minor = _slots(rows.where("c <> main").select("gram", "parts", *[F.col(x).alias(f"o_{x}") for x in ("rep", "n", "pos", "c", "bits")])).drop("parts")
+        cross = rows.join(minor, ["gram", "slot"]).where((F.col("c") != F.col("o_c")) & ((F.col("c") == F.col("main")) | (F.col("rep") < F.col("o_rep"))) & _can_match(percent) & _can_overlap(percent))
     pairs = cross.select(F.least("rep", "o_rep").alias("a"), F.greatest("rep", "o_rep").alias("b")).distinct()
     pairs = work.write(pairs if tried is None else pairs.join(tried, ["a", "b"], "left_anti"), "pairs-rest")
+    work.drop("postings", "mixed")
     if not pairs.isEmpty():
         good = verify(pairs, "rest").where("linked").select("a", "b")
         links = good if links is None else links.unionByName(good)
         comp = joined("rest")
-    named = prints.where("n > 0").join(classes, ["s1", "s2"]).select("doc_id", "n", "rep").unionByName(prints.where("n = 0").select("doc_id", "n", F.col("doc_id").alias("rep")))
-    size = F.col("n").alias("n_shingles")
+    work.drop("sets-rest", *[f"sets-{r}" for r in range(rounds)])
+    size, alone = F.col("n").alias("n_shingles"), lone.select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
+    none = [F.lit(0).cast("long").alias("links")] if every else []
     if comp is None:
-        return named.select("doc_id", size, F.col("rep").alias("component_id"), *([F.lit(0).cast("long").alias("links")] if every else []))
-    out = named.join(comp.withColumnRenamed("node", "rep"), "rep", "left")
-    found = ["doc_id", size, F.coalesce("component", "rep").alias("component_id")]
-    if not every:
-        return out.select(*found)
-    degree = links.select(F.col("a").alias("rep")).union(links.select("b")).groupBy("rep").agg(F.count("*").alias("links"))
-    return out.join(degree, "rep", "left").select(*found, F.coalesce("links", F.lit(0)).cast("long").alias("links"))
+        return named.select("doc_id", size, F.col("rep").alias("component_id"), *none).unionByName(alone.select("*", *none))
+    found = comp.withColumnRenamed("node", "rep")
+    if every:
+        degree = links.select(F.col("a").alias("rep")).union(links.select("b")).groupBy("rep").agg(F.count("*").alias("links"))
+        found = found.join(degree, "rep", "left")
+    out = with_lookup(named.select("doc_id", "n", "rep"), ["rep"], "doc_id", found)
+    out = out.select("doc_id", size, F.coalesce("component", "rep").alias("component_id"), *([F.coalesce("links", F.lit(0)).cast("long").alias("links")] if every else []))
+    return out.unionByName(alone.select("*", *none))
