@@ -16,10 +16,12 @@ import re
 from array import array
 
 import ahocorasick
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from .common import map_slices, texts_of
+from .common import Generations, as_list, distinct_words, gather, map_slices, texts_of
 
 MARK = "▁"
 SCHEMA = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
@@ -53,7 +55,8 @@ class PieceEncoder:
             self.found.add_word(p[::-1], p)
         self.found.make_automaton()
         self.fits: dict[tuple[str, str], bool] = {}
-        self.known: dict[str, bytes] = {}
+        #: Ids of words with the mark before them.
+        self.known = Generations(lambda w: self._pack(self.segment(MARK + w)), entries)
         self.runs = re.compile(f"{MARK}+[^{MARK}]*")
 
     def merge(self, s: str) -> list[str]:
@@ -131,40 +134,35 @@ class PieceEncoder:
                 ids.append(i)
         return array("I", ids).tobytes()
 
-    def _learn(self, words) -> None:
-        known = self.known
-        for w in words:
-            if w not in known:
-                known[w] = self._pack(self.segment(MARK + w))
-
     def encode(self, text: str) -> bytes:
-        """Ids as little-endian 32-bit integers, without begin and end."""
+        """Ids of one text as little-endian 32-bit integers, without begin and end."""
         if not text:
             return b""
-        if MARK in text:
-            text = text.replace(MARK, " ")
-        words = text.split(" ")
-        if "" not in words:
-            try:
-                return b"".join(map(self.known.__getitem__, words))
-            except KeyError:
-                if len(self.known) > self.entries:
-                    self.known.clear()
-                self._learn(words)
-                return b"".join(map(self.known.__getitem__, words))
         out = []
         for s in self.runs.findall(MARK + text.replace(" ", MARK)):
             if s[1:2] == MARK or s == MARK:
                 out.append(self._pack(self.merge(s)))
             else:
-                out.append(self.known[s[1:]] if s[1:] in self.known else self._pack(self.segment(s)))
+                out.append(self.known[s[1:]])
         return b"".join(out)
 
-    def ids_of(self, text: str) -> array:
-        got = array("I", [self.sp.bos_id()])
-        got.frombytes(self.encode(text))
-        got.append(self.sp.eos_id())
-        return got
+    def encode_all(self, texts: pa.Array) -> list[np.ndarray]:
+        """Ids of each text with begin and end; distinct words of the slice are encoded once."""
+        if not len(texts):
+            return []
+        bounds, codes, words = distinct_words(pc.replace_substring(texts, MARK, " "))
+        names = as_list(words)
+        ids, ends = gather(self.known.all(names), codes, "<u4")
+        # an empty word is a run of marks, or a text's edge: there the order of merges decides
+        empty = np.concatenate([[0], np.cumsum(codes == names.index(""))]) if "" in names else None
+        bos, eos = [np.array([i], "<u4") for i in (self.sp.bos_id(), self.sp.eos_id())]
+        out = []
+        for i, (lo, hi) in enumerate(zip(bounds.tolist(), bounds[1:].tolist())):
+            own = ids[ends[lo] : ends[hi]]
+            if empty is not None and empty[hi] > empty[lo]:
+                own = np.frombuffer(self.encode(texts[i].as_py()), "<u4")
+            out.append(np.concatenate([bos, own, eos]))
+        return out
 
 
 _ENCODERS: dict[tuple[str, int], PieceEncoder] = {}
@@ -180,7 +178,7 @@ def encode(docs: DataFrame, model: str, key: str = "doc_id", text: str = "text")
     """``doc_id, ids`` of every whole text, with begin and end ids; a null text counts as empty."""
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        got = [encoder(model).ids_of(t).tolist() for t in batch["text"].to_pylist()]
+        got = [ids.tolist() for ids in encoder(model).encode_all(batch["text"])]
         return pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(got, pa.list_(pa.int32()))], names=["doc_id", "ids"])
 
     return map_slices(texts_of(docs, key, text), run, IDS_SCHEMA)
@@ -206,11 +204,10 @@ def round_trip_digests(docs: DataFrame, model: str, entries: int = 400_000, key:
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         enc = encoder(model, entries)
         n, a, b = [], [], []
-        for t in batch["text"].to_pylist():
-            ids = enc.ids_of(t)
+        for ids in enc.encode_all(batch["text"]):
             n.append(len(ids))
             a.append(hashlib.sha256(ids.tobytes()).hexdigest())
             b.append(hashlib.sha256(enc.sp.decode(ids.tolist()).encode()).hexdigest())
         return pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(n, pa.int64()), pa.array(a, pa.string()), pa.array(b, pa.string())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return map_slices(texts_of(docs, key, text), run, SCHEMA)
+    return map_slices(texts_of(docs, key, text), run, SCHEMA, rows=1000)
