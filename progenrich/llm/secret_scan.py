@@ -13,7 +13,7 @@ import hashlib
 import math
 import re
 from collections import Counter
-from collections.abc import Iterator
+from dataclasses import dataclass, field
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -27,7 +27,8 @@ HEX = re.compile(r"[0-9a-f]{32,}")
 KEYWORDS = re.compile(r"(?:passw(?:or)?d|secret|token|api_?key)[\"' :=]", re.IGNORECASE | re.ASCII)
 KINDS = ("assign", "access", "hex", "literal")
 
-_NAME = r"[A-Za-z_][A-Za-z0-9_.\-]{0,127}"
+# no name gives characters back: none of its characters can begin what follows it
+_NAME = r"[A-Za-z_][A-Za-z0-9_.\-]{0,127}+"
 _QUOTED = r"\"\"\"(?:[^\\]|\\[\s\S])*?\"\"\"|'''(?:[^\\]|\\[\s\S])*?'''|\"(?:[^\"\\\n]|\\.)*\"|'(?:[^'\\\n]|\\.)*'|`(?:[^`\\]|\\[\s\S])*`"
 #: name, operator, first operand; further operands follow by "+".
 _START = re.compile(rf"""["']?({_NAME})["']?[ \t]*(:=|=>|=(?!=)|:(?!:))[ \t]*(?=["'`A-Za-z0-9_/+])""", re.ASCII)
@@ -83,24 +84,33 @@ def literal_weight(value: str) -> float:
     return min(1.0, bits / 3.5) * min(1.0, 0.4 + 0.2 * kinds) * min(1.0, 0.6 + n / 40)
 
 
-def _unquoted(text: str, a: int, b: int, known: dict[str, list[tuple[int, int]]]) -> tuple[list[tuple[int, int]], int]:
-    """Spans that an unquoted token reaches, and where it ends.
+@dataclass
+class Assignment:
+    """One assignment: its literals, and the earlier assignments whose values it takes over."""
+
+    name: str
+    literals: set[tuple[int, int]] = field(default_factory=set)
+    sources: set[int] = field(default_factory=set)
+
+
+def _unquoted(text: str, a: int, b: int, known: dict[str, int]) -> tuple[set[tuple[int, int]], set[int], int]:
+    """Literals and assignments that an unquoted token stands for, and where it ends.
 
     A token is a name only as a whole, or as names chained by "+"; any other token is one literal, whatever
     its length. A "+" at its end chains when a string follows, or when the rest is known names.
     """
     if b - a <= NAME_SIZE and (whole := known.get(text[a:b])) is not None:
-        return whole, b
+        return set(), {whole}, b
     plus = text.find("+", a, b)
     if plus < 0:
-        return [(a, b)], b
+        return {(a, b)}, set(), b
     last = b - 1 if text[b - 1] == "+" else b
     names = [known.get(x) for x in text[a:last].split("+")] if text[a:plus] in known else [None]
     chained = all(x is not None for x in names)
     if last < b and last > a and (chained or text[b : b + 1] in _QUOTES):
         b = last
     # names within a token that is no chain count beside the literal, as either reading may hold
-    return [s for x in names if x is not None for s in x] + ([] if chained else [(a, b)]), b
+    return set() if chained else {(a, b)}, {x for x in names if x is not None}, b
 
 
 def _inside(text: str, a: int, b: int) -> tuple[int, int]:
@@ -113,12 +123,13 @@ def _inside(text: str, a: int, b: int) -> tuple[int, int]:
     return a, max(a, b)
 
 
-def _reaches(text: str) -> Iterator[tuple[str, list[tuple[int, int]]]]:
-    """Names in text order with the spans of the literals they reach."""
-    known: dict[str, list[tuple[int, int]]] = {}
+def assignments(text: str) -> list[Assignment]:
+    """Assignments in text order; a name stands for the last one to it before the use."""
+    out: list[Assignment] = []
+    known: dict[str, int] = {}
     run = (0, 0)  # the last unquoted token: assignments inside of it end with it
     for m in _START.finditer(text):
-        name, at, reach = m[1], m.end(), []
+        made, at = Assignment(m[1]), m.end()
         while True:
             if run[0] <= at < run[1]:
                 end, quoted = run[1], False
@@ -128,7 +139,7 @@ def _reaches(text: str) -> Iterator[tuple[str, list[tuple[int, int]]]]:
                     break
                 end, quoted = o.end(), o[1] is not None
             if quoted:
-                reach.append(_inside(text, at, end))
+                made.literals.add(_inside(text, at, end))
             else:
                 run = (at, end) if end > run[1] else run
                 # the token may be a type, whose value follows; it counts as well, as it may be a value
@@ -136,8 +147,9 @@ def _reaches(text: str) -> Iterator[tuple[str, list[tuple[int, int]]]]:
                 if typed and text[end - 1] == "=" and text[end : end + 1] in _QUOTES:
                     at = end
                     continue
-                found, end = _unquoted(text, at, end, known)
-                reach.extend(found)
+                literals, sources, end = _unquoted(text, at, end, known)
+                made.literals |= literals
+                made.sources |= sources
                 if typed and (after := _TYPED.match(text, end)):
                     at = after.end()
                     continue
@@ -145,25 +157,40 @@ def _reaches(text: str) -> Iterator[tuple[str, list[tuple[int, int]]]]:
             if not plus:
                 break
             at = plus.end()
-        known[name] = reach
-        yield name, reach
+        known[made.name] = len(out)
+        out.append(made)
+    return out
 
 
 def pairs(text: str) -> list[tuple[str, str, int, int]]:
-    """(name, literal, start, end) with constants propagated: a literal appears under every name it reaches."""
-    return [(name, text[a:b], a, b) for name, reach in _reaches(text) for a, b in reach]
+    """(name, literal, start, end) with constants propagated: a literal appears once under every name it reaches.
+
+    The list is as long as names times literals; ``literal_spans`` needs no such list.
+    """
+    found, reach = assignments(text), []
+    for made in found:
+        reach.append(made.literals.union(*(reach[i] for i in made.sources)))
+    return [(made.name, text[a:b], a, b) for made, spans in zip(found, reach) for a, b in sorted(spans)]
 
 
 def literal_spans(text: str, least: float = 0.5) -> list[tuple[int, int, int]]:
+    """Literals of a sufficient score, in one pass backwards: an assignment hands the greatest weight of the names that
+    its value reaches down to its sources, so the work is linear in operands however constants are chained."""
     if "=" not in text and ":" not in text:
         return []
+    found = assignments(text)
+    weight = [0.0] * len(found)
     best: dict[tuple[int, int], float] = {}
-    for name, reach in _reaches(text):
-        w = name_weight(name) if reach else 0.0
-        for a, b in reach if w else ():
-            if b > a:
-                best[a, b] = max(best.get((a, b), 0.0), w * literal_weight(text[a:b]))
-    return [(a, 3, b) for (a, b), w in best.items() if w >= least]
+    for i in range(len(found) - 1, -1, -1):
+        made = found[i]
+        w = max(weight[i], name_weight(made.name))
+        if not w:
+            continue
+        for j in made.sources:
+            weight[j] = max(weight[j], w)
+        for span in made.literals:
+            best[span] = max(best.get(span, 0.0), w)
+    return [(a, 3, b) for (a, b), w in best.items() if b > a and w * literal_weight(text[a:b]) >= least]
 
 
 def spans_of(text: str, least: float = 0.5) -> list[tuple[int, int, int]]:
