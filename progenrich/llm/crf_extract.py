@@ -11,6 +11,7 @@ from __future__ import annotations
 import html as html_lib
 import random
 import re
+from collections import Counter
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -22,10 +23,11 @@ from pyspark.sql import functions as F
 from .common import map_slices
 
 # Fixed lists of HTML element names.
-RAW = frozenset("script style noscript template svg math iframe object canvas textarea select title head".split())
+#: Their content is no text of the page: scripts, styles, inert markup, and what only form controls show.
+RAW = frozenset("script style template iframe textarea select title head".split())
 BLOCK = frozenset(
     "html body main article section header footer nav aside div p ul ol li dl dt dd h1 h2 h3 h4 h5 h6 blockquote pre figure figcaption table thead tbody tfoot tr td th caption form fieldset legend "
-    "address details summary hr center dialog menu label button input option".split()
+    "address details summary hr center dialog menu label button input option noscript".split()
 )
 VOID = frozenset("br hr img input meta link area base col embed source track wbr".split())
 #: Opening one of these closes an open one of the listed kinds, up to a container.
@@ -33,16 +35,37 @@ IMPLIED = {"p": {"p"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr
 ENDS_P = BLOCK - {"p", "label", "button", "input", "option", "html", "body"}
 CONTAINERS = frozenset("article section main div nav aside header footer form table ul ol dl body blockquote".split())
 
-_TAG = re.compile(r"<(?:!--.*?(?:--!?>|\Z)|!\[CDATA\[.*?(?:\]\]>|\Z)|[!?][^>]*(?:>|\Z)|(/?)([A-Za-z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*?)(/?)>)", re.S)
+#: A tag from its "<" on, with quoted values; possessive, so that a failure costs one look at each character.
+_TAG = re.compile(r"<(/?)([A-Za-z][^\s/>]*+)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>")
+_NAME = re.compile(r"<(/?)([A-Za-z][^\s/>]*+)")
+#: Deepest nesting that is told apart; elements below it belong to the element at that depth.
+DEPTH = 512
 _ATTR = re.compile(r"(?:^|[\s\"'])(?:class|id|role|aria-label)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 _WORD = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 MARK = ""
 
 
+class Path:
+    """An open element: its own features and the element around it. Blocks of one element share it."""
+
+    __slots__ = ("tag", "own", "up", "weight")
+
+    def __init__(self, tag: str, own: tuple[str, ...], up: Path | None):
+        self.tag, self.own, self.up, self.weight = tag, own, up, None
+
+    def features(self) -> list[str]:
+        """Features of all elements, innermost first, and the innermost tag as such."""
+        out, at = ["in " + self.own[0]], self
+        while at is not None:
+            out += at.own
+            at = at.up
+        return out
+
+
 @dataclass
 class Block:
     text: str
-    path: tuple[str, ...]  # features of ancestors, outermost first
+    path: Path | None
     links: int  # characters inside links
 
 
@@ -53,19 +76,60 @@ def _element(tag: str, attrs: str) -> tuple[str, ...]:
     return (f"<{tag}>", *sorted(f".{w}" for w in words))
 
 
+class _Reader:
+    """Reads a page forwards; what was looked for in vain is not looked for again, so broken markup costs no more."""
+
+    def __init__(self, page: str):
+        self.page, self.missing = page, set()
+        self.effort = 8 * len(page) + 1000  # characters that failed looks at quoted values may cost in all
+
+    def find(self, what: str, at: int) -> int:
+        if what in self.missing:
+            return -1
+        i = self.page.find(what, at)
+        if i < 0:
+            self.missing.add(what)
+        return i
+
+    def after_closing(self, tag: str, at: int) -> int:
+        """Position behind the closing tag, or -1."""
+        if tag in self.missing:
+            return -1
+        m = re.compile(rf"</{re.escape(tag)}(?=[\s/>])[^>]*+>", re.I).search(self.page, at)
+        if m is None:
+            self.missing.add(tag)
+            return -1
+        return m.end()
+
+    def tag(self, at: int) -> tuple[bool, str, str, int] | None:
+        """(closing, name, attributes, position behind) of the tag at "<"; none if no ">" follows."""
+        if self.effort > 0:
+            m = _TAG.match(self.page, at)
+            if m:
+                return bool(m[1]), m[2].lower(), m[3], m.end()
+            self.effort -= len(self.page) - at
+        end = self.find(">", at)  # a quote that is never closed: the tag ends at the first ">"
+        if end < 0:
+            return None
+        m = _NAME.match(self.page, at)
+        return bool(m[1]), m[2].lower(), self.page[m.end() : end], end + 1
+
+
 def blocks(page: str) -> list[Block]:
     """Leaf blocks in page order; the text has its references decoded and single spaces."""
     out: list[Block] = []
-    stack: list[tuple[str, tuple[str, ...]]] = []
+    stack: list[Path] = []
+    opened: Counter[str] = Counter()  # open elements by tag
+    deeper: Counter[str] = Counter()  # elements that lie too deep to be told apart, by tag
     run: list[str] = []
-    linked, in_link, at, n = 0, 0, 0, len(page)
+    reader, linked, in_link, at, n = _Reader(page), 0, 0, 0, len(page)
 
     def close() -> None:
         nonlocal run, linked
         if run:
             text = " ".join(html_lib.unescape("".join(run)).split())
             if text:
-                out.append(Block(text, stack[-1][1] if stack else (), linked))
+                out.append(Block(text, stack[-1] if stack else None, linked))
             run, linked = [], 0
 
     def text_of(piece: str) -> None:
@@ -75,35 +139,66 @@ def blocks(page: str) -> list[Block]:
             if in_link:
                 linked += len(piece)
 
+    def leave(i: int) -> None:
+        for p in stack[i:]:
+            opened[p.tag] -= 1
+        del stack[i:]
+
+    def imply(kinds) -> None:
+        if not any(opened[k] for k in kinds):
+            return
+        for i in range(len(stack) - 1, -1, -1):
+            if stack[i].tag in kinds:
+                leave(i)
+                return
+            if stack[i].tag in CONTAINERS:
+                return
+
     while at < n:
-        m = _TAG.search(page, at)
-        if not m:
-            rest = page[at:]
-            cut = re.search(r"<(?=[A-Za-z/!?])", rest)  # a tag that the end of the page cuts off
-            text_of(rest[: cut.start()] if cut else rest)
+        i = page.find("<", at)
+        if i < 0:
+            text_of(page[at:])
             break
-        text_of(page[at : m.start()])
-        at = m.end()
-        tag = (m[2] or "").lower()
-        if not tag:
+        text_of(page[at:i])
+        nxt = page[i + 1 : i + 2]
+        if nxt in ("!", "?"):
+            kind = "-->" if page.startswith("<!--", i) else "]]>" if page.startswith("<![CDATA[", i) else ">"
+            end = reader.find(kind, i + 2)
+            if end < 0 and kind == "-->":
+                end = reader.find("--!>", i + 2)
+            at = end + len(kind) if end >= 0 else n
+            continue
+        if not (nxt.isascii() and nxt.isalpha()) and not (nxt == "/" and page[i + 2 : i + 3].isascii() and page[i + 2 : i + 3].isalpha()):
+            if nxt == "/" and page[i + 2 : i + 3]:  # no name after "</": a comment up to ">"
+                end = reader.find(">", i)
+                at = end + 1 if end >= 0 else n
+            else:
+                text_of("<")
+                at = i + 1
             continue
-        if m[1]:
+        found = reader.tag(i)
+        if found is None:  # the end of the page cuts the tag off
+            break
+        closing, tag, attrs, at = found
+        alone = attrs.endswith("/") or (attrs == "" and page[at - 2] == "/")
+        if closing:
             if tag == "a":
                 in_link = max(0, in_link - 1)
             elif tag in BLOCK:
                 close()
-                for i in range(len(stack) - 1, -1, -1):
-                    if stack[i][0] == tag:
-                        del stack[i:]
-                        break
+                if deeper[tag]:
+                    deeper[tag] -= 1
+                elif opened[tag]:
+                    leave(next(k for k in range(len(stack) - 1, -1, -1) if stack[k].tag == tag))
             continue
-        if tag in RAW and not m[4]:
+        if tag in RAW and not alone:
             if tag == "head":
-                body = re.compile(r"</head\s*>|<body\b", re.I).search(page, at)
-                at = (body.end() if body[0][1] == "/" else body.start()) if body else at
+                body = reader.after_closing("head", at)
+                starts = reader.find("<body", at) if body < 0 else page.find("<body", at, body)
+                at = starts if starts >= 0 else body if body >= 0 else at
             else:
-                end = re.compile(rf"</{re.escape(tag)}\b[^>]*>", re.I).search(page, at)
-                at = end.end() if end else (n if tag in ("script", "style") else at)
+                end = reader.after_closing(tag, at)
+                at = end if end >= 0 else (n if tag in ("script", "style") else at)
             continue
         if tag == "br":
             text_of(" ")
@@ -112,23 +207,17 @@ def blocks(page: str) -> list[Block]:
         elif tag in BLOCK:
             close()
             if tag in ENDS_P or tag == "p":
-                _imply(stack, IMPLIED.get(tag, set()) | {"p"})
-            if tag not in VOID and not m[4]:
-                up = stack[-1][1] if stack else ()
-                stack.append((tag, up + _element(tag, m[3] or "")))
+                imply(IMPLIED.get(tag, set()) | {"p"})
+            if tag not in VOID and not alone:
+                if len(stack) < DEPTH:
+                    stack.append(Path(tag, _element(tag, attrs), stack[-1] if stack else None))
+                    opened[tag] += 1
+                else:
+                    deeper[tag] += 1
     close()
     return out
 
 
-def _imply(stack, kinds) -> None:
-    for i in range(len(stack) - 1, -1, -1):
-        if stack[i][0] in kinds:
-            del stack[i:]
-            return
-        if stack[i][0] in CONTAINERS:
-            return
-
-
 def measures(b: Block) -> list[str]:
     """Features of the text itself."""
     n = len(b.text)
@@ -255,15 +344,29 @@ class Field:
     step: tuple[tuple[float, float], tuple[float, float]]
 
     def __post_init__(self):
-        self._paths: dict[tuple[str, ...], float] = {}
+        #: Weights of elements seen before, by their features.
+        self._own: dict[tuple[str, ...], float] = {}
 
-    def emission(self, b: Block) -> float:
-        w = self.weights
-        s = self._paths.get(b.path)
+    def _of(self, own: tuple[str, ...]) -> float:
+        s = self._own.get(own)
         if s is None:
-            if len(self._paths) > 50_000:
-                self._paths.clear()
-            s = self._paths[b.path] = sum(w.get(f, 0.0) for f in b.path) + (w.get("in " + b.path[_last(b.path)], 0.0) if b.path else 0.0)
+            if len(self._own) > 50_000:
+                self._own.clear()
+            s = self._own[own] = sum(self.weights.get(f, 0.0) for f in own)
+        return s
+
+    def emission(self, b: Block) -> float:
+        w, p = self.weights, b.path
+        s = 0.0
+        if p is not None:
+            todo, at = [], p
+            while at is not None and at.weight is None:  # elements are weighed once, outermost first
+                todo.append(at)
+                at = at.up
+            total = at.weight if at is not None else 0.0
+            for x in reversed(todo):
+                total = x.weight = total + self._of(x.own)
+            s = p.weight + w.get("in " + p.own[0], 0.0)
         return s + sum(w.get(f, 0.0) for f in measures(b))
 
     def decode(self, found: list[Block]) -> list[bool]:
@@ -287,12 +390,8 @@ class Field:
         return out[::-1]
 
 
-def _last(path: tuple[str, ...]) -> int:
-    return max(i for i, f in enumerate(path) if f[0] == "<")
-
-
 def block_features(b: Block) -> list[str]:
-    return [*b.path, *(["in " + b.path[_last(b.path)]] if b.path else []), *measures(b)]
+    return [*(b.path.features() if b.path else []), *measures(b)]
 
 
 def train(pages: list[str], steps: int = 250, decay: float = 2e-3, least: int = 3) -> Field:
