@@ -1,7 +1,8 @@
 """Nearest neighbours by a block matrix join on int8 product tiles.
 
-Candidates come in tiles of rows, queries in blocks. Both are quantised to int8 with a scale for each
-vector and the exact norm of its rounding error. A tile of int8 dot products (exact in float arithmetic)
+Candidates are packed into tiles and queries into blocks, a row each; both are tables, and a grid key joins
+them: every tile meets every block in exactly one cell of the grid, and a task holds one cell at a time. Tiles
+and blocks are quantised to int8 with a scale for each vector and the exact norm of its rounding error. A tile of int8 dot products (exact in float arithmetic)
 gives each distance up to a bound from those norms. A query keeps the candidates whose lower bound does
 not exceed the k-th least upper bound seen; those alone are recomputed in double precision from the
 original vectors and go through a heap of k entries. Heaps of tasks are merged by query.
@@ -17,9 +18,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .common import bound_batches, salts
+
 TILE = 2048
-#: Queries that travel to every executor at once; with the dimension it bounds the bytes.
-QUERY_BLOCK = 16_384
+#: Most bytes of the vectors of a tile or block.
+TILE_BYTES = 4 << 20
+#: Queries of one cell of the grid.
+CELL_QUERIES = 65_536
+PACKED = "dim int, ids binary, xs binary"
 FOUND = "query_id long, vec_id long, score double"
 
 
@@ -39,7 +45,7 @@ def quantise(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 class QueryBlock:
-    """Queries of one dimension, quantised once."""
+    """Queries (or candidates) of one dimension, quantised once."""
 
     def __init__(self, ids: np.ndarray, x: np.ndarray):
         self.ids, self.x = ids, x
@@ -47,10 +53,9 @@ class QueryBlock:
         self.norm = np.sqrt((x * x).sum(1))
 
 
-def search_tile(block: QueryBlock, ids: np.ndarray, x: np.ndarray, k: int, limit: np.ndarray):
+def search_tile(block: QueryBlock, tile: QueryBlock, k: int, limit: np.ndarray):
     """Survivors of a tile as (query number, candidate number); ``limit`` holds squared k-th upper bounds and is lowered."""
-    q, scale, error = quantise(x)
-    norm = np.sqrt((x * x).sum(1))
+    ids, x, q, scale, error, norm = tile.ids, tile.x, tile.q, tile.scale, tile.error, tile.norm
     # 127 * 127 * dimension stays exact in float32 below 2**24, in float64 far beyond
     kind = np.float32 if x.shape[1] * 16129 < 1 << 24 else np.float64
     dot = (block.q.astype(kind) @ q.T.astype(kind)).astype(np.float64) * block.scale[:, None] * scale
@@ -77,50 +82,94 @@ def distances(x: np.ndarray, y: np.ndarray) -> np.ndarray:
     return np.sqrt(total)
 
 
-def _search(block_of: dict[int, QueryBlock], batches, k: int):
-    limits = {d: np.full(len(b.ids), np.inf) for d, b in block_of.items()}
-    heaps: dict[tuple[int, int], tuple[list, dict[int, float]]] = {}  # the k nearest distinct ids, and their distances
+def _packed(rows: DataFrame) -> DataFrame:
+    """Rows ``dim, ids, xs``: vectors of one dimension, a tile of them in each row."""
+
+    def run(batches):
+        held: dict[int, list] = {}
+
+        def rows_of(d: int, all_: bool):
+            most = max(1, min(TILE, TILE_BYTES // (8 * d)))
+            ids, xs = (np.concatenate(c) for c in zip(*held.pop(d)))
+            full = len(ids) if all_ else len(ids) // most * most
+            if full < len(ids):
+                held[d] = [(ids[full:], xs[full:])]
+            cuts = range(0, full, most)
+            if full:
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([d] * len(cuts), pa.int32()), pa.array([ids[i : min(i + most, full)].tobytes() for i in cuts], pa.binary()), pa.array([xs[i : min(i + most, full)].tobytes() for i in cuts], pa.binary())],
+                    names=["dim", "ids", "xs"],
+                )
+
+        for batch in batches:
+            sizes, ids = np.asarray(batch["v"].value_lengths()), batch["vec_id"].to_numpy()
+            for d in np.unique(sizes).tolist():
+                at = np.flatnonzero(sizes == d)
+                flat = batch["v"].take(pa.array(at)).flatten().to_numpy(zero_copy_only=False)
+                held.setdefault(d, []).append((ids[at], flat.reshape(len(at), d)))
+                yield from rows_of(d, False)
+        for d in list(held):
+            yield from rows_of(d, True)
+
+    return rows.mapInArrow(run, PACKED)
+
+
+class _Cell:
+    """The blocks of one cell with their bounds, and a heap of the k nearest distinct ids for each query."""
+
+    def __init__(self, k: int):
+        self.k, self.blocks, self.heaps = k, {}, {}
+
+    def block(self, d: int, ids: bytes, xs: bytes) -> tuple[QueryBlock, np.ndarray]:
+        key = (ids, hash(xs))
+        if key not in self.blocks:
+            made = QueryBlock(np.frombuffer(ids, np.int64), np.frombuffer(xs, np.float64).reshape(-1, d))
+            self.blocks[key] = made, np.full(len(made.ids), np.inf), len(self.blocks)
+        return self.blocks[key]
+
+    def meet(self, tile: QueryBlock, found) -> None:
+        block, limit, name = found
+        qi, ci = search_tile(block, tile, self.k, limit)
+        for s in range(0, len(qi), 65_536):
+            a, c = qi[s : s + 65_536], ci[s : s + 65_536]
+            dist = distances(block.x[a], tile.x[c])
+            for i, j, e in zip(a.tolist(), tile.ids[c].tolist(), dist.tolist()):
+                heap, held = self.heaps.setdefault((name, i), ([], {}))
+                item = (-e, -j)
+                if j in held:
+                    if e >= held[j]:
+                        continue
+                    heap.remove((-held[j], -j))
+                    heap.append(item)
+                    heapq.heapify(heap)
+                elif len(heap) < self.k:
+                    heapq.heappush(heap, item)
+                elif item > heap[0]:
+                    del held[-heapq.heapreplace(heap, item)[1]]
+                else:
+                    continue
+                held[j] = e
+
+    def rows(self) -> pa.RecordBatch:
+        ids = {name: block.ids for block, _, name in self.blocks.values()}
+        rows = [(int(ids[name][i]), -j, -e) for (name, i), (heap, _) in self.heaps.items() for e, j in heap]
+        cols = list(zip(*rows)) or [(), (), ()]
+        return pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64())], names=["query_id", "vec_id", "score"])
+
+
+def _search(batches, k: int):
+    """Cells come one after the other, as the join sorts by its key; within a cell each tile meets all blocks."""
+    at, cell, held, tile = None, _Cell(k), None, None
     for batch in batches:
-        col = batch["v"]
-        sizes = np.asarray(col.value_lengths())
-        ids = batch["vec_id"].to_numpy()
-        for d in np.unique(sizes):
-            block = block_of.get(int(d))
-            if block is None:
-                continue
-            rows = np.flatnonzero(sizes == d)
-            flat = col.take(pa.array(rows)).flatten().to_numpy(zero_copy_only=False)
-            x, own = flat.reshape(len(rows), int(d)), ids[rows]
-            limit = limits[int(d)]
-            for at in range(0, len(rows), TILE):
-                part, pid = x[at : at + TILE], own[at : at + TILE]
-                for lo in range(0, len(block.ids), TILE):
-                    sub = QueryBlock.__new__(QueryBlock)
-                    hi = lo + TILE
-                    sub.ids, sub.x, sub.q, sub.scale, sub.error, sub.norm = (a[lo:hi] for a in (block.ids, block.x, block.q, block.scale, block.error, block.norm))
-                    qi, ci = search_tile(sub, pid, part, k, limit[lo:hi])
-                    for s in range(0, len(qi), 65_536):
-                        a, c = qi[s : s + 65_536], ci[s : s + 65_536]
-                        dist = distances(sub.x[a], part[c])
-                        for i, j, e in zip(a.tolist(), pid[c].tolist(), dist.tolist()):
-                            heap, held = heaps.setdefault((int(d), lo + i), ([], {}))
-                            item = (-e, -j)
-                            if j in held:
-                                if e >= held[j]:
-                                    continue
-                                heap.remove((-held[j], -j))
-                                heap.append(item)
-                                heapq.heapify(heap)
-                            elif len(heap) < k:
-                                heapq.heappush(heap, item)
-                            elif item > heap[0]:
-                                del held[-heapq.heapreplace(heap, item)[1]]
-                            else:
-                                continue
-                            held[j] = e
-    rows = [(int(block_of[d].ids[i]), -j, -e) for (d, i), (heap, _) in heaps.items() for e, j in heap]
-    cols = list(zip(*rows)) or [(), (), ()]
-    yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64())], names=["query_id", "vec_id", "score"])
+        for r in batch.to_pylist():
+            if (r["dim"], r["g"], r["h"]) != at:
+                yield cell.rows()
+                at, cell, held = (r["dim"], r["g"], r["h"]), _Cell(k), None
+            if held != (r["ids"], r["xs"]):
+                held = (r["ids"], r["xs"])
+                tile = QueryBlock(np.frombuffer(r["ids"], np.int64), np.frombuffer(r["xs"], np.float64).reshape(-1, r["dim"]))
+            cell.meet(tile, cell.block(r["dim"], r["q_ids"], r["q_xs"]))
+    yield cell.rows()
 
 
 def nearest(spark: SparkSession, vectors: DataFrame, queries: DataFrame, k: int = 10, key: str = "vec_id", vector: str = "embedding") -> DataFrame:
@@ -129,29 +178,18 @@ def nearest(spark: SparkSession, vectors: DataFrame, queries: DataFrame, k: int
     Exact Euclidean distances, ties to the smaller id. Null, zero and non-finite vectors take no part,
     nor do null ids; vectors are compared within their dimension. Repeated ids of candidates are distinct
     rows but appear once for a query (the nearest). Fewer than k candidates give fewer rows; an empty
-    table gives none. Queries reach executors in blocks of ``QUERY_BLOCK``, each of bounded size.
+    table gives none. Neither side is collected or broadcast: a task holds the queries of one cell
+    (``CELL_QUERIES``) and one tile.
     """
-    rows, asked = usable(vectors, key, vector), usable(queries, key, vector)
-    blocks, part = [], []
-
-    def close() -> None:
-        by_size: dict[int, list] = {}
-        for r in part:
-            by_size.setdefault(len(r["v"]), []).append(r)
-        made = {d: QueryBlock(np.array([r["vec_id"] for r in rs], np.int64), np.array([r["v"] for r in rs], np.float64)) for d, rs in by_size.items()}
-        shared = spark.sparkContext.broadcast(made)
-        blocks.append(rows.mapInArrow(lambda batches: _search(shared.value, batches, k), FOUND))
-        part.clear()
-
-    for r in asked.toLocalIterator():
-        part.append(r)
-        if len(part) == QUERY_BLOCK:
-            close()
-    if part or not blocks:
-        close()
-    found = blocks[0]
-    for more in blocks[1:]:
-        found = found.unionByName(more)
+    bound_batches(spark)
+    asked = usable(queries, key, vector)
+    groups, parts = salts(spark), max(1, -(-asked.count() // CELL_QUERIES))
+    tiles = _packed(usable(vectors, key, vector)).withColumn("g", F.pmod(F.xxhash64("ids"), F.lit(groups)).cast("int"))
+    tiles = tiles.withColumn("h", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))))
+    blocks = _packed(asked).select("dim", F.col("ids").alias("q_ids"), F.col("xs").alias("q_xs"), F.pmod(F.xxhash64("ids"), F.lit(parts)).cast("int").alias("h"))
+    blocks = blocks.withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
+    met = tiles.hint("merge").join(blocks, ["dim", "g", "h"])
+    found = met.mapInArrow(lambda batches: _search(batches, k), FOUND)
     once = found.groupBy("query_id", "vec_id").agg(F.min("score").alias("score"))
     rank = F.row_number().over(W.partitionBy("query_id").orderBy("score", "vec_id")).cast("int")
     return once.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
