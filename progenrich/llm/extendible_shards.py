@@ -10,6 +10,7 @@ bucket, numbered from their count alone, so no such group is gathered.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import Workspace
@@ -17,6 +18,10 @@ from .common import Workspace
 BITS = 60
 #: Bits by which a pass looks deeper.
 STEP = 12
+#: Parts in which equal rows are counted.
+PARTS = 64
+#: Most equal rows that one task writes out of a counted run.
+RUN = 100_000
 
 
 def hashed(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -72,10 +77,19 @@ def shards(spark: SparkSession, docs: DataFrame, limit: int, key: str = "doc_id"
     rows = work.write(hashed(docs, key, text), "hashed")
     leaves = work.write(directory(rows.groupBy("h").agg(F.sum("n_bytes").alias("n_bytes")), limit, work), "leaves")
     depths = [r["depth"] for r in leaves.select("depth").distinct().collect()]  # at most 61 values
-    same = rows.groupBy("h", "doc_id", "n_bytes").agg(F.count("*").alias("copies"))
+    # equal rows are counted by parts and numbered within them, so that no task sees or makes all of them
+    dealt = rows.withColumn("part", F.pmod(F.monotonically_increasing_id(), F.lit(PARTS)).cast("int"))
+    same = work.write(dealt.groupBy("h", "doc_id", "n_bytes", "part").agg(F.count("*").alias("copies")), "same")
+    order = W.partitionBy("h", "doc_id", "n_bytes").orderBy("part")
+    same = same.withColumn("before", F.sum("copies").over(order) - F.col("copies")).withColumn("all", F.sum("copies").over(W.partitionBy("h", "doc_id", "n_bytes")))
     tries = F.array(*[F.struct(F.lit(d).alias("depth"), F.expr(f"shiftright(h, {BITS - d})").alias("prefix")) for d in sorted(depths)]) if depths else F.array(F.struct(F.lit(0).alias("depth"), F.lit(0).cast("long").alias("prefix")))
     placed = same.select("*", F.inline(tries)).join(leaves.select("prefix", "depth"), ["depth", "prefix"])
-    each = placed.select("*", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))).alias("copy"))
+    # a run of copies is written out in two steps: runs of at most RUN, dealt to other tasks, then rows
+    runs = placed.withColumn("first", F.explode(F.sequence(F.lit(0).cast("long"), F.col("copies") - 1, F.lit(RUN).cast("long"))))
+    runs = runs.where("copies <= " + str(RUN)).unionByName(runs.where("copies > " + str(RUN)).repartition("h", "first"))
+    many = F.least(F.col("copies") - F.col("first"), F.lit(RUN))
+    each = runs.withColumn("step", F.explode(F.sequence(F.lit(0).cast("long"), many - 1)))
+    copy = F.col("before") + F.col("first") + F.col("step")
     per_page = F.greatest(F.lit(1), F.floor(F.lit(limit) / F.greatest(F.col("n_bytes"), F.lit(1))))
-    page = F.when(F.col("copies") * F.col("n_bytes") <= limit, 0).otherwise(F.floor((F.col("copy") - 1) / per_page))
+    page = F.when(F.col("all") * F.col("n_bytes") <= limit, 0).otherwise(F.floor(copy / per_page))
     return each.select("doc_id", "n_bytes", F.col("prefix").alias("shard_prefix"), F.col("depth").alias("shard_depth"), page.cast("long").alias("page"))
