@@ -13,7 +13,7 @@ from conftest import NASTY
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from progenrich.llm import ann_block_join, crf_extract, extendible_shards, fingerprint_dedup, ngram_join, nnls_packing
+from progenrich.llm import ann_block_join, common, crf_extract, extendible_shards, fingerprint_dedup, ngram_join, nnls_packing
 from progenrich.llm.common import Generations, Workspace
 from progenrich.llm.components import components
 
@@ -136,12 +136,40 @@ def test_ngram_join(spark, docs, seed, n, percent, rounds):
     assert got == brute_join(rows, n, percent)
 
 
-def test_ngram_join_without_broadcast(spark, docs):
+@pytest.mark.parametrize("cells", [1, 64])
+def test_ngram_join_with_a_full_sieve(spark, docs, cells, monkeypatch):
+    """A sieve that lets (nearly) everything through changes no row."""
+    monkeypatch.setattr(common, "SIEVE_CELLS", cells)
     rows = family(6, 4, 6)
-    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngram_join.near_duplicate_components(spark, docs(rows), 4, 85, small=0).collect()}
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngram_join.near_duplicate_components(spark, docs(rows), 4, 85).collect()}
     assert got == brute_join(rows, 4, 85)
 
 
+@pytest.mark.parametrize("rounds", [0, 1])
+def test_hot_ngrams_are_dealt(spark, docs, rounds, monkeypatch):
+    """Every n-gram counts as hot: its rows go to many parts, and no link is lost."""
+    monkeypatch.setattr(ngram_join, "HOT_ROWS", 1)
+    monkeypatch.setattr(ngram_join, "HOT_SHARE", 0)
+    rows = family(8, 4, 8)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngram_join.near_duplicate_components(spark, docs(rows).repartition(3), 4, 85, rounds).collect()}
+    assert got == brute_join(rows, 4, 85)
+
+
+def test_sieve_never_loses_an_id(spark, monkeypatch):
+    rows, ids = spark.range(0, 5000).selectExpr("id AS doc_id", "1 AS hit", "2 AS cell"), spark.range(0, 5000, 7).selectExpr("id AS doc_id")
+    for cells in (1, 16, 1 << 18):
+        monkeypatch.setattr(common, "SIEVE_CELLS", cells)
+        assert {r[0] for r in common.kept_of(rows, ids).select("doc_id").collect()} == set(range(0, 5000, 7))
+        assert common.without(rows, ids).columns == rows.columns
+        assert {r[0] for r in common.without(rows, ids).select("doc_id").collect()} == set(range(5000)) - set(range(0, 5000, 7))
+    assert common.without(rows, ids.limit(0)).count() == 5000 and common.kept_of(rows, ids.limit(0)).count() == 0
+
+
+def test_long_words_are_not_stored():
+    made = Generations(len, 10)
+    assert made["x" * 65] == 65 and made["ab"] == 2 and made.all(["y" * 100, "c"]) == [100, 1] and set(made) == {"ab", "c"}
+
+
 @pytest.mark.parametrize("seed, n, percent", [(1, 4, 85), (4, 2, 60)])
 def test_links_are_all_counted(spark, docs, seed, n, percent):
     """Pairs within one component count too: a group of near copies links each with each."""
@@ -165,7 +193,7 @@ def test_links_are_all_counted(spark, docs, seed, n, percent):
 def test_ngram_join_edges(spark, docs):
     assert ngram_join.near_duplicate_components(spark, docs([])).count() == 0
     out = ngram_join.near_duplicate_components(spark, docs([(3, "a b"), (3, "a b"), (None, "a b"), (4, None), (5, "")])).collect()
-    assert sorted((r["doc_id"], r["component_id"], r["n_shingles"]) for r in out) == [(3, 3, 1), (3, 3, 1), (4, 4, 0), (5, 5, 0)]
+    assert sorted(((r["doc_id"], r["component_id"], r["n_shingles"]) for r in out), key=str) == [(3, 3, 1), (3, 3, 1), (4, 4, 0), (5, 5, 0), (None, None, 1)]
 
 
 def test_generations_keep_what_is_used():
@@ -225,9 +253,22 @@ def test_nnls_finds_an_exact_mixture():
 
 
 def test_combinations_fill_the_window():
-    ways = nnls_packing.combinations(12, 2, 4)
-    assert len(ways) == len(set(ways)) and all(sum(w) == 12 and min(w) >= 2 and len(w) <= 4 for w in ways)
-    assert (3, 3, 3, 3) in ways and (12,) in ways
+    ways = nnls_packing.combinations(12, 2)
+    assert len(ways) == len(set(ways)) and all(sum(k * m for k, m in w) == 12 and min(k for k, _ in w) >= 2 and len(w) <= 3 for w in ways)
+    assert ((3, 4),) in ways and ((12, 1),) in ways and ((4, 1), (2, 4)) in ways and ((5, 1), (4, 1), (3, 1)) in ways
+
+
+def test_least_squares_places_most_of_the_mass():
+    rng = np.random.default_rng(2)
+    hist = np.bincount(np.clip(rng.lognormal(6.2, 0.9, 200_000).astype(int), 1, 4095), minlength=4097)
+    left = hist.astype(np.int64).copy()
+    free = nnls_packing.solve(left, 4096)
+    took = np.zeros(4097, np.int64)
+    for space, groups in free.items():
+        for n, lengths in groups:
+            assert sum(lengths) + space == 4096 and space >= 0
+            np.add.at(took, list(lengths), n)
+    assert (took + left == hist).all() and (left * np.arange(4097)).sum() < 0.2 * (hist * np.arange(4097)).sum()
 
 
 def test_padding_is_small():
@@ -286,11 +327,11 @@ def brute_nearest(rows, queries, k):
 @pytest.mark.parametrize("dim, tile", [(3, 7), (16, 2048)])
 def test_nearest(spark, dim, tile, monkeypatch):
     monkeypatch.setattr(ann_block_join, "TILE", tile)
-    monkeypatch.setattr(ann_block_join, "QUERY_BLOCK", 9)
+    monkeypatch.setattr(ann_block_join, "CELL_QUERIES", 9)
     rng = np.random.default_rng(3)
     rows = [(i, [float(x) for x in np.round(rng.normal(size=dim), 1)]) for i in range(120)]
     rows += [(200 + i, rows[0][1]) for i in range(30)] + [(300, None), (310, [0.0] * dim), (320, [float("nan")] * dim), (330, [None] + [1.0] * (dim - 1)), (340, [1.0, 2.0]), (350, []), (None, rows[0][1]), (360, [1e30] * dim), (370, [1e-30] * dim)]
-    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumnRenamed("label", "rank").repartition(4)
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").selectExpr("*", "1 AS rank", "2 AS score", "3 AS query_id", "4 AS g", "5 AS dim").repartition(4)
     got = collections.defaultdict(list)
     for r in sorted(ann_block_join.nearest(spark, df, df.where("vec_id % 10 = 0"), 10).collect(), key=lambda r: (r["query_id"], r["rank"])):
         got[r["query_id"]].append(r["vec_id"])
@@ -318,7 +359,7 @@ def test_quantised_bounds_hold():
     x, y = rng.normal(size=(20, 32)), rng.normal(size=(300, 32))
     block = ann_block_join.QueryBlock(np.arange(20) + 1000, x)
     limit = np.full(20, np.inf)
-    qi, ci = ann_block_join.search_tile(block, np.arange(300), y, 5, limit)
+    qi, ci = ann_block_join.search_tile(block, ann_block_join.QueryBlock(np.arange(300), y), 5, limit)
     d = ((x[:, None] - y) ** 2).sum(2)
     assert (np.sort(d, axis=1)[:, 4] <= limit + 1e-9).all()
     kept = set(zip(qi.tolist(), ci.tolist()))
@@ -367,3 +408,41 @@ def test_pages(spark):
     assert got[1]["text"] == 'Title & more First line goes on. Second "line" is here.' and got[1]["n_chars"] == len(got[1]["text"])
     assert all(got[i]["text"] == "" for i in (2, 3, 4, 5))
     assert crf_extract.extract(df.limit(0)).count() == 0
+
+
+def test_pages_table_by_brute_force(spark):
+    """The pages of the tables hold one article each: its blocks, read by plain patterns, are the main text."""
+    import html
+
+    def plain(page):
+        parts = re.split(r"</?(?:h1|p|article)[^>]*>", re.search(r"<article>(.*?)</article>", page, re.S)[1])
+        parts = [" ".join(html.unescape(re.sub(r"<[^>]*>", "", x.replace("<br>", " "))).split()) for x in parts]
+        return " ".join(x for x in parts if x)
+
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    want = {r["page_id"]: plain(r["html"]) for r in pages.collect()}
+    got = crf_extract.extract(pages).collect()
+    assert len(got) == len(want) and {r["page_id"]: r["text"] for r in got} == want
+
+
+def test_text_inside_inline_elements_stays():
+    page = "<nav><a href=x>Home</a></nav><article><h1>Title here</h1><p>Let <math><mi>x</mi></math> and <svg><text>y</text></svg> <object>hold</object>.</p><p>More text of the article, in whole sentences. And some more.</p></article><footer>&copy; 2020</footer>"
+    assert crf_extract.main_text(page, crf_extract.trained()) == "Title here Let x and y hold. More text of the article, in whole sentences. And some more."
+
+
+BROKEN = ["<a x " * 60_000, "<div class='a b'>x" * 40_000, '<a "' * 60_000 + ">", "<title>" * 60_000, "<head>" * 60_000, "<!-- " * 60_000, "<" * 200_000, "<ul><li>" + "<h1>x" * 20_000 + "<li></li>" * 20_000, "<div>" * 500 + "</p>" * 60_000, "&#" * 100_000]
+
+
+@pytest.mark.parametrize("page", BROKEN, ids=[p[:8] for p in BROKEN])
+def test_broken_markup_is_read_in_linear_time(page):
+    import time
+
+    field, began = crf_extract.trained(), time.time()
+    crf_extract.main_text(page, field)
+    assert time.time() - began < 8
+
+
+def test_deep_elements_close_in_order():
+    deep = "<div>" * 2000 + "inner" + "</div>" * 2000 + "<p>after"
+    found = crf_extract.blocks(deep)
+    assert [b.text for b in found] == ["inner", "after"] and found[1].path.up is None

@@ -5,6 +5,7 @@ import random
 import re
 import zlib
 
+import numpy as np
 import public_tokenizers
 import pytest
 from conftest import NASTY  # noqa: F401
@@ -12,7 +13,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from progenrich.llm import pairwise_quality as pq
-from progenrich.llm import piece_codec, secret_scan, token_counts
+from progenrich.llm import pairwise_quality, piece_codec, secret_scan, token_counts
 
 BYTE = public_tokenizers.path("byte_bpe_50k.json")
 PIECE = public_tokenizers.path("piece_bpe_32k.model")
@@ -192,3 +193,64 @@ def test_quality_edges(spark, docs):
     assert pq.score(docs([]), m).count() == 0
     assert pq.filter_documents(d, m).columns == d.columns and pq.filter_documents(d, m).count() == len(NASTY)
     assert [r["held_out"] for r in pq.score(docs([(None, "x")]), m).collect()] == [False]
+
+
+def test_every_document_matches_the_libraries(spark):
+    """The registered queries of counts, pieces and packing over whole tables, against the libraries themselves."""
+    import sentencepiece
+    from tokenizers import Tokenizer
+
+    from progenrich.llm import queries
+
+    sf = "/root/testdata/sf0.001"
+    rows = {r["doc_id"]: r["text"] or "" for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    got = {r["doc_id"]: (r["n_bytes"], r["n_tokens"], r["over_limit"]) for r in queries.op2_pretoken_counts(spark, sf).collect()}
+    n = {i: len(tok.encode(t, add_special_tokens=False).ids) for i, t in rows.items()}
+    assert got == {i: (len(t.encode()), n[i], n[i] > 512) for i, t in rows.items()}
+    sp = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path("piece_bpe_32k.model"))
+    ids = {i: sp.encode(t, add_bos=True, add_eos=True) for i, t in rows.items()}
+    got = {r["doc_id"]: (r["n_tokens"], r["ids_sha256"], r["decoded_sha256"]) for r in queries.op5_piece_round_trip(spark, sf).collect()}
+    assert got == {i: (len(x), hashlib.sha256(np.array(x, "<u4").tobytes()).hexdigest(), hashlib.sha256(sp.decode(x).encode()).hexdigest()) for i, x in ids.items()}
+    tok = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    ids = {i: np.array(tok.encode(t, add_special_tokens=False).ids + [2], "<u4") for i, t in rows.items()}
+    pieces = queries.op3_nnls_packing(spark, sf).collect()
+    assert all(r["ids_crc32"] == zlib.crc32(ids[r["doc_id"]][r["start"] : r["start"] + r["length"]].tobytes()) for r in pieces)
+    assert sum(r["length"] for r in pieces) == sum(map(len, ids.values())) and len({(r["doc_id"], r["start"]) for r in pieces}) == len(pieces)
+    base = {r["doc_id"]: r for r in queries.op4_assignment_secrets(spark, sf).collect()}
+    for i, t in rows.items():
+        spans = secret_scan.base_spans(t)
+        assert [base[i][c] for c in ("n_assign", "n_access", "n_hex")] == [sum(k == j for _, k, _ in spans) for j in range(3)]
+
+
+@pytest.mark.parametrize("text", ['a = "x9"\n' + "a = a + a\n" * 2000, 'a0 = "x9abcdefg"\n' + "".join(f'a{i} = a{i - 1} + "k{i}abcdefg"\n' for i in range(1, 3000)), "a" * 300_000, 'a="\\"' * 30_000, "a: b | " * 20_000], ids=["doubled", "chained", "word", "quotes", "types"])
+def test_chained_constants_are_linear(text):
+    import time
+
+    began = time.time()
+    secret_scan.spans_of(text)
+    assert time.time() - began < 5
+
+
+def test_chained_constants_reach_sensitive_names():
+    text = 'a = "Zx9#kQ72mPvL4t"\nb = a + a\nc = b + b\ndb_password = c + c\n'
+    assert [(a, b) for a, _, b in secret_scan.literal_spans(text)] == [(5, 19)]
+    assert secret_scan.pairs('a = "x9"\n' + "a = a + a\n" * 40)[-1] == ("a", "x9", 5, 7)
+
+
+def test_scores_by_brute_force(spark):
+    """Every score of the registered query equals the model's, text by text, and ranks the held-out labels."""
+    from progenrich.llm import queries
+
+    sf = "/root/testdata/sf0.01"
+    rows, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    model = pairwise_quality.learn(rows, labels)
+    texts = {r["doc_id"]: r["text"] or "" for r in rows.collect()}
+    got = {r["doc_id"]: r for r in queries.op7_pairwise_quality(spark, sf).collect()}
+    for i, t in texts.items():
+        z = float(model.steep * (pairwise_quality.standard(pairwise_quality.features([t]), model.neutral, model.scale) @ model.weights - model.cut)[0] + np.log(0.3 / 0.7))
+        s = 1 / (1 + np.exp(-np.clip(z, -35, 35)))
+        assert got[i]["score"] == pytest.approx(s, abs=1e-9) and got[i]["predicted"] == int(got[i]["score"] >= 0.3) and got[i]["held_out"] == (zlib.crc32(str(i).encode()) % 5 == 0)
+    held = [(got[r["doc_id"]]["score"], r["quality"]) for r in labels.collect() if r["doc_id"] in got and got[r["doc_id"]]["held_out"] and r["quality"] is not None]
+    good, bad = [s for s, q in held if q == 1], [s for s, q in held if q == 0]
+    assert np.mean([(a > b) + 0.5 * (a == b) for a in good for b in bad]) > 0.95
