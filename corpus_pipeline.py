@@ -6,39 +6,53 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from progenrich.llm import fingerprint_dedup, ngram_join, nnls_packing, pairwise_quality, secret_scan
-from progenrich.llm.common import Workspace, counted, table
-
-
-def _without(docs: DataFrame, gone: DataFrame) -> DataFrame:
-    """Rows whose id is not in ``gone``; the ids are broadcast only when counted and few."""
-    return docs.join(counted(gone), "doc_id", "left_anti").select(*docs.columns)
+from progenrich.llm.common import Workspace, kept_of, table, without
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the quality classifier does not reject."""
+    """Documents that the quality classifier does not reject.
+
+    Null texts are scored as empty ones; null and repeated ids pass through like any row; an empty table gives no rows.
+    """
     model = pairwise_quality.learn(docs, table(spark, sf_dir, "labels"))
     return pairwise_quality.filter_documents(docs, model)
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of equal texts."""
-    return _without(docs, fingerprint_dedup.duplicate_classes(spark, docs).where("not kept").select("doc_id"))
+    """One document of each group of equal texts.
+
+    Null texts equal empty ones; rows with a null id stay; of rows that repeat an id and its text one stays; an empty
+    table gives no rows.
+    """
+    classes = Workspace(spark, "classes").write(fingerprint_dedup.duplicate_classes(spark, docs), "classes")
+    left = without(docs, classes.where("not kept").select("doc_id"))
+    again = classes.where("kept and doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")
+    if again.isEmpty():
+        return left
+    return without(left, again).unionByName(kept_of(left, again).dropDuplicates(["doc_id"]))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document of least id of each component of near duplicates (five words, similarity 0.8)."""
+    """The document of least id of each component of near duplicates (five words, similarity 0.8).
+
+    Null and empty texts and null ids are near to nothing and stay; rows that repeat the id that stays all stay; an
+    empty table gives no rows.
+    """
     found = ngram_join.near_duplicate_components(spark, docs, n=5, percent=80)
-    return _without(docs, found.where("component_id <> doc_id").select("doc_id"))
+    return without(docs, found.where("component_id <> doc_id").select("doc_id"))
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, with secrets in their text replaced by a mark."""
+    """All documents, with secrets in their text replaced by a mark. Null texts and ids and repeated rows pass through."""
     return secret_scan.redact_documents(docs)
 
 
 def pack_windows(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of all documents with their place in sequences of 4096 tokens."""
-    return nnls_packing.pack(spark, docs, public_tokenizers.path("word_bpe_49k.json"), window=4096, end_id=2, entries=100_000)
+    """Pieces of all documents with their place in sequences of 4096 tokens.
+
+    A null text counts as empty; null and repeated ids are packed row by row; an empty table gives no rows.
+    """
+    return nnls_packing.pack(spark, docs, public_tokenizers.path("word_bpe_49k.json"), window=4096, end_id=2, entries=200_000)
 
 
 STAGES = [
