@@ -267,8 +267,9 @@ def _joined(spark: SparkSession, docs: DataFrame, n: int, percent: int, rounds:
     classes = named.where("doc_id = rep").select("s1", "rep", "bits").dropDuplicates(["s1", "rep"])
     prefixes = work.write(_prefixes(spark, texts.where("doc_id is not null"), n, percent, sketch), "prefixes")
     # an n-gram matters if two different sets have it in their prefixes; a hot one is taken to
-    cold, warm = prefixes.where("parts = 1"), prefixes.where("parts > 1")
-    live = cold.groupBy("gram").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi")).where("lo < hi").select("gram")
+    cold, warm = prefixes.where("parts = 1").repartition("gram"), prefixes.where("parts > 1")
+    # the aggregate reads every column, so that it and the join below share one exchange of the prefixes
+    live = cold.groupBy("gram").agg(F.min("s1").alias("lo"), F.max("s1").alias("hi"), F.max(F.col("n") + F.col("pos") + F.col("parts")).alias("most")).where("lo < hi and most > 0").select("gram")
     each = [F.max(c).alias(c) for c in ("n", "pos", "parts")]
     # partitions by n-gram serve the join and this aggregate alike
     shared = cold.join(live.hint("merge"), "gram").groupBy("gram", "s1").agg(*each).unionByName(warm.groupBy("gram", "s1").agg(*each))
