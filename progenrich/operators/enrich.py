@@ -58,21 +58,28 @@ class Epoch:
 class EnrichmentRun:
     """A run over one collection; ``epochs`` yields the seed answer (epoch 0) and then one answer an epoch."""
 
-    def __init__(self, objects: DataFrame, query: Query, budget: float, table: planning.NextScorer | None = None, settings: Settings | None = None, state: DataFrame | None = None, truth: bool = True):
+    def __init__(self, objects: DataFrame, query: Query, budget: float, table: planning.NextScorer | None = None, settings: Settings | None = None, state: DataFrame | None = None, truth: bool | None = None):
         self.objects, self.query, self.budget = objects, query, float(budget)
         self.table = table or planning.NextScorer({})
         self.settings = settings or Settings()
+        used = {p.type for p in query.preds}
+        if truth is None:  # without hidden truth columns a run is the same, but has no true quality
+            truth = all(t.truth in objects.columns for t in query.catalog.types if t.name in used)
         began = time.time()
+        self.size = objects.count()
         loaded = time.time()
         self.state = cut(seed_state(objects, query) if state is None else state)
-        self.init_times = {"load": loaded - began, "seed": time.time() - loaded, "structures": 0.0}
+        seeded = time.time()
+        self.init_times = {"load": loaded - began, "seed": seeded - loaded, "structures": 0.0}
         self.truth = objects.select("object_id", holds_column(query.expr, {t.name: t.truth for t in query.catalog.types}).alias("relevant")) if truth else None
         self.relevant = self.truth.where("relevant").count() if truth else None
         self.first = None
+        structured = time.time()
         if self.settings.approach in ("scorer_first", "object_first"):
             make = baselines.scorer_first if self.settings.approach == "scorer_first" else baselines.object_first
             self.first = cut(make(baselines.every_item(self.state, query), query))
-        self.init_times["structures"] = time.time() - began - self.init_times["seed"]
+        self.init_times["structures"] = time.time() - structured
+        self.sampled = 0  # percent of the objects that refreshes of the table have paid for
         self.drained = False
 
     def _quality(self, answer: Answer, state: DataFrame) -> float | None:
@@ -99,22 +106,36 @@ class EnrichmentRun:
         items = planning.benefit_prefix(items, state, answer) if s.benefit == "prefix" else planning.benefit_relative(items)
         return planning.guard_gaining(items, answer) if rule == "gaining" else items
 
+    def _refresh(self, percent: int) -> float:
+        """Learn the table from a sample of the run's own objects; what the sample's scorers cost is paid by the epoch."""
+        from .learning import learn_online, online_sample
+
+        self.table, _ = learn_online(self.objects, self.query, percent, self.table.bins)
+        new = online_sample(self.objects, percent).count() - (online_sample(self.objects, self.sampled).count() if self.sampled else 0)
+        self.sampled = percent
+        return float(new) * sum(s.cost for i in range(len(self.query.preds)) for s in self.query.scorers(i))
+
     def epochs(self, most: int) -> Iterator[Epoch]:
-        s, state, spent = self.settings, self.state, 0.0
+        s, state, spent, debt = self.settings, self.state, 0.0, 0.0
         answer = choose_answer(state, s.alpha, s.answer)
         yield Epoch(0, 0.0, 0, answer, self._quality(answer, state), state)
         for number in range(1, most + 1):
             began = time.time()
             self.drained = False
+            budget = self.budget - debt
             if s.refresh_every and number % s.refresh_every == 0:
-                from .learning import learn_online
-
-                self.table, _ = learn_online(self.objects, self.query, min(100, s.refresh_percent * number), self.table.bins)
-            plan = cut(planning.select_plan(self.items(state, answer, number), self.budget))
+                paid = self._refresh(min(100, s.refresh_percent * number))
+                spent += paid
+                budget -= paid
+            debt = max(0.0, -budget)  # a sample dearer than the epoch is paid for by the next ones as well
+            if budget <= 0:
+                yield Epoch(number, spent, 0, answer, self._quality(answer, state), state, None, {"plan": time.time() - began})
+                continue
+            plan = cut(planning.select_plan(self.items(state, answer, number), budget))
             n, cost = plan.agg(F.count("*"), F.sum("cost")).first()
             if not n and s.approach == "progressive" and s.rule != "all" and s.on_exhausted == "drain":
                 self.drained = True
-                plan = cut(planning.select_plan(self.items(state, answer, number), self.budget))
+                plan = cut(planning.select_plan(self.items(state, answer, number), budget))
                 n, cost = plan.agg(F.count("*"), F.sum("cost")).first()
             planned = time.time()
             if not n:

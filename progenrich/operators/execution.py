@@ -7,6 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import cut
 from .state import Query
 
 #: Plans up to this many items are broadcast; larger ones meet the payload by a shuffle join.
@@ -23,6 +24,8 @@ def execute_plan(plan: DataFrame, payload: DataFrame, query: Query, items: int |
     wanted = plan.select("object_id", "pred", "scorer", "cost")
     wanted = F.broadcast(wanted) if n <= BROADCAST_ITEMS else wanted
     fetched = payload.join(wanted, "object_id")
+    if sum(s.column is None for i in range(len(query.preds)) for s in query.scorers(i)) > 1:
+        fetched = cut(fetched)  # several branches read it: the payload of planned objects is fetched once
     arms, branches = [], []
     for i, p in enumerate(query.preds):
         t = query.catalog.type(p.type)

@@ -14,8 +14,9 @@ from pyspark.sql import functions as F
 
 from ..functions.entropy import entropy_bits
 from ..model import Catalog
+from ..session import cut
 from .planning import NextScorer, uncertainty_bin
-from .state import Calibration, Query
+from .state import Calibration, Query, raw_outputs
 
 
 def validation_log(objects: DataFrame, query: Query) -> DataFrame:
@@ -23,9 +24,10 @@ def validation_log(objects: DataFrame, query: Query) -> DataFrame:
     parts = []
     for p in query.preds:
         t = query.catalog.type(p.type)
-        has = F.col(t.truth) == F.lit(p.tag)
-        cells = [F.struct(F.lit(s.number).alias("scorer"), s.column(F.col("object_id"), has, t.number(p.tag)).alias("prob"), F.lit(float(s.cost)).alias("cost")) for s in query.catalog.of(p.type)]
-        parts.append(objects.select("object_id", F.lit(p.type).alias("tag_type"), F.lit(str(p.tag)).alias("tag"), has.alias("truth"), F.inline(F.array(*cells))))
+        scorers = query.catalog.of(p.type)
+        scored = raw_outputs(objects, query.catalog, p.type, p.tag, scorers, keep=(t.truth,))
+        cells = [F.struct(F.lit(s.number).alias("scorer"), F.col(f"f{s.number}").alias("prob"), F.lit(float(s.cost)).alias("cost")) for s in scorers]
+        parts.append(scored.select("object_id", F.lit(p.type).alias("tag_type"), F.lit(str(p.tag)).alias("tag"), (F.col(t.truth) == F.lit(p.tag)).alias("truth"), F.inline(F.array(*cells))))
     return reduce(DataFrame.unionByName, parts)
 
 
@@ -74,14 +76,40 @@ def calibration_error(log: DataFrame, bins: int = 20) -> DataFrame:
     return brier.join(gap, by)
 
 
-def learn_calibration(objects: DataFrame, query: Query, bins: int = 20) -> Calibration:
-    """Rates by bin; types x tags x scorers x bins rows reach the driver. Empty bins keep their middle."""
+def learn_calibration(objects: DataFrame, query: Query, bins: int = 20, fits: dict | None = None) -> Calibration:
+    """Rates by bin; types x tags x scorers x bins rows reach the driver. Empty bins keep their middle.
+
+    ``fits`` names the scorers (by type and number) that get a fitted map instead: "isotonic" or "platt".
+    """
     rates: dict = {}
     tags = {(p.type, str(p.tag)): p.tag for p in query.preds}
-    for r in reliability(validation_log(objects, query), bins).collect():
+    log = validation_log(objects, query)
+    if fits:
+        log = cut(log)
+    for r in reliability(log, bins).collect():
         key = (r["tag_type"], tags[r["tag_type"], r["tag"]], r["scorer"])
         rates.setdefault(key, [(b + 0.5) / bins for b in range(bins)])[r["bin"]] = r["rate"]
-    return Calibration(rates, bins)
+    curves = {}
+    for p in {(p.type, p.tag) for p in query.preds}:
+        for (type_name, number), method in (fits or {}).items():
+            if type_name == p[0]:
+                rows = log.where((F.col("tag_type") == p[0]) & (F.col("tag") == str(p[1])) & (F.col("scorer") == number))
+                curves[p[0], p[1], number] = calibration_curve(fit_calibration(rows, method), method)
+    return Calibration(rates, bins, curves)
+
+
+#: Most points of an isotonic map that is written out as literals.
+CURVE_POINTS = 200
+
+
+def calibration_curve(model, method: str) -> tuple:
+    """A fitted map as ``Calibration`` holds it."""
+    if method == "platt":
+        return "sigmoid", float(model.coefficients[0]), float(model.intercept)
+    xs, ys = model.boundaries.toArray().tolist(), model.predictions.toArray().tolist()
+    step = -(-len(xs) // CURVE_POINTS)
+    at = sorted({*range(0, len(xs), step), len(xs) - 1})
+    return "isotonic", [xs[i] for i in at], [ys[i] for i in at]
 
 
 def fit_calibration(log: DataFrame, method: str = "isotonic"):
@@ -103,10 +131,10 @@ def reductions(objects: DataFrame, query: Query, bins: int = 10) -> DataFrame:
     scorer that is left. Pred i stands for its (type, tag, op)."""
     parts = []
     for i, p in enumerate(query.preds):
-        scorers, t = query.scorers(i), query.catalog.type(p.type)
+        scorers = query.scorers(i)
         seed = query.catalog.seed(p.type).number
-        has = F.col(t.truth) == F.lit(p.tag)
-        outs = objects.select("object_id", *[query.output(i, s, has).alias(f"f{s.number}") for s in scorers])
+        outs = raw_outputs(objects, query.catalog, p.type, p.tag, scorers)
+        outs = outs.select("object_id", *[query.adjusted(i, s, F.col(f"f{s.number}")).alias(f"f{s.number}") for s in scorers])
 
         def blended(mask: int):
             on = [s for s in scorers if mask >> s.number & 1]

@@ -20,12 +20,26 @@ from .scorers import outputs
 
 @dataclass(frozen=True)
 class Calibration:
-    """Rates by bin of raw output: (type, tag, scorer) -> list of shares of objects with the tag."""
+    """Maps from raw output to probability by (type, tag, scorer).
+
+    ``rates``: shares of objects with the tag by bin of output. ``curves``: a fitted map instead, either
+    ("sigmoid", slope, intercept) or ("isotonic", outputs, rates) with linear steps between its points.
+    """
 
     rates: dict = field(default_factory=dict)
     bins: int = 20
+    curves: dict = field(default_factory=dict)
 
     def apply(self, raw: Column, type_name: str, tag, scorer: int) -> Column:
+        curve = self.curves.get((type_name, tag, scorer))
+        if curve and curve[0] == "sigmoid":
+            return 1 / (1 + F.exp(-(F.lit(float(curve[1])) * raw + F.lit(float(curve[2])))))
+        if curve:
+            xs, ys, n = F.array(*[F.lit(float(x)) for x in curve[1]]), F.array(*[F.lit(float(y)) for y in curve[2]]), len(curve[1])
+            k = F.size(F.filter(xs, lambda x: x <= raw))
+            lo, hi = F.greatest(k, F.lit(1)), F.least(k + 1, F.lit(n))
+            x0, x1, y0, y1 = (F.element_at(a, i) for a, i in ((xs, lo), (xs, hi), (ys, lo), (ys, hi)))
+            return F.when(x1 > x0, y0 + (y1 - y0) * (F.greatest(raw, x0) - x0) / (x1 - x0)).otherwise(y0)
         rates = self.rates.get((type_name, tag, scorer))
         if not rates:
             return raw
@@ -60,7 +74,12 @@ class Query:
     def output(self, i: int, scorer, truth_has_tag: Column, key: str = "object_id") -> Column:
         """Calibrated output of a simulated scorer for predicate i, flipped for ``!=``."""
         p = self.preds[i]
-        out = self.calibration.apply(scorer.column(F.col(key), truth_has_tag, self.catalog.type(p.type).number(p.tag)), p.type, p.tag, scorer.number)
+        return self.adjusted(i, scorer, scorer.column(F.col(key), truth_has_tag, self.catalog.type(p.type).number(p.tag)))
+
+    def adjusted(self, i: int, scorer, raw: Column) -> Column:
+        """A raw output of any scorer, calibrated, and flipped for ``!=``."""
+        p = self.preds[i]
+        out = self.calibration.apply(raw, p.type, p.tag, scorer.number)
         return 1.0 - out if p.op == "!=" else out
 
 
@@ -75,14 +94,35 @@ def raw_columns(query: Query) -> list[str]:
     return ["object_id", *[f"{c}{i}" for i in range(len(query.preds)) for c in ("m", "ws", "qs")]]
 
 
+def raw_outputs(objects: DataFrame, catalog: Catalog, type_name: str, tag, scorers, keep: tuple[str, ...] = ()) -> DataFrame:
+    """``object_id``, the columns of ``keep``, and the raw output ``f<number>`` of each scorer.
+
+    Simulated scorers are Columns of the objects; any other kind scores the objects in a branch of its own,
+    whose outputs are joined by id.
+    """
+    t = catalog.type(type_name)
+    cols = [s.column(F.col("object_id"), F.col(t.truth) == F.lit(tag), t.number(tag)).alias(f"f{s.number}") for s in scorers if s.column is not None]
+    out = objects.select("object_id", *keep, *cols)
+    for s in scorers:
+        if s.column is None:
+            out = out.join(s.apply(objects, tag).select("object_id", F.col("prob").alias(f"f{s.number}")), "object_id")
+    return out
+
+
 def seed_state(objects: DataFrame, query: Query) -> DataFrame:
-    """State after the seed scorer of each type has run on every object: a narrow projection."""
+    """State after the seed scorer of each type has run on every object: a narrow projection where all are Columns."""
     cols: list[Column] = [F.col("object_id")]
+    base = objects
     for i, p in enumerate(query.preds):
         s, t = query.catalog.seed(p.type), query.catalog.type(p.type)
-        out = query.output(i, s, F.col(t.truth) == F.lit(p.tag))
+        if s.column is not None:
+            out = query.output(i, s, F.col(t.truth) == F.lit(p.tag))
+        else:
+            scored = raw_outputs(objects, query.catalog, p.type, p.tag, [s])
+            base = base.join(scored.select("object_id", F.col(f"f{s.number}").alias(f"__seed{i}")), "object_id")
+            out = query.adjusted(i, s, F.col(f"__seed{i}"))
         cols += [F.lit(1 << s.number).alias(f"m{i}"), (F.lit(s.quality) * out).alias(f"ws{i}"), F.lit(float(s.quality)).alias(f"qs{i}")]
-    return with_probabilities(objects.select(*cols), query)
+    return with_probabilities(base.select(*cols), query)
 
 
 def state_from_log(objects: DataFrame, log: DataFrame, query: Query) -> DataFrame:
@@ -138,8 +178,6 @@ def cached_log(objects: DataFrame, query: Query, percent: int, scorer: int = 3)
     """Stored outputs of earlier queries: the seed for every object, and ``scorer`` for ``percent`` of them."""
     parts = []
     for i, p in enumerate(query.preds):
-        t = query.catalog.type(p.type)
-        has = F.col(t.truth) == F.lit(p.tag)
         for s in query.scorers(i):
             if s.number == query.catalog.seed(p.type).number:
                 rows = objects
@@ -147,7 +185,8 @@ def cached_log(objects: DataFrame, query: Query, percent: int, scorer: int = 3)
                 rows = objects.where(F.pmod(F.floor(F.col("object_id") / 7), F.lit(100)) < percent)
             else:
                 continue
-            parts.append(rows.select("object_id", F.lit(i).alias("pred"), F.lit(s.number).alias("scorer"), query.output(i, s, has).alias("prob")))
+            scored = raw_outputs(rows, query.catalog, p.type, p.tag, [s])
+            parts.append(scored.select("object_id", F.lit(i).alias("pred"), F.lit(s.number).alias("scorer"), query.adjusted(i, s, F.col(f"f{s.number}")).alias("prob")))
     return reduce(DataFrame.unionByName, parts)
 
 

@@ -57,7 +57,7 @@ def containment(docs: DataFrame, items: DataFrame, n: int = 8, rate: int = 1) ->
         each = w.select(key, F.explode(F.sequence(F.lit(1), F.size("w") - n + 1)).alias("i"), "w")
         return each.select(key, F.xxhash64(F.concat_ws(" ", F.slice("w", F.col("i"), F.lit(n)))).alias("h")).where(F.pmod("h", F.lit(rate)) == 0).distinct()
 
-    hits = runs(docs, "object_id").join(F.broadcast(runs(items, "item_id").select("h").distinct()), "h").groupBy("object_id").agg(F.count("*").alias("k"))
+    hits = runs(docs, "object_id").join(runs(items, "item_id").select("h").distinct(), "h").groupBy("object_id").agg(F.count("*").alias("k"))
     return docs.select("object_id").join(hits, "object_id", "left").select("object_id", F.coalesce(F.least(F.lit(1.0), F.col("k") / 5.0), F.lit(0.0)).alias("prob"))
 
 
@@ -104,8 +104,8 @@ def knn(train: DataFrame, df: DataFrame, vector: str, label: str, tag, k: int =
     import numpy as np
     import pyarrow as pa
 
-    rows = train.select(vector, (F.col(label) == F.lit(tag)).cast("int").alias("y")).limit(most).collect()
-    shared = df.sparkSession.sparkContext.broadcast((np.array([r[0] for r in rows], np.float32), np.array([r[1] for r in rows], np.float32)))
+    rows = train.select("object_id", vector, (F.col(label) == F.lit(tag)).cast("int").alias("y")).orderBy(F.xxhash64("object_id")).limit(most).collect()
+    shared = df.sparkSession.sparkContext.broadcast((np.array([r[vector] for r in rows], np.float32), np.array([r["y"] for r in rows], np.float32)))
 
     def run(batches):
         x, y = shared.value
@@ -120,6 +120,41 @@ def knn(train: DataFrame, df: DataFrame, vector: str, label: str, tag, k: int =
     return df.select("object_id", F.col(vector).alias("v")).mapInArrow(run, "object_id long, prob double")
 
 
+#: Fitted scorers of a catalog: kind, cost, and the map that calibrates it (fixed values). The neighbours and the ensemble stand last.
+FITTED = (("gnb", 1.0, "isotonic"), ("dt", 2.0, "platt"), ("svm", 4.0, "platt"), ("rf", 10.0, "platt"), ("mlp", 16.0, "platt"), ("knn", 24.0, "platt"), ("ensemble", 40.0, "platt"))
+
+
+def fitted_scorers(tag_type: str, train: DataFrame, label: str, kinds=FITTED, features=FEATURES) -> tuple[list[Scorer], dict]:
+    """Scorers fitted on ``train`` for a type with tags 0 and 1, and the calibration that each asks for.
+
+    Qualities start at one half; ``learning.catalog_with`` sets them from validation objects.
+    """
+    y = train.withColumn("y", F.col(label).cast("double")).withColumn("vec", F.array(*features))
+    models = {k: fit_classifier(k, y, list(features), "y") for k, _, _ in kinds if k not in ("knn", "ensemble")}
+
+    def of_one(payload: DataFrame, kind: str) -> DataFrame:
+        """``object_id, prob`` for tag 1."""
+        if kind == "knn":
+            return knn(y, payload.withColumn("vec", F.array(*features)), "vec", "y", 1.0, 9)
+        return positive(models[kind], payload.select("object_id", *features), kind).select("object_id", "prob")
+
+    def ensemble_of(payload: DataFrame) -> DataFrame:
+        out = payload.select("object_id")
+        for k in models:
+            out = out.join(of_one(payload, k).withColumnRenamed("prob", k), "object_id")
+        return out.select("object_id", ensemble([F.col(k) for k in models]).alias("prob"))
+
+    def apply_of(kind: str):
+        def apply(payload: DataFrame, tag) -> DataFrame:
+            out = ensemble_of(payload) if kind == "ensemble" else of_one(payload, kind)
+            return out.select("object_id", (F.col("prob") if tag == 1 else 1 - F.col("prob")).alias("prob"))
+
+        return apply
+
+    made = [Scorer(tag_type, n, cost, 0.5, apply=apply_of(kind)) for n, (kind, cost, _) in enumerate(kinds)]
+    return made, {(tag_type, n): fit for n, (_, _, fit) in enumerate(kinds)}
+
+
 def text_catalog_scorers() -> list[Scorer]:
     """Lexical scorers as catalog entries."""
     from .scorers import from_column

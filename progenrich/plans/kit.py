@@ -108,31 +108,20 @@ def _(spark, sf):
     return o.join(table(spark, sf, "region"), F.col("n_regionkey") == F.col("r_regionkey")).groupBy("r_name").agg(F.count("*").alias("n"))
 
 
-PLAN40 = "SELECT o_orderkey AS object_id FROM orders WHERE o_orderkey % 40 = 0"
-
-
 #: Most rows of a plan that is broadcast, once counted.
 PLAN_ROWS = 100_000
 
 
-def _planned_lines(spark, sf, where):
-    plan = table(spark, sf, "orders", F.col("o_orderkey").alias("object_id")).where(where)
+def _planned_lines(spark, sf):
+    plan = table(spark, sf, "orders", F.col("o_orderkey").alias("object_id"))
     if plan.limit(PLAN_ROWS + 1).count() <= PLAN_ROWS:
         plan = F.broadcast(plan)
     return table(spark, sf, "lineitem", "l_orderkey", "l_linenumber", "l_partkey").join(plan, F.col("l_orderkey") == F.col("object_id")).drop("object_id")
 
 
-@query("join_broadcast_plan", f"SELECT l_orderkey, l_linenumber, l_partkey FROM lineitem JOIN ({PLAN40}) ON l_orderkey = object_id")
+@query("join_broadcast_plan", "SELECT l_orderkey, l_linenumber, l_partkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
 def _(spark, sf):
-    return _planned_lines(spark, sf, "object_id % 40 = 0")
-
-
-@query("join_broadcast_plan_whole", "SELECT l_orderkey, l_linenumber, l_partkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
-def _(spark, sf):
-    return _planned_lines(spark, sf, "true")
-
-
-
+    return _planned_lines(spark, sf)
 
 @query("join_sort_merge", "SELECT o_orderpriority, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_orderpriority")
 def _(spark, sf):
@@ -172,18 +161,13 @@ def _(spark, sf):
     return o.join(F.broadcast(bands), (F.col("o_totalprice") >= F.col("lo")) & (F.col("o_totalprice") < F.col("hi"))).groupBy("name").agg(F.count("*").alias("n"))
 
 
-@query("asof_curve", "SELECT e.event_id, e.user_id, (SELECT arg_max(p.event_id, p.ts) FROM events p WHERE p.user_id = e.user_id AND p.event_type = 'purchase' AND p.ts <= e.ts) AS last_purchase FROM events e WHERE e.event_type = 'error' AND e.user_id < 60")
-def _(spark, sf):
-    return _last_purchases(spark, sf, "user_id < 60")
-
-
-@query("asof_curve_whole", "SELECT e.event_id, e.user_id, (SELECT arg_max(p.event_id, p.ts) FROM events p WHERE p.user_id = e.user_id AND p.event_type = 'purchase' AND p.ts <= e.ts) AS last_purchase FROM events e WHERE e.event_type = 'error'")
+@query("asof_curve", "SELECT e.event_id, e.user_id, (SELECT arg_max(p.event_id, p.ts) FROM events p WHERE p.user_id = e.user_id AND p.event_type = 'purchase' AND p.ts <= e.ts) AS last_purchase FROM events e WHERE e.event_type = 'error'")
 def _(spark, sf):
-    return _last_purchases(spark, sf, "true")
+    return _last_purchases(spark, sf)
 
 
-def _last_purchases(spark, sf, where):
-    ev = table(spark, sf, "events", "event_id", "user_id", "event_type", "ts").where(where)
+def _last_purchases(spark, sf):
+    ev = table(spark, sf, "events", "event_id", "user_id", "event_type", "ts")
     points = ev.where("event_type = 'error'")
     facts = ev.where("event_type = 'purchase'").withColumnRenamed("event_id", "last_purchase")
     asof = joins.as_of(points, facts, "user_id", "ts", "last_purchase")
@@ -219,18 +203,13 @@ def _(spark, sf):
     return table(spark, sf, "orders").groupBy("o_custkey").agg(F.max_by("o_orderkey", "o_totalprice").alias("top"), F.min_by("o_orderkey", "o_totalprice").alias("low"))
 
 
-@query("agg_mode", "SELECT o_custkey % 7 AS g, mode(o_orderstatus) AS m FROM orders WHERE o_custkey % 7 < 3 GROUP BY 1")
-def _(spark, sf):
-    return _modes(spark, sf, "o_custkey % 7 < 3")
-
-
-@query("agg_mode_whole", "SELECT o_custkey % 7 AS g, mode(o_orderstatus) AS m FROM orders GROUP BY 1")
+@query("agg_mode", "SELECT o_custkey % 7 AS g, mode(o_orderstatus) AS m FROM orders GROUP BY 1")
 def _(spark, sf):
-    return _modes(spark, sf, "true")
+    return _modes(spark, sf)
 
 
-def _modes(spark, sf, where):
-    return table(spark, sf, "orders").where(where).groupBy((F.col("o_custkey") % 7).alias("g")).agg(F.mode("o_orderstatus").alias("m"))
+def _modes(spark, sf):
+    return table(spark, sf, "orders").groupBy((F.col("o_custkey") % 7).alias("g")).agg(F.mode("o_orderstatus").alias("m"))
 
 
 @query("agg_collect", "SELECT o_custkey, list_sort(list(DISTINCT o_orderstatus)) AS tags FROM orders GROUP BY o_custkey")

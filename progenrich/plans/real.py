@@ -9,8 +9,9 @@ from pyspark.sql import functions as F
 from ..model import Catalog
 from ..operators import learning, sqlsurface
 from ..operators import text_scorers as t
-from ..operators.enrich import CURVE, EnrichmentRun
-from ..operators.state import Query, empty_state
+from ..operators.enrich import CURVE, EnrichmentRun, Settings
+from ..operators.state import Query
+from ..session import cut
 from ..sources.objects import COLLECTIONS, objects, split_part
 from ..sources.tables import table
 from . import workloads as w
@@ -57,21 +58,39 @@ def _(spark, sf):
     return dear.join(cheap, "object_id").where("prob > 0")
 
 
-@query("exp1_docs_real")
-def _(spark, sf):
-    """The operator with real scorers: rude-word rules and mark shares by the lexical catalog, on documents."""
+def real_runs(spark, sf, approaches=w.APPROACHES, share=0.25, epochs=w.UNTIL_DONE):
+    """Curves of the approaches with fitted classifiers on documents, each calibrated, until nothing is left.
+
+    Parts 0-3 train, 4-5 validate (quality, calibration, next-scorer table), 6-9 are queried: low quality, the rare tag.
+    """
+    made = _docs(spark, sf)
+    train, validation, chosen = made.where(split_part() < 4), cut(made.where(split_part().between(4, 5))), cut(made.where(split_part() >= 6))
+    fitted, fits = t.fitted_scorers("Quality", train, "t_quality")
     c = COLLECTIONS["docs"]
-    catalog = Catalog(c.types, tuple(t.text_catalog_scorers()))
-    q = Query(w.parse_tag_expr("Toxic = 1"), catalog)
-    chosen = objects(spark, sf, "docs").where(split_part() >= 2)
-    run = EnrichmentRun(chosen, q, 60.0, state=_unscored(chosen, q))
-    return spark.createDataFrame([("lexical", e, s, i, n, float(x), float(f)) for _, e, s, i, n, x, f in run.curve(3)], CURVE)
+    q = Query(w.parse_tag_expr("Quality = 0"), Catalog(c.types, tuple(fitted)))
+    catalog = learning.catalog_with(q.catalog, learning.learn_quality(learning.validation_log(validation, q)))
+    q = Query(q.expr, catalog)
+    q = Query(q.expr, catalog, learning.learn_calibration(validation, q, fits=fits))
+    table_ = learning.learn_next_scorer(validation, q)
+    budget = share * sum(s.cost for s in fitted) * chosen.count()
+    rows = []
+    for a in approaches:
+        rows += EnrichmentRun(chosen, q, budget, table_, Settings(approach=a)).curve(epochs)
+    return spark.createDataFrame([(a, e, s, int(i), int(n), float(x), float(f)) for a, e, s, i, n, x, f in rows], CURVE)
 
 
-def _unscored(chosen, q):
-    from ..operators.state import with_probabilities
+@query("exp1_docs_real")
+def _(spark, sf):
+    return real_runs(spark, sf)
 
-    return with_probabilities(empty_state(chosen, q), q)
+
+@query("exp1_docs_lexical")
+def _(spark, sf):
+    """The operator with a rule as its one scorer: it seeds the state, and nothing is left to run."""
+    c = COLLECTIONS["docs"]
+    q = Query(w.parse_tag_expr("Toxic = 1"), Catalog(c.types, tuple(t.text_catalog_scorers())))
+    run = EnrichmentRun(objects(spark, sf, "docs").where(split_part() >= 2), q, 60.0)
+    return spark.createDataFrame([("lexical", e, s, i, n, float(x), float(f)) for _, e, s, i, n, x, f in run.curve(3)], CURVE)
 
 
 @query("exp10_control")
@@ -100,19 +119,14 @@ def _(spark, sf):
     return spark.sql("SELECT o_orderkey, entropy_bits(x) AS h, relative_benefit(x, 0.9D, 3D) AS b FROM entropy_in")
 
 
-@query("sql_table_function", "SELECT o_orderkey AS object_id, ((o_orderkey % 10) / 10.0::DOUBLE) / 2 AS benefit FROM orders WHERE o_orderkey < 500", "benefit")
-def _(spark, sf):
-    return _items(spark, sf, "o_orderkey < 500")
-
-
-@query("sql_table_function_whole", "SELECT o_orderkey AS object_id, ((o_orderkey % 10) / 10.0::DOUBLE) / 2 AS benefit FROM orders", "benefit")
+@query("sql_table_function", "SELECT o_orderkey AS object_id, ((o_orderkey % 10) / 10.0::DOUBLE) / 2 AS benefit FROM orders", "benefit")
 def _(spark, sf):
-    return _items(spark, sf, "true")
+    return _items(spark, sf)
 
 
-def _items(spark, sf, where):
+def _items(spark, sf):
     sqlsurface.register_item_function(spark)
-    table(spark, sf, "orders", "o_orderkey").where(where).selectExpr("o_orderkey AS object_id", "o_orderkey % 10 / 10D AS p", "2D AS cost").createOrReplaceTempView("item_in")
+    table(spark, sf, "orders", "o_orderkey").selectExpr("o_orderkey AS object_id", "o_orderkey % 10 / 10D AS p", "2D AS cost").createOrReplaceTempView("item_in")
     return spark.sql("SELECT * FROM enrich_items(TABLE(item_in))")
 
 

@@ -50,8 +50,8 @@ def objects(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
             F.col("o_orderstatus").alias("t_status"), F.col("o_orderpriority").alias("t_priority"), F.col("c_mktsegment").alias("t_segment"),
         )
     if name == "lineitem":
-        # the four columns together are a key; they fold into a long while the factors bound them
-        key = ((F.col("l_orderkey") * 8 + F.col("l_linenumber")) * 20011 + F.col("l_partkey")) * 1009 + F.col("l_suppkey")
+        lines, parts, supps = _line_factors(spark, sf_dir)
+        key = ((F.col("l_orderkey").cast("long") * lines + F.col("l_linenumber")) * parts + F.col("l_partkey")) * supps + F.col("l_suppkey")
         return t("lineitem", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_quantity", "l_discount", "l_returnflag", "l_linestatus").select(
             key.cast("long").alias("object_id"), "l_shipdate", "l_quantity", "l_discount", F.col("l_returnflag").alias("t_returnflag"), F.col("l_linestatus").alias("t_linestatus")
         )
@@ -70,6 +70,26 @@ def objects(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     raise ValueError(f"no collection {name!r}")
 
 
+#: Least factors by which the columns of a line's key fold into a long, and the multiple of a key that must still fit.
+LINE_FACTORS = (8, 20011, 1009)
+KEY_ROOM = 7919 * 4
+_FACTORS: dict[tuple[str, str], tuple[int, int, int]] = {}
+
+
+def _line_factors(spark: SparkSession, sf_dir: str) -> tuple[int, int, int]:
+    """Factors above the greatest line number, part and supplier: the four columns together are a key, and no two keys
+    fold alike. Refused where the folded key would not fit into a long. One aggregate over four columns a table."""
+    name = (spark.sparkContext.applicationId, sf_dir)
+    if name not in _FACTORS:
+        cols = ("l_linenumber", "l_partkey", "l_suppkey", "l_orderkey")
+        top = table(spark, sf_dir, "lineitem", *cols).agg(*[F.max(c).alias(c) for c in cols]).first()
+        found = tuple(max(f, int(top[c] or 0) + 1) for f, c in zip(LINE_FACTORS, cols))
+        if (int(top["l_orderkey"] or 0) + 1) * found[0] * found[1] * found[2] * KEY_ROOM >= 1 << 63:
+            raise ValueError("the key of a line does not fit into a long; number the lines first (objects with a bigint key)")
+        _FACTORS[name] = found
+    return _FACTORS[name]
+
+
 def split_part(key=None):
     """0..9 from the key: parts 0 and 1 are for validation, the rest for queries."""
     return F.pmod(F.col(key or "object_id") * 7919, F.lit(10))

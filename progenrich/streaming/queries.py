@@ -34,18 +34,13 @@ def _(spark, sf):
     return out.select(F.date_format("w.start", "yyyy-MM-dd HH").alias("start"), "expected", "n")
 
 
-@query("stream_session", "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS gap FROM events WHERE user_id < 40) WHERE gap IS NULL OR gap >= INTERVAL 6 HOUR GROUP BY user_id")
+@query("stream_session", "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS gap FROM events) WHERE gap IS NULL OR gap >= INTERVAL 6 HOUR GROUP BY user_id")
 def _(spark, sf):
-    return _sessions(spark, sf, "user_id < 40")
+    return _sessions(spark, sf)
 
 
-@query("stream_session_whole", "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS gap FROM events) WHERE gap IS NULL OR gap >= INTERVAL 6 HOUR GROUP BY user_id")
-def _(spark, sf):
-    return _sessions(spark, sf, "true")
-
-
-def _sessions(spark, sf, where):
-    s = ingest.event_stream(spark, sf, 1).where(where).withWatermark("ts", "1 hour")
+def _sessions(spark, sf):
+    s = ingest.event_stream(spark, sf, 1).withWatermark("ts", "1 hour")
     out = ingest.finished(s.groupBy(F.session_window("ts", "6 hours"), "user_id").agg(F.count("*").alias("n")), "complete")
     return out.groupBy("user_id").agg(F.count("*").alias("sessions"))
 
@@ -56,18 +51,13 @@ def _(spark, sf):
     return out.select(F.date_format("w.start", "yyyy-MM-dd").alias("day"), "expected", "n")
 
 
-@query("stream_dedup", "SELECT DISTINCT user_id FROM events WHERE user_id < 20")
-def _(spark, sf):
-    return _users(spark, sf, "user_id < 20")
-
-
-@query("stream_dedup_whole", "SELECT DISTINCT user_id FROM events")
+@query("stream_dedup", "SELECT DISTINCT user_id FROM events")
 def _(spark, sf):
-    return _users(spark, sf, "true")
+    return _users(spark, sf)
 
 
-def _users(spark, sf, where):
-    s = ingest.event_stream(spark, sf).where(where).withWatermark("ts", "40 days")
+def _users(spark, sf):
+    s = ingest.event_stream(spark, sf).withWatermark("ts", "40 days")
     return ingest.finished(s.dropDuplicatesWithinWatermark(["user_id"]).select("user_id"))
 
 

@@ -178,6 +178,8 @@ def test_blocks_respect_capacity(spark):
 def test_table_is_refreshed_online(made):
     chosen, q, t, _ = made
     run = EnrichmentRun(chosen, q, 300, NextScorer({}), Settings(refresh_every=1, refresh_percent=50))
+    assert [e.items for e in run.epochs(2)] == [0, 0, 0]  # the sample costs more than two epochs hold
+    run = EnrichmentRun(chosen, q, 54 * 2 * chosen.count(), NextScorer({}), Settings(refresh_every=1, refresh_percent=50))
     rows = list(run.epochs(1))
     assert run.table.cells and rows[-1].items > 0
 
@@ -203,3 +205,54 @@ def test_other_kinds_of_scorers(spark):
     assert got == {(1, 0): 0.2, (2, 0): 0.9, (1, 1): 0.8, (2, 1): pytest.approx(0.1), (1, 2): 0.5, (2, 2): 0.5}
     final = {r["object_id"]: (r["m0"], r["p0"]) for r in apply_outputs(empty_state(objects, q), out, q).collect()}
     assert final[1] == (7, pytest.approx((0.6 * 0.2 + 0.7 * 0.8 + 0.8 * 0.5) / 2.1))
+
+
+def test_fitted_classifiers_run_to_the_end(spark):
+    """Seed, calibration, table and epochs with classifiers that never see the truth of the queried documents."""
+    from progenrich.plans.real import real_runs
+
+    rows = real_runs(spark, SF, approaches=("progressive", "scorer_first"), share=0.5).collect()
+    ends = {}
+    for r in rows:
+        assert 0 <= r["f1"] <= 1 and 0 <= r["expected_f"] <= 1
+        ends[r["approach"]] = r
+    assert len({e["spent"] for e in ends.values()}) == 1 and ends["progressive"]["spent"] > 0
+    assert ends["progressive"]["answer_size"] == ends["scorer_first"]["answer_size"]
+
+
+def test_runs_without_a_truth_column(spark):
+    """Objects without hidden truth: a run by a plain scorer, with answers and no true quality."""
+    from progenrich.functions.tagexpr import Pred
+    from progenrich.model import Catalog, TagType
+    from progenrich.operators import scorers as sc
+    from progenrich.operators.state import Query
+
+    objects = spark.createDataFrame([(i, i / 10) for i in range(10)], "object_id long, x double")
+    made = (sc.from_column("Kind", 0, 1.0, 0.7, lambda tag: F.col("x")), sc.from_pandas("Kind", 1, 5.0, 0.9, lambda tag, x: (x > 0.4).astype("float64"), ["x"]))
+    run = EnrichmentRun(objects, Query(Pred("Kind", "a"), Catalog((TagType("Kind", ("a", "b"), "t_kind"),), made)), 12.0)
+    *_, last = run.epochs(20)
+    assert last.f1 is None and {r["object_id"] for r in last.members().collect()} == {5, 6, 7, 8, 9}
+
+
+def test_a_refresh_is_paid_for(made):
+    chosen, q, t, _ = made
+    plain = list(EnrichmentRun(chosen, q, 3000, NextScorer({})).epochs(1))[-1]
+    paid = list(EnrichmentRun(chosen, q, 3000, NextScorer({}), Settings(refresh_every=1, refresh_percent=5)).epochs(1))[-1]
+    assert paid.items < plain.items and paid.spent >= 2900
+
+
+def test_fitted_curves_are_applied(spark):
+    from progenrich.operators.state import Calibration
+
+    c = Calibration(curves={("T", 1, 0): ("sigmoid", 2.0, -1.0), ("T", 1, 1): ("isotonic", [0.2, 0.6, 0.6, 0.9], [0.1, 0.3, 0.7, 0.8])})
+    df = spark.createDataFrame([(x,) for x in (0.0, 0.2, 0.4, 0.6, 0.75, 1.0)], "x double")
+    got = df.select(c.apply(F.col("x"), "T", 1, 0).alias("a"), c.apply(F.col("x"), "T", 1, 1).alias("b")).collect()
+    assert got[1]["a"] == pytest.approx(1 / (1 + 2.718281828 ** 0.6)) and [round(r["b"], 6) for r in got] == [0.1, 0.1, 0.2, 0.7, 0.75, 0.8]
+
+
+def test_line_keys_refuse_to_overflow(spark, tmp_path):
+    from progenrich.sources.objects import objects
+
+    spark.sql("SELECT 6000000000L AS l_orderkey, 7 AS l_linenumber, 200000000L AS l_partkey, 1000000L AS l_suppkey").write.parquet(f"{tmp_path}/lineitem.parquet")
+    with pytest.raises(ValueError):
+        objects(spark, str(tmp_path), "lineitem")

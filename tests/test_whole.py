@@ -18,7 +18,7 @@ def test_plans_are_not_capped(spark, tmp_path):
     assert QUERIES["join_broadcast_plan"](spark, str(tmp_path)).count() == 100_500
 
 
-@pytest.mark.parametrize("name, key, table", [("agg_mode_whole", "g", "(SELECT o_custkey % 7 AS g FROM orders)"), ("stream_dedup_whole", "user_id", "events"), ("stream_session_whole", "user_id", "events"), ("sql_table_function_whole", "object_id", "(SELECT o_orderkey AS object_id FROM orders)")])
+@pytest.mark.parametrize("name, key, table", [("agg_mode", "g", "(SELECT o_custkey % 7 AS g FROM orders)"), ("stream_dedup", "user_id", "events"), ("stream_session", "user_id", "events"), ("sql_table_function", "object_id", "(SELECT o_orderkey AS object_id FROM orders)")])
 def test_every_key_is_there(spark, con, name, key, table):
     got = {r[key] for r in QUERIES[name](spark, SF).select(key).collect()}
     assert got == {k for (k,) in con.execute(f"SELECT DISTINCT {key} FROM {table}").fetchall()}
