@@ -172,6 +172,8 @@ def next_scorer_table(rows: DataFrame, pick: str = "avg") -> DataFrame:
 def learn_next_scorer(objects: DataFrame, query: Query, bins: int = 10, pick: str = "avg") -> NextScorer:
     """The table as literals, with a row for each mask over all bins where a cell saw no object."""
     rows = reductions(objects, query, bins)
+    if any(s.column is None for i in range(len(query.preds)) for s in query.scorers(i)):
+        rows = cut(rows)  # both passes below would score every object again
     tags = {(p.type, str(p.tag)): p.tag for p in query.preds}
     cells = {}
     for r in next_scorer_table(rows.withColumn("bin", F.lit(-1)), pick).collect():

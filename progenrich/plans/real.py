@@ -28,10 +28,11 @@ def _docs(spark, sf):
 def _(spark, sf):
     """Area under the ROC curve of each fitted classifier on held-out documents."""
     d = _docs(spark, sf)
+    d = cut(d.select("object_id", "y", *t.FEATURES))
     train, test = d.where(split_part() < 5), d.where(split_part() >= 5)
-    out = None
-    for i, kind in enumerate(t.CLASSIFIERS):
-        scored = t.positive(t.fit_classifier(kind, train, list(t.FEATURES), "y"), test, kind)
+    out, models = None, {kind: t.fit_classifier(kind, train, list(t.FEATURES), "y") for kind in t.CLASSIFIERS}
+    for i, kind in enumerate((*t.CLASSIFIERS, "ensemble")):
+        scored = t.with_ensemble(test, models) if kind == "ensemble" else t.positive(models[kind], test, kind)
         part = scored.select("object_id", F.lit("Quality").alias("tag_type"), F.lit(kind).alias("tag"), F.lit(i).alias("scorer"), "prob", (F.col("y") == 1).alias("truth"))
         out = part if out is None else out.unionByName(part)
     return learning.learn_quality(out)
@@ -58,17 +59,17 @@ def _(spark, sf):
     return dear.join(cheap, "object_id").where("prob > 0")
 
 
-def real_runs(spark, sf, approaches=w.APPROACHES, share=0.25, epochs=w.UNTIL_DONE):
+def real_runs(spark, sf, approaches=w.APPROACHES, share=0.5, epochs=w.UNTIL_DONE):
     """Curves of the approaches with fitted classifiers on documents, each calibrated, until nothing is left.
 
     Parts 0-3 train, 4-5 validate (quality, calibration, next-scorer table), 6-9 are queried: low quality, the rare tag.
     """
-    made = _docs(spark, sf)
-    train, validation, chosen = made.where(split_part() < 4), cut(made.where(split_part().between(4, 5))), cut(made.where(split_part() >= 6))
+    made = cut(_docs(spark, sf).drop("text"))  # features are extracted once, before any query
+    train, validation, chosen = made.where(split_part() < 4), made.where(split_part().between(4, 5)), made.where(split_part() >= 6)
     fitted, fits = t.fitted_scorers("Quality", train, "t_quality")
     c = COLLECTIONS["docs"]
     q = Query(w.parse_tag_expr("Quality = 0"), Catalog(c.types, tuple(fitted)))
-    catalog = learning.catalog_with(q.catalog, learning.learn_quality(learning.validation_log(validation, q)))
+    catalog = learning.catalog_with(q.catalog, learning.learn_quality(cut(learning.validation_log(validation, q))))
     q = Query(q.expr, catalog)
     q = Query(q.expr, catalog, learning.learn_calibration(validation, q, fits=fits))
     table_ = learning.learn_next_scorer(validation, q)

@@ -211,7 +211,7 @@ def test_fitted_classifiers_run_to_the_end(spark):
     """Seed, calibration, table and epochs with classifiers that never see the truth of the queried documents."""
     from progenrich.plans.real import real_runs
 
-    rows = real_runs(spark, SF, approaches=("progressive", "scorer_first"), share=0.5).collect()
+    rows = real_runs(spark, SF, approaches=("progressive", "scorer_first"), share=1.0).collect()
     ends = {}
     for r in rows:
         assert 0 <= r["f1"] <= 1 and 0 <= r["expected_f"] <= 1
