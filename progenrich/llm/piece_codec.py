@@ -164,6 +164,10 @@ class PieceEncoder:
             out.append(np.concatenate([bos, own, eos]))
         return out
 
+    def ids_of(self, text: str) -> np.ndarray:
+        """Ids of one text with begin and end."""
+        return self.encode_all(pa.array([text], pa.string()))[0]
+
 
 _ENCODERS: dict[tuple[str, int], PieceEncoder] = {}
 
