@@ -1,8 +1,8 @@
 """The progressive enrichment operator: epochs of plan, execution and answer.
 
 State is checkpointed once an epoch, which bounds lineage. Costs are virtual units by default, so runs
-repeat exactly; ``clock='wall'`` turns the budget into seconds of scorer time and takes off what planning
-took.
+repeat exactly; with ``clock='wall'`` the seconds of planning, at ``unit_seconds`` a unit, are taken off the budget
+of their epoch and count as spent.
 """
 
 from __future__ import annotations
@@ -35,7 +35,9 @@ class Settings:
     on_exhausted: str = "drain"  # or stop
     seed: int = 1
     pool: str = "remaining"
-    clock: str = "virtual"
+    clock: str = "virtual"  # or wall: planning is paid for too
+    unit_seconds: float = 1.0  # seconds of planning that one unit of cost stands for, under the wall clock
+    steps: bool = False  # time the steps of planning apart; each of them is stored then
     refresh_every: int = 0  # epochs after which the next-scorer table is learned again from the run's own objects
     refresh_percent: int = 5  # share of objects that each refresh adds to the sample
 
@@ -88,8 +90,8 @@ class EnrichmentRun:
         hit = answer.members(state).join(self.truth.where("relevant"), "object_id", "left_semi").count()
         return f_measure(hit, answer.size, self.relevant, self.settings.alpha)
 
-    def items(self, state: DataFrame, answer: Answer, number: int) -> DataFrame:
-        """Ranked items of an epoch under the settings."""
+    def items(self, state: DataFrame, answer: Answer, number: int, keep=lambda step, df: df) -> DataFrame:
+        """Ranked items of an epoch under the settings; ``keep`` may store the rows after each step."""
         s = self.settings
         if s.approach == "random":
             return baselines.random_epoch(state, self.query, number, s.seed, s.pool)
@@ -98,7 +100,8 @@ class EnrichmentRun:
             mask = F.element_at(F.array(*[F.col(f"m{i}") for i in range(len(self.query.preds))]), F.col("pred") + 1)
             return self.first.join(done, "object_id").where(mask.bitwiseAND(F.expr("shiftleft(1, scorer)")) == 0)
         rule = "all" if self.drained else s.rule
-        items = planning.make_items(planning.select_candidates(state, answer, rule), self.query, self.table)
+        candidates = keep("candidates", planning.select_candidates(state, answer, rule))
+        items = keep("items", planning.make_items(candidates, self.query, self.table))
         if s.benefit == "exact":
             return planning.benefit_exact(items, state, answer)
         if s.benefit == "weighted":
@@ -115,6 +118,32 @@ class EnrichmentRun:
         self.sampled = percent
         return float(new) * sum(s.cost for i in range(len(self.query.preds)) for s in self.query.scorers(i))
 
+    def _plan(self, state: DataFrame, answer: Answer, number: int, budget: float) -> tuple[DataFrame, int, float | None, bool, dict]:
+        """The plan of an epoch, its items and cost, whether there was nothing to choose from, and the seconds by step.
+
+        One query as a rule; step by step where steps are timed apart or the budget pays for planning.
+        """
+        s, steps, at = self.settings, {}, time.time()
+
+        def keep(step: str, df: DataFrame) -> DataFrame:
+            nonlocal at
+            out, began = cut(df), at
+            at = time.time()
+            steps[step] = at - began
+            return out
+
+        totals = (F.count("*"), F.sum("cost"))
+        if s.clock != "wall" and not s.steps:
+            plan = cut(planning.select_plan(self.items(state, answer, number), budget))
+            n, cost = plan.agg(*totals).first()
+            return plan, n, cost, not n, steps
+        items = keep("benefit", self.items(state, answer, number, keep))
+        if s.clock == "wall":
+            budget -= sum(steps.values()) / s.unit_seconds
+        plan = keep("choose", planning.select_plan(items, budget))
+        n, cost = plan.agg(*totals).first()
+        return plan, n, cost, not n and items.isEmpty(), steps
+
     def epochs(self, most: int) -> Iterator[Epoch]:
         s, state, spent, debt = self.settings, self.state, 0.0, 0.0
         answer = choose_answer(state, s.alpha, s.answer)
@@ -131,25 +160,26 @@ class EnrichmentRun:
             if budget <= 0:
                 yield Epoch(number, spent, 0, answer, self._quality(answer, state), state, None, {"plan": time.time() - began})
                 continue
-            plan = cut(planning.select_plan(self.items(state, answer, number), budget))
-            n, cost = plan.agg(F.count("*"), F.sum("cost")).first()
-            if not n and s.approach == "progressive" and s.rule != "all" and s.on_exhausted == "drain":
+            plan, n, cost, empty, steps = self._plan(state, answer, number, budget)
+            if empty and s.approach == "progressive" and s.rule != "all" and s.on_exhausted == "drain":
                 self.drained = True
-                plan = cut(planning.select_plan(self.items(state, answer, number), budget))
-                n, cost = plan.agg(F.count("*"), F.sum("cost")).first()
+                plan, n, cost, empty, more = self._plan(state, answer, number, budget)
+                steps = {k: steps.get(k, 0.0) + v for k, v in more.items()}
             planned = time.time()
-            if not n:
+            if empty:
                 return
-            if s.clock == "wall" and planned - began >= self.budget:
-                yield Epoch(number, spent + planned - began, 0, answer, self._quality(answer, state), state, None, {"plan": planned - began})
-                spent += planned - began
-                continue
+            if s.clock == "wall":
+                paid = (planned - began) / s.unit_seconds
+                spent += paid
+                if not n or paid >= budget:
+                    yield Epoch(number, spent, 0, answer, self._quality(answer, state), state, None, {"plan": planned - began, **steps})
+                    continue
             outputs = cut(execute_plan(plan, self.objects, self.query, n))
             state = cut(apply_outputs(state, outputs, self.query))
             executed = time.time()
             spent += cost
             answer = choose_answer(state, s.alpha, s.answer)
-            yield Epoch(number, spent, n, answer, self._quality(answer, state), state, outputs, {"plan": planned - began, "execute": executed - planned, "answer": time.time() - executed})
+            yield Epoch(number, spent, n, answer, self._quality(answer, state), state, outputs, {"plan": planned - began, **steps, "execute": executed - planned, "answer": time.time() - executed})
 
     def curve(self, most: int) -> list[tuple]:
         """(approach, epoch, spent, items, answer size, expected F, F1)."""

@@ -23,6 +23,21 @@ def extract_features(docs: DataFrame, text: str = "text") -> DataFrame:
     )
 
 
+def hashed_tfidf(docs: DataFrame, text: str = "text", buckets: int = 1 << 18) -> DataFrame:
+    """``object_id, bucket, tf, weight``: sparse features, one row for each bucket that a document's words hash to.
+
+    Words are runs without white space, in lower case; ``tf`` is their number, ``weight = tf * ln((1 + N) / (1 + df))`` with
+    N documents and df of them in the bucket. Null and empty texts have no rows but count in N. There are at most
+    ``buckets`` rows of df, so their join is a broadcast whatever the input; rows of one id are one document.
+    """
+    words = F.filter(F.split(F.lower(F.col(text)), r"\s+"), lambda x: x != "")
+    each = docs.select("object_id", F.explode(words).alias("word"))
+    tf = each.groupBy("object_id", F.pmod(F.xxhash64("word"), F.lit(buckets)).cast("int").alias("bucket")).agg(F.count("*").alias("tf"))
+    df = tf.groupBy("bucket").agg(F.count("*").alias("df"))
+    idf = df.crossJoin(docs.agg(F.count_distinct("object_id").alias("n"))).select("bucket", F.log((1 + F.col("n")) / (1 + F.col("df"))).alias("idf"))
+    return tf.join(F.broadcast(idf), "bucket").select("object_id", "bucket", "tf", (F.col("tf") * F.col("idf")).alias("weight"))
+
+
 FEATURES = ("other_share", "upper_share", "mark_share", "mean_word")
 
 

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..functions import entropy
 from ..functions.blending import blend
 from ..functions.tagexpr import Pred, match_probability, parse_tag_expr
-from ..operators import baselines, blocks, cutoff, joins, learning, metrics, planning
+from ..operators import baselines, blocks, cutoff, joins, learning, metrics, pair_join, planning
 from ..operators.enrich import EnrichmentRun, Settings, changes, enrich_budget, enrich_many, full_enrichment
 from ..operators.execution import execute_plan
 from ..operators.scorers import LADDER, noise, simulated
@@ -597,6 +597,16 @@ def _(spark, sf):
     return joins.tag_join(probs.where("object_id % 2 = 0"), probs.where("object_id % 2 = 1"), ["o_custkey"], cutoff=0.3)
 
 
+@query("tag_join_epochs")
+def _(spark, sf):
+    """Orders with even and odd keys of one customer that have the same priority: three epochs of the join form."""
+    o = objects(spark, sf, "orders").select("object_id", "o_custkey", "t_priority")
+    sides = [o.where(F.pmod("object_id", F.lit(2)) == i) for i in (0, 1)]
+    made = pair_join.enrich_join(*sides, ["o_custkey"], "Priority", 0.03 * w.FULL_COST * 5 * o.count(), COLLECTIONS["orders"].catalog(), least=0.05)
+    rows = [(e.number, float(e.spent), e.items, e.answer.size, float(e.answer.expected_f), float(e.f1)) for e in made.epochs(3)]
+    return spark.createDataFrame(rows, "epoch int, spent double, items long, answer_size long, expected_f double, f1 double")
+
+
 # --- baselines and measures -----------------------------------------------------------------------
 
 for _approach in ("scorer_first", "object_first", "random"):
@@ -799,32 +809,27 @@ def _(spark, sf):
     return _scores(spark, sf, {n: w.whole(s) for n, s in SCORED.items()})
 
 
-TUNED = {"025": w.ORDERS_025, "050": w.ORDERS_050, "075": w.ORDERS_075, "100": w.ORDERS_100}
+TUNED = w.SELECTIVITIES["orders"]
 
 
 @query("epoch_tuning")
 def _(spark, sf):
-    rows = []
-    for share in (0.02, 0.05, 0.1):
-        specs = [("progressive", replace(w.SMALL_075, share=share, epochs=max(1, round(0.1 / share))))]
-        score = progress(w.curves(spark, sf, specs), "f1").first()
-        rows.append((share, float(score["previous"])))
-    return spark.createDataFrame(rows, "share double, score double")
+    """Least completion over epoch sizes, then epochs of shares of it; planning is paid for, so rows only."""
+    return w.tuned(spark, sf, w.SMALL_075, (0.1, 0.25, 0.5), (0.05, 0.1))
 
 
 @query("exp2_epoch_size")
 def _(spark, sf):
-    """Completion with ever larger epochs at each selectivity: total cost and epochs until nothing is left."""
-    rows = []
-    for name in ("025", "050"):
-        for share in (0.25, 0.5):
-            spec = replace(w.SMALL_075, where=TUNED[name], share=share, epochs=8)
-            c = w.rows_of(spark, sf, spec)
-            rows.append((name, share, c[-1][1], float(c[-1][2]), float(c[-1][6])))
-    return spark.createDataFrame(rows, "selectivity string, share double, epochs int, completion double, f1 double")
+    """The epoch size at each selectivity: total cost, epochs until nothing is left, and scores."""
+    out = None
+    for name, where in TUNED.items():
+        part = w.tuned(spark, sf, replace(w.SMALL_075, where=where), (0.25, 0.5), (0.1, 0.2)).select(F.lit(name).alias("selectivity"), "*")
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
-PLANNED = {n: replace(S1, where=c, epochs=0) for n, c in TUNED.items()}
+KINDS = {"orders": S1, "lineitem": w.LARGE_10, "events": w.TWEETS_10}
+PLANNED = {f"{c}_{n}": replace(KINDS[c], where=where, epochs=0) for c, many in w.SELECTIVITIES.items() for n, where in many.items()}
 
 
 @query("exp3_plan_counts", " UNION ALL ".join(f"SELECT '{n}' AS selectivity, * FROM ({upto(s, 0, 'SELECT (SELECT count(*) FROM st0) AS objects, (SELECT count(*) FROM st0, lam0 WHERE P <= lam) AS candidates, (SELECT count(*) FROM i0a WHERE outside) AS items', items=True)})" for n, s in PLANNED.items()))
@@ -840,17 +845,29 @@ def _(spark, sf):
     return spark.createDataFrame(rows, "selectivity string, objects long, candidates long, items long")
 
 
+STEPS = ("candidates", "items", "benefit", "choose", "plan", "execute", "answer")
+
+
 @query("exp3_plan_times")
 def _(spark, sf):
-    """Seconds of planning, execution and answer choice for each epoch: wall clock, so rows only."""
-    rows = [(e.number, float(e.times.get("plan", 0)), float(e.times.get("execute", 0)), float(e.times.get("answer", 0))) for e in w.run(spark, sf, TWO).epochs(2)]
-    return spark.createDataFrame(rows, "epoch int, plan double, execute double, answer double")
+    """Seconds of each step of planning, of execution and of the answer, at twelve selectivities: wall clock, so rows only."""
+    rows = [(n, e.number, *[float(e.times.get(k, 0)) for k in STEPS]) for n, s in PLANNED.items() for e in w.run(spark, sf, replace(s, steps=True)).epochs(1) if e.number]
+    return spark.createDataFrame(rows, "selectivity string, epoch int, " + ", ".join(f"{k} double" for k in STEPS))
 
 
 EXP4 = [(f"{r}_{n}", replace(S1, where=TUNED[n], rule=r, epochs=2)) for n in TUNED for r in ("outside", "all", "gaining")]
 EXP5 = [(f"{b}_{n}", replace(S1, where=TUNED[n], benefit=b, epochs=2)) for n in TUNED for b in ("relative", "exact", "weighted")]
 _experiment("exp4_candidates", EXP4, "curve")
 _experiment("exp5_benefit", EXP5, "curve")
+
+
+def _paid(name: str, specs) -> None:
+    """The same runs when planning is paid for, which is where the variants differ: wall clock, so rows only."""
+    query(name)(lambda spark, sf: w.curves(spark, sf, [(label, replace(s, clock="wall", share=0.1)) for label, s in specs]))
+
+
+_paid("exp4_candidates_paid", EXP4)
+_paid("exp5_benefit_paid", EXP5)
 _experiment("exp6_q3", w.all_approaches(replace(w.Q3, epochs=2)), "curve")
 _experiment("exp6_q4", w.all_approaches(replace(w.Q4, epochs=2)), "curve")
 _experiment("exp6_q5", w.all_approaches(replace(w.Q5, epochs=2)), "curve")
@@ -882,3 +899,10 @@ def _(spark, sf):
         part = seed_state(chosen, q).agg(F.count("*").alias("objects"), F.count(F.when(F.col("m0") == 1, 1)).alias("seeded")).select(F.lit(n).alias("selectivity"), "objects", "seeded")
         out = part if out is None else out.unionByName(part)
     return out
+
+
+@query("exp9_init_times")
+def _(spark, sf):
+    """Seconds of loading, seeding and building structures at twelve selectivities: wall clock, so rows only."""
+    runs = [(n, a, w.run(spark, sf, replace(s, approach=a)).init_times) for n, s in PLANNED.items() for a in ("progressive", "object_first")]
+    return spark.createDataFrame([(n, a, *[float(x[k]) for k in ("load", "seed", "structures")]) for n, a, x in runs], "selectivity string, approach string, load double, seed double, structures double")

@@ -131,3 +131,7 @@ def _items(spark, sf):
     return spark.sql("SELECT * FROM enrich_items(TABLE(item_in))")
 
 
+@query("doc_tfidf")
+def _(spark, sf):
+    """Hashed features of all documents."""
+    return t.hashed_tfidf(objects(spark, sf, "docs").select("object_id", "text"))

@@ -12,6 +12,7 @@ from ..operators.blocks import BlockSettings, block_curve
 from ..operators.enrich import CURVE, EnrichmentRun, Settings
 from ..operators.scorers import LADDER
 from ..operators.state import Query, cached_log, state_from_log
+from ..operators.tuning import tune_epoch
 from ..sources.objects import COLLECTIONS, objects, split_part
 
 APPROACHES = ("progressive", "scorer_first", "object_first", "random")
@@ -38,6 +39,9 @@ class RunSpec:
     blocks: int = 0
     capacity: int = 0
     load_share: float = 0.1  # cost of loading a block as a share of the epoch budget
+    clock: str = "virtual"
+    whole_seconds: float = 600.0  # seconds that the cost of everything stands for, under the wall clock
+    steps: bool = False
 
     def as_(self, approach: str) -> RunSpec:
         return replace(self, approach=approach)
@@ -58,6 +62,12 @@ LARGE_10 = RunSpec("lineitem", "ReturnFlag = 'R'", "l_shipdate < date '1995-03-0
 LARGE_20 = RunSpec("lineitem", "ReturnFlag = 'R'", "l_shipdate < date '1995-04-15' AND l_quantity >= 1")
 TWEETS_10 = RunSpec("events", "Kind = 'purchase'", "ts < timestamp '2024-01-04 00:00:00' AND location >= 0 AND user_id >= 0")
 TWEETS_20 = RunSpec("events", "Kind = 'purchase'", "ts < timestamp '2024-01-07 00:00:00' AND location >= 0 AND user_id >= 0")
+#: Four selectivities of each collection.
+SELECTIVITIES = {
+    "orders": {"025": ORDERS_025, "050": ORDERS_050, "075": ORDERS_075, "100": ORDERS_100},
+    "lineitem": {d: f"l_shipdate < date '{d}' AND l_quantity >= 1" for d in ("1995-03-01", "1995-04-15", "1995-05-15", "1995-07-01")},
+    "events": {d: f"ts < timestamp '{d} 00:00:00' AND location >= 0 AND user_id >= 0" for d in ("2024-01-04", "2024-01-07", "2024-01-10", "2024-01-13")},
+}
 DOCS = RunSpec("docs", "Quality = 1", "n_chars > 0")
 Q3 = RunSpec("orders", "Status = 'F' AND Segment = 'BUILDING'", ORDERS_100 + FIVE)
 Q4 = RunSpec("orders", "Status = 'F' AND Priority = '1-URGENT'", ORDERS_100)
@@ -84,8 +94,9 @@ _KNOWN: dict = {}
 def run(spark: SparkSession, sf_dir: str, spec: RunSpec) -> EnrichmentRun:
     chosen, query, table = prepared(spark, sf_dir, spec)
     state = state_from_log(chosen, cached_log(chosen, query, spec.cached), query) if spec.cached >= 0 else None
-    budget = spec.share * FULL_COST * len(query.preds) * chosen.count()
-    return EnrichmentRun(chosen, query, budget, table, Settings(spec.alpha, spec.approach, spec.rule, spec.benefit, seed=spec.seed), state)
+    everything = FULL_COST * len(query.preds) * chosen.count()
+    settings = Settings(spec.alpha, spec.approach, spec.rule, spec.benefit, seed=spec.seed, clock=spec.clock, unit_seconds=spec.whole_seconds / max(1.0, everything), steps=spec.steps)
+    return EnrichmentRun(chosen, query, spec.share * everything, table, settings, state)
 
 
 def rows_of(spark: SparkSession, sf_dir: str, spec: RunSpec) -> list[tuple]:
@@ -115,5 +126,15 @@ def whole(spec: RunSpec) -> RunSpec:
     return replace(spec, share=0.1, epochs=UNTIL_DONE)
 
 
+def tuned(spark: SparkSession, sf_dir: str, spec: RunSpec, sizes: tuple[float, ...], shares: tuple[float, ...]) -> DataFrame:
+    """Trials of the epoch size under the wall clock; ``sizes`` are shares of the cost of everything."""
+    base = run(spark, sf_dir, replace(spec, share=1.0, clock="wall"))
+
+    def start(size: float) -> EnrichmentRun:
+        return EnrichmentRun(base.objects, base.query, size, base.table, base.settings, base.state)
+
+    return tune_epoch(start, [s * base.budget for s in sizes], list(shares)).report(spark)
+
+
 def all_approaches(spec: RunSpec) -> list[tuple[str, RunSpec]]:
     return [(a, spec.as_(a)) for a in APPROACHES]

@@ -42,3 +42,20 @@ def write_bucketed(df: DataFrame, name: str, key: str, buckets: int) -> DataFram
     fresh = path.rsplit("/", 1)[1].replace("-", "_")
     df.write.option("path", path).bucketBy(buckets, key).sortBy(key).saveAsTable(fresh)
     return df.sparkSession.table(fresh)
+
+
+def write_jdbc(df: DataFrame, url: str, name: str, connections: int = 8, mode: str = "append", **properties: str) -> None:
+    """Rows to a database table over at most ``connections`` connections at a time."""
+    df.coalesce(connections).write.jdbc(url, name, mode, {k: str(v) for k, v in properties.items()})
+
+
+def read_jdbc(spark: SparkSession, url: str, name: str, key: str, connections: int = 8, **properties: str) -> DataFrame:
+    """A database table, read in ``connections`` ranges of an integer key; filters and columns are pushed down.
+
+    The bounds come from one aggregate in the database. Rows outside them or with a null key are read as well.
+    """
+    given = {k: str(v) for k, v in properties.items()}
+    ends = spark.read.jdbc(url, f"(SELECT MIN({key}) AS LO, MAX({key}) AS HI FROM {name}) ends", properties=given).first()
+    if ends[0] is None or ends[0] == ends[1]:
+        return spark.read.jdbc(url, name, properties=given)
+    return spark.read.jdbc(url, name, column=key, lowerBound=int(ends[0]), upperBound=int(ends[1]) + 1, numPartitions=connections, properties=given)
