@@ -99,8 +99,8 @@ def test_database_round_trip(spark):
     back = sinks.read_jdbc(spark, url, "TAGS", "ID", 4)
     assert back.rdd.getNumPartitions() == 4
     assert sorted(map(tuple, back.collect())) == rows
-    sinks.write_jdbc(df.limit(0), url, "NONE", mode="overwrite")
-    assert sinks.read_jdbc(spark, url, "NONE", "ID", 4).isEmpty()
+    sinks.write_jdbc(df.limit(0), url, "EMPTY_TAGS", mode="overwrite")
+    assert sinks.read_jdbc(spark, url, "EMPTY_TAGS", "ID", 4).isEmpty()
 
 
 @pytest.mark.parametrize("name", ["fn_pandas_iterator", "fn_pandas_scalar", "agg_pandas_grouped", "agg_apply_pandas"])
