@@ -53,3 +53,42 @@ def test_agreement_of_many_items(spark):
     alike = sum(sign(x[2] - y[2]) == sign(x[3] - y[3]) for i, x in enumerate(rows) for y in rows[:i])
     assert got["pairs"] == 3000 * 2999 // 2 and got["agreement"] == pytest.approx(alike / got["pairs"])
     assert metrics.rank_agreement(df.limit(0), "a", "b").first()["pairs"] == 0
+
+
+def _lines(spark, path, rows):
+    spark.createDataFrame(rows, "l_orderkey long, l_linenumber long, l_partkey long, l_suppkey long, l_quantity double, l_discount double, l_returnflag string, l_linestatus string").selectExpr("*", "date '1995-01-01' AS l_shipdate").write.parquet(f"{path}/lineitem.parquet")
+
+
+def _fold(o, n, p, s):
+    return ((o * 8 + n) * 20011 + p) * 1009 + s
+
+
+def test_keys_of_lines_of_large_tables(spark, tmp_path):
+    """Parts, suppliers and orders far above those of sf0.1: the key of the SQL, its noise and its part, in exact numbers."""
+    from pyspark.sql import functions as F
+
+    from progenrich.operators.learning import online_sample
+    from progenrich.operators.scorers import noise
+    from progenrich.sources.objects import objects, split_part
+
+    keys = [(9_000_000 * k + k, k % 7 + 1, 1_200_000 - k, 60_000 - k) for k in range(40)]
+    _lines(spark, tmp_path, [(*k, 1.0, 0.0, "A", "F") for k in keys])
+    df = objects(spark, str(tmp_path), "lineitem")
+    ids = {_fold(*k) for k in keys}
+    got = df.select("object_id", noise(F.col("object_id"), 2, 3).alias("u"), split_part().alias("part")).collect()
+    assert {r["object_id"] for r in got} == ids and max(ids) > 1 << 53
+    for r in got:
+        k = r["object_id"]
+        assert r["part"] == k * 7919 % 10
+        assert r["u"] == (7919 * k + 31337 * 2 + 104729 * 3 + 613 * 54 * (k // 97)) % 10007 / 10007.0
+    assert {r["object_id"] for r in online_sample(df, 50).collect()} == {k for k in ids if k // 11 % 100 < 50}
+
+
+def test_keys_of_lines_that_fold_alike(spark, tmp_path):
+    """Two lines with one folded key get two ids; a line that is there twice keeps one."""
+    from progenrich.sources.objects import objects
+
+    a, b = (1, 1, 25_000, 5), (1, 2, 25_000 - 20_011, 5)
+    assert _fold(*a) == _fold(*b)
+    _lines(spark, tmp_path, [(*k, 1.0, 0.0, "A", "F") for k in (a, b, b)])
+    assert objects(spark, str(tmp_path), "lineitem").select("object_id").distinct().count() == 2
