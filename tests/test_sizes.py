@@ -3,7 +3,9 @@
 import random
 
 import pytest
+from harness import SF
 
+from progenrich import plans
 from progenrich.operators import cutoff, metrics, planning
 
 
@@ -92,3 +94,15 @@ def test_keys_of_lines_that_fold_alike(spark, tmp_path):
     assert _fold(*a) == _fold(*b)
     _lines(spark, tmp_path, [(*k, 1.0, 0.0, "A", "F") for k in (a, b, b)])
     assert objects(spark, str(tmp_path), "lineitem").select("object_id").distinct().count() == 2
+
+
+@pytest.mark.parametrize("name, source", [("answer_edge_cases", "customer"), ("blend_weights", "orders"), ("inverse_entropy", "orders"), ("inverse_entropy_both", "orders")])
+def test_queries_read_a_given_table(spark, tmp_path, name, source):
+    """Without the table there is no result: it is not made up."""
+    import os
+
+    for f in os.listdir(SF):
+        if f != f"{source}.parquet":
+            os.symlink(f"{SF}/{f}", tmp_path / f)
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        plans.queries()[name](spark, str(tmp_path)).count()
