@@ -29,17 +29,25 @@ def event_stream(spark: SparkSession, sf_dir: str, batches: int = 4) -> DataFram
     return stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def finished(stream: DataFrame, mode: str = "append", name: str | None = None) -> DataFrame:
-    """Run a stream over all there is into a memory table, and return the table."""
-    spark = stream.sparkSession
-    name = name or f"out_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", work_path(spark, "stream")).start()
-    q.awaitTermination()
-    return spark.table(name)
+def finished(stream: DataFrame, mode: str = "append") -> DataFrame:
+    """Run a stream over all there is and return its rows, which executors store in the shared folder batch by batch.
+
+    In complete mode each batch holds the whole table, so the last one counts; else all do. No row passes the driver.
+    """
+    spark, path, stored = stream.sparkSession, work_path(stream.sparkSession, "stream-out"), {}
+
+    def store(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{number}")
+        stored[number] = f"{path}/{number}"
+
+    for_each_batch(stream, store, mode)
+    if not stored:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*([stored[max(stored)]] if mode == "complete" else stored.values()))
 
 
-def for_each_batch(stream: DataFrame, fn: Callable[[DataFrame, int], None]) -> None:
-    q = stream.writeStream.foreachBatch(fn).trigger(availableNow=True).option("checkpointLocation", work_path(stream.sparkSession, "stream")).start()
+def for_each_batch(stream: DataFrame, fn: Callable[[DataFrame, int], None], mode: str = "append") -> None:
+    q = stream.writeStream.foreachBatch(fn).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", work_path(stream.sparkSession, "stream")).start()
     q.awaitTermination()
 
 

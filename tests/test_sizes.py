@@ -106,3 +106,23 @@ def test_queries_read_a_given_table(spark, tmp_path, name, source):
             os.symlink(f"{SF}/{f}", tmp_path / f)
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         plans.queries()[name](spark, str(tmp_path)).count()
+
+
+@pytest.mark.parametrize("mode", ["complete", "append", "update"])
+def test_streams_end_in_stored_rows(spark, mode):
+    """Rows of a stream lie in files of the executors, not on the driver; the last whole table counts, or every batch."""
+    from pyspark.sql import functions as F
+
+    from progenrich.streaming import ingest
+
+    events = spark.read.parquet(f"{SF}/events.parquet")
+    stream = ingest.event_stream(spark, SF, 3).select("event_id", "event_type")
+    out = ingest.finished(stream if mode == "append" else stream.groupBy("event_type").agg(F.count("*").alias("n")), mode)
+    assert len(out.inputFiles()) > 0
+    got = sorted(map(tuple, out.collect()))
+    if mode == "append":
+        assert got == sorted(map(tuple, events.select("event_id", "event_type").collect()))
+        return
+    want = {r["event_type"]: r["count"] for r in events.groupBy("event_type").count().collect()}
+    assert {k: max(n for x, n in got if x == k) for k, _ in got} == want
+    assert len(got) == len(want) * (1 if mode == "complete" else 3)
