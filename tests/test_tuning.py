@@ -108,3 +108,31 @@ def test_pandas_functions(spark, con, name):
     from harness import SF
 
     assert differences(spark, name, QUERIES[name], ORACLES[name], con) == ""
+
+
+def test_columns_of_an_epoch_are_built_once(spark, monkeypatch):
+    """The same Columns serve every epoch; another next-scorer table gets its own."""
+    from progenrich.operators import planning
+    from progenrich.operators.state import Query
+
+    chosen, q, table = w.prepared(spark, SMALLEST, w.SMALL_100)
+    q, made, build = Query(q.expr, q.catalog, q.calibration), [], planning._next
+    monkeypatch.setattr(planning, "_next", lambda *a: made.append(a) or build(*a))
+    run = EnrichmentRun(chosen, q, 500.0, table)
+    assert len(run.curve(3)) == 4 and len(made) == len(q.preds)
+    planning.make_items(run.state, q, planning.NextScorer({}))
+    assert len(made) == 2 * len(q.preds)
+
+
+def test_trials_share_their_start(spark, monkeypatch):
+    """Objects are seeded once for all trials, each begins with that seed, and only scored trials look up the quality."""
+    from progenrich.operators import enrich
+
+    seeded, seed, runs = [], enrich.seed_state, []
+    monkeypatch.setattr(enrich, "seed_state", lambda *a: seeded.append(a) or seed(*a))
+    monkeypatch.setattr(EnrichmentRun, "curve", lambda run, most: runs.append(run) or [("progressive", 0, 0.0, 0, 1, 0.1, 0.1), ("progressive", 1, 5.0, 1, 1, 0.2, 0.2)])
+    got = w.tuned(spark, SMALLEST, w.SMALL_075, (0.5, 1.0), (0.4, 1.0)).collect()
+    assert len(seeded) == 1 and len({id(r.state) for r in runs}) == 1
+    assert [r["stage"] for r in got] == ["size", "size", "share", "share"]
+    assert [r.budget for r in runs] == [r["size"] for r in got] and runs[1].budget == 2 * runs[0].budget and runs[2].budget == 2.0
+    assert [r.truth is None for r in runs] == [True, True, False, False]
