@@ -136,3 +136,20 @@ def test_trials_share_their_start(spark, monkeypatch):
     assert [r["stage"] for r in got] == ["size", "size", "share", "share"]
     assert [r.budget for r in runs] == [r["size"] for r in got] and runs[1].budget == 2 * runs[0].budget and runs[2].budget == 2.0
     assert [r.truth is None for r in runs] == [True, True, False, False]
+
+
+def _one_epoch(run, most):
+    return [("progressive", 0, 0.0, 0, 1, 0.1, 0.1), ("progressive", 1, 5.0, 1, 1, 0.2, 0.2)]
+
+
+def _trials(rows, whole):
+    """Sizes as shares of the cost of everything, and shares of the least completion (5 in each of the runs above)."""
+    at = {stage: [r["size"] for r in rows if r["stage"] == stage] for stage in ("size", "share")}
+    return [pytest.approx(s / whole) for s in at["size"]], [pytest.approx(s / 5.0) for s in at["share"]]
+
+
+def test_epoch_tuning_tries_ten_sizes_and_ten_shares(spark, monkeypatch):
+    monkeypatch.setattr(EnrichmentRun, "curve", _one_epoch)
+    whole = w.run(spark, SMALLEST, replace(w.SMALL_075, share=1.0)).budget
+    sizes, shares = _trials(QUERIES["epoch_tuning"](spark, SMALLEST).collect(), whole)
+    assert sizes == [k / 20 for k in range(1, 11)] and shares == [k / 100 for k in range(1, 11)]
