@@ -153,3 +153,24 @@ def test_epoch_tuning_tries_ten_sizes_and_ten_shares(spark, monkeypatch):
     whole = w.run(spark, SMALLEST, replace(w.SMALL_075, share=1.0)).budget
     sizes, shares = _trials(QUERIES["epoch_tuning"](spark, SMALLEST).collect(), whole)
     assert sizes == [k / 20 for k in range(1, 11)] and shares == [k / 100 for k in range(1, 11)]
+
+
+def test_exp2_epoch_size_tries_them_at_every_selectivity(spark, monkeypatch):
+    from progenrich.plans.methods import TUNED
+
+    monkeypatch.setattr(EnrichmentRun, "curve", _one_epoch)
+    rows = QUERIES["exp2_epoch_size"](spark, SMALLEST).collect()
+    assert {r["selectivity"] for r in rows} == set(TUNED) and len(TUNED) == 4
+    for name, where in TUNED.items():
+        whole = w.run(spark, SMALLEST, replace(w.SMALL_075, share=1.0, where=where)).budget
+        sizes, shares = _trials([r for r in rows if r["selectivity"] == name], whole)
+        assert sizes == [k / 20 for k in range(1, 11)] and shares == [*[k / 100 for k in range(1, 11)], 0.2]
+
+
+def test_an_unfinished_run_has_no_completion(spark):
+    class Endless:
+        def curve(self, most):
+            return [("progressive", n, float(n), 0, 1, 0.1, 0.1) for n in range(most + 1)]
+
+    with pytest.raises(ValueError):
+        tune_epoch(lambda size: Endless(), [1.0], [0.1], most=3)
