@@ -174,3 +174,41 @@ def test_an_unfinished_run_has_no_completion(spark):
 
     with pytest.raises(ValueError):
         tune_epoch(lambda size: Endless(), [1.0], [0.1], most=3)
+
+
+def test_an_epoch_is_planned_once(spark, monkeypatch):
+    """Also where nothing outside the answer has a scorer left: the answer has counted that."""
+    from progenrich.operators import planning
+
+    made, build = [], planning.make_items
+    monkeypatch.setattr(planning, "make_items", lambda *a: made.append(a) or build(*a))
+    run = w.run(spark, SMALLEST, replace(w.SMALL_100, share=0.5))
+    drained = [run.drained for _ in run.epochs(100)]
+    assert any(drained) and len(made) == len(drained)  # no plan for epoch 0, one that finds nothing left at the end
+
+
+def test_next_scorers_are_those_of_the_table(spark):
+    from progenrich.operators import planning
+
+    _, q, table = w.prepared(spark, SMALLEST, w.SMALL_100)
+    p, full, cells = q.preds[0], q.full_mask(0), [(m, (b + 0.5) / table.bins) for m in range(q.full_mask(0) + 1) for b in range(table.bins)]
+    df = spark.createDataFrame(cells, "m0 int, h0 double")
+    step = planning._next(q, table, 0)
+    got = {(r["m0"], r["h0"]): r["n"] for r in df.select("m0", "h0", step.alias("n")).collect()}
+    for m, h in cells:
+        rest = [s for s in q.scorers(0) if not m >> s.number & 1]
+        want = (table.lookup(p.type, p.tag, m, int(h * table.bins)) or (max(rest, key=lambda s: (s.ratio, -s.number)).number, 0.0)) if m != full else None
+        assert (got[m, h] and tuple(got[m, h])) == want
+
+
+@pytest.mark.parametrize("budget", [0.5, 2.0, 33, 250, 900.0, 10**6])
+def test_a_plan_knows_its_size_and_cost(spark, budget, monkeypatch):
+    from progenrich.operators import planning
+
+    monkeypatch.setattr(planning, "CUT_ROWS", 7)
+    monkeypatch.setattr(planning, "CUT_BINS", 8)
+    items = spark.range(0, 300, numPartitions=3).selectExpr("id AS object_id", "CAST(id % 2 AS int) AS pred", "CAST(id % 3 AS int) AS scorer", "double(1 + id % 5) AS cost", "(id * 7919) % 23 - 11 AS rank_key")
+    got = planning.choose_plan(items, budget)
+    rows = {tuple(r) for r in got.plan.select("object_id", "pred", "scorer", "cost").collect()}
+    assert rows == {tuple(r) for r in planning.select_by_sort(items, budget).select("object_id", "pred", "scorer", "cost").collect()}
+    assert (got.items, got.cost, got.available) == (len(rows), sum(r[3] for r in rows), 300)
